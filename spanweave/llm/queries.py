@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, packing, token_orc
+from . import byte_bpe, fingerprints, packing, secret_scan, token_orc
 from .shared import table, workspace
 
 
@@ -24,6 +24,19 @@ def op2_curve_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset")
 
 
+def op3_one_permutation_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = fingerprints.edited_fingerprints(table(spark, sf_dir, "documents", "doc_id", "text"))
+    own, edited = fingerprints.as_text(F.col("fingerprint")), fingerprints.as_text(F.col("edited_fingerprint"))
+    return out.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), own.alias("fingerprint"), edited.alias("edited_fingerprint"), "near_edited", "near_next")
+
+
+def op5_entropy_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = secret_scan.scan(table(spark, sf_dir, "documents", "doc_id", "text"))
+    of_kind = lambda k: F.size(F.filter("base_spans", lambda s: s["kind"] == k)).cast("long")
+    counts = [of_kind(k).alias(f"n_{name}") for k, (name, _) in enumerate(secret_scan.BASE)]
+    return found.select("doc_id", *counts, F.sha2(secret_scan.span_text(F.col("base_spans")), 256).alias("base_sha256"), secret_scan.span_text(F.col("all_spans")).alias("spans"))
+
+
 def op6_token_orc(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = workspace(spark)
     token_orc.write_token_orc(table(spark, sf_dir, "documents", "doc_id", "text"), path, public_tokenizers.path("word_bpe_49k.json"))
@@ -31,7 +44,7 @@ def op6_token_orc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_byte_bpe, op2_curve_packing, op6_token_orc)}
+    return {f.__name__: f for f in (op1_byte_bpe, op2_curve_packing, op3_one_permutation_minhash, op5_entropy_secrets, op6_token_orc)}
 
 
 def oracle_sql() -> dict[str, str]:
