@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, fingerprints, packing, secret_scan, token_orc
+from . import byte_bpe, fingerprints, packing, secret_scan, simhash, token_orc
 from .shared import table, workspace
 
 
@@ -43,8 +43,13 @@ def op6_token_orc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_orc.id_checksums(token_orc.read_token_orc(spark, path)).select("doc_id", "start", "n_tokens", "ids_crc32")
 
 
+def op7_simhash_vantage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = simhash.near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"))
+    return found.select("doc_id", simhash.fingerprint_text(F.col("fp")).alias("fingerprint"), "component_id")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_byte_bpe, op2_curve_packing, op3_one_permutation_minhash, op5_entropy_secrets, op6_token_orc)}
+    return {f.__name__: f for f in (op1_byte_bpe, op2_curve_packing, op3_one_permutation_minhash, op5_entropy_secrets, op6_token_orc, op7_simhash_vantage)}
 
 
 def oracle_sql() -> dict[str, str]:

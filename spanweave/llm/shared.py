@@ -1,13 +1,14 @@
-"""Small helpers that the operators share: reading tables and writing intermediate ones where every executor sees them."""
+"""Small helpers that the operators share: reading tables, and the places for intermediate ones."""
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.workspace import settle, workspace
+
+__all__ = ["settle", "table", "whole", "workspace"]
+
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     """The parquet table ``name`` under ``sf_dir``, with the named columns only."""
@@ -15,25 +16,6 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
-def workspace(spark: SparkSession) -> str:
-    """A new folder below spark.checkpoint.dir; where that is unset (tests), below a folder set here."""
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        base = spark.sparkContext.getCheckpointDir()
-    if not base:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="spanweave-"))
-        base = spark.sparkContext.getCheckpointDir()
-    return f"{base.rstrip('/')}/spanweave/{uuid.uuid4().hex}"
-
-
-def settle(df: DataFrame, *, partition_by: tuple[str, ...] = ()) -> DataFrame:
-    """Write ``df`` as a table of the workspace and return it as read back: lineage ends there, and a lost executor costs nothing."""
-    path = workspace(df.sparkSession)
-    writer = df.write.mode("error")
-    (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def whole(column: str = "text") -> F.Column:
     """The text with null read as empty."""
     return F.coalesce(F.col(column), F.lit(""))
