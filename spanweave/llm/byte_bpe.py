@@ -88,7 +88,7 @@ class ByteBpe:
         self.model = sentencepiece.SentencePieceProcessor(model_proto=sentencepiece_model(self.ranks))
         self.split = regex.compile(pattern).findall
         self.bytes_of = [hide_bytes(self.model.id_to_piece(i)) for i in range(len(self.ranks))]
-        self.memo = PieceCache(self._piece)
+        self.memo = PieceCache(self._piece, 250_000)
 
     def _piece(self, piece: str) -> bytes:
         raw = piece.encode("utf-8")

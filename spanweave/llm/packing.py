@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .shared import settle
-from .word_tokens import WordTokens
+from .word_tokens import word_tokens
 
 BUCKETS = 256
 
@@ -79,7 +79,7 @@ def tokenised_with_keys(docs: DataFrame, vocab_path: str, *, end_id: int = 1, do
     schema = T.StructType([source.schema["doc_id"], T.StructField("curve_key", T.LongType()), T.StructField("n", T.LongType()), T.StructField("ids", T.BinaryType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = WordTokens(vocab_path)
+        words = word_tokens(vocab_path)
         place, narrow = CurvePlacement(words.size), id_type(words.size)
         tail = np.asarray([end_id], dtype="<u4").tobytes()
         for batch in batches:

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .word_tokens import WordTokens
+from .word_tokens import word_tokens
 
 
 def write_token_orc(docs: DataFrame, path: str, vocab_path: str, *, doc_id: str = "doc_id", text: str = "text", end_id: int = 2, row_stride: int = 1000, bloom_fpp: float = 0.01) -> None:
@@ -36,7 +36,7 @@ def write_token_orc(docs: DataFrame, path: str, vocab_path: str, *, doc_id: str
     tail = np.asarray([end_id], dtype="<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, part, at = WordTokens(vocab_path), TaskContext.get().partitionId(), 0
+        words, part, at = word_tokens(vocab_path), TaskContext.get().partitionId(), 0
         for batch in batches:
             for k in range(0, batch.num_rows, 512):
                 piece = batch.slice(k, 512)

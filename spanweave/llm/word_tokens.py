@@ -7,10 +7,10 @@ tokenizer itself deals with it.
 
 from __future__ import annotations
 
+import functools
 import os
 import re
-
-import numpy as np
+import struct
 
 from .piece_cache import PieceCache
 
@@ -39,16 +39,28 @@ class WordTokens:
         self.tokenizer.encode_special_tokens = True
         self.size = self.tokenizer.get_vocab_size()
         self.model, self.shown = self.tokenizer.model, _byte_characters()
-        self.memo, self.parts = PieceCache(self._chunk, 250_000), PieceCache(self._part, 250_000)
+        self.id_bytes = [struct.pack("<I", i) for i in range(self.size)]
+        self.memo, self.parts = PieceCache(self._chunk, 200_000), PieceCache(self._part, 150_000)
 
     def _part(self, part: str) -> bytes:
-        return np.asarray([t.id for t in self.model.tokenize(part if part.isascii() else part.translate(self.shown))], dtype="<u4").tobytes()
+        return b"".join([self.id_bytes[t.id] for t in self.model.tokenize(part if part.isascii() else part.translate(self.shown))])
 
     def _chunk(self, chunk: str) -> bytes:
+        if chunk.isascii():
+            if chunk.isalpha():
+                return self.parts[chunk.lower()]
+            if chunk[-1:] in {".", ","} and chunk[:-1].isalpha():
+                return self.parts[chunk[:-1].lower()] + self.parts[chunk[-1]]
         if m := _PLAIN.fullmatch(chunk):
             return self.parts[m[1].lower()] + (self.parts[m[2]] if m[2] else b"")
-        return np.asarray(self.tokenizer.encode(chunk, add_special_tokens=False).ids, dtype="<u4").tobytes()
+        return b"".join([self.id_bytes[i] for i in self.tokenizer.encode(chunk, add_special_tokens=False).ids])
 
     def encode(self, text: str) -> bytes:
         """The ids as little-endian unsigned 32-bit integers, without special tokens."""
         return b"".join(map(self.memo.__getitem__, text.replace("\n", " ").split(" ")))
+
+
+@functools.lru_cache(maxsize=1)
+def word_tokens(vocab_path: str) -> WordTokens:
+    """One encoder for each Python worker, whose memos serve all of its tasks."""
+    return WordTokens(vocab_path)
