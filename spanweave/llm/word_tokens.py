@@ -14,7 +14,9 @@ import struct
 
 from .piece_cache import PieceCache
 
-_PLAIN = re.compile(r"([A-Za-z\u00C0-\u00D6\u00D8-\u00F6\u00F8-\u00FF]+)([.,!]*)")
+_LATIN = re.compile(r"[\x00-\xFF]*").fullmatch
+_LETTERS = re.compile(r"[a-z\u00DF-\u00F6\u00F8-\u00FF]+").fullmatch
+_END_OF_WORD = re.compile(r"(?<=[a-z\u00DF-\u00F6\u00F8-\u00FF])[.,](?=[ \n])").sub
 
 
 def _byte_characters() -> dict[int, str]:
@@ -25,10 +27,11 @@ def _byte_characters() -> dict[int, str]:
 
 
 class WordTokens:
-    """Encoder with two bounded memos: of chunks as they stand, and of their lower-cased parts.
+    """Encoder with a memo of bounded size.
 
-    A chunk of Latin letters with full stops, commas or exclamation marks behind it is two pre-tokens that the BPE model
-    takes directly; any other chunk goes through the whole tokenizer.
+    Texts within Latin-1 need no normalisation but lower case; theirs is done at once, and a full stop or comma that ends
+    a word becomes a chunk of its own, as it is a pre-token of its own.  A chunk of letters goes straight to the BPE model;
+    any other chunk goes through the whole tokenizer.
     """
 
     def __init__(self, vocab_path: str) -> None:
@@ -38,25 +41,24 @@ class WordTokens:
         self.tokenizer = Tokenizer.from_file(vocab_path)
         self.tokenizer.encode_special_tokens = True
         self.size = self.tokenizer.get_vocab_size()
-        self.model, self.shown = self.tokenizer.model, _byte_characters()
+        self.shown = _byte_characters()
         self.id_bytes = [struct.pack("<I", i) for i in range(self.size)]
-        self.memo, self.parts = PieceCache(self._chunk, 200_000), PieceCache(self._part, 150_000)
-
-    def _part(self, part: str) -> bytes:
-        return b"".join([self.id_bytes[t.id] for t in self.model.tokenize(part if part.isascii() else part.translate(self.shown))])
+        self.bpe = self.tokenizer.model.tokenize
+        self.memo = PieceCache(self._chunk, 300_000)
 
     def _chunk(self, chunk: str) -> bytes:
-        if chunk.isascii():
-            if chunk.isalpha():
-                return self.parts[chunk.lower()]
-            if chunk[-1:] in {".", ","} and chunk[:-1].isalpha():
-                return self.parts[chunk[:-1].lower()] + self.parts[chunk[-1]]
-        if m := _PLAIN.fullmatch(chunk):
-            return self.parts[m[1].lower()] + (self.parts[m[2]] if m[2] else b"")
-        return b"".join([self.id_bytes[i] for i in self.tokenizer.encode(chunk, add_special_tokens=False).ids])
+        id_bytes = self.id_bytes
+        if chunk.isalpha() and chunk.islower():
+            if chunk.isascii():
+                return b"".join([id_bytes[t.id] for t in self.bpe(chunk)])
+            if _LETTERS(chunk):
+                return b"".join([id_bytes[t.id] for t in self.bpe(chunk.translate(self.shown))])
+        return b"".join([id_bytes[i] for i in self.tokenizer.encode(chunk, add_special_tokens=False).ids])
 
     def encode(self, text: str) -> bytes:
         """The ids as little-endian unsigned 32-bit integers, without special tokens."""
+        if _LATIN(text):
+            text = _END_OF_WORD(r" \g<0>", text.lower())
         return b"".join(map(self.memo.__getitem__, text.replace("\n", " ").split(" ")))
 
 
