@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, fingerprints, packing, secret_scan, simhash, token_orc
+from . import byte_bpe, fingerprints, lm_score, packing, projected_search, secret_scan, simhash, token_orc
 from .shared import table, workspace
 
 
@@ -48,8 +48,18 @@ def op7_simhash_vantage(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", simhash.fingerprint_text(F.col("fp")).alias("fingerprint"), "component_id")
 
 
+def op8_cross_entropy_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    return lm_score.score(docs, *lm_score.fit(docs, table(spark, sf_dir, "labels", "doc_id", "quality")))
+
+
+def op9_projected_kd_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = table(spark, sf_dir, "embeddings", "vec_id", "embedding")
+    return projected_search.nearest(rows, F.col("vec_id") % 20 == 0, k=20)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_byte_bpe, op2_curve_packing, op3_one_permutation_minhash, op5_entropy_secrets, op6_token_orc, op7_simhash_vantage)}
+    return {f.__name__: f for f in (op1_byte_bpe, op2_curve_packing, op3_one_permutation_minhash, op5_entropy_secrets, op6_token_orc, op7_simhash_vantage, op8_cross_entropy_difference, op9_projected_kd_tree)}
 
 
 def oracle_sql() -> dict[str, str]:
