@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, fingerprints, lm_score, packing, projected_search, secret_scan, simhash, token_orc
+from . import byte_bpe, cotraining, fingerprints, html_main, lm_score, packing, projected_search, secret_scan, simhash, token_orc
 from .shared import table, workspace
 
 
@@ -30,6 +30,12 @@ def op3_one_permutation_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), own.alias("fingerprint"), edited.alias("edited_fingerprint"), "near_edited", "near_next")
 
 
+def op4_cotraining_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents", "doc_id", "text", "lang", "source")
+    model = cotraining.fit(docs, table(spark, sf_dir, "labels", "doc_id", "quality"))
+    return cotraining.scored(docs, model).select("doc_id", F.round("quality_score", 6).alias("quality_score"), (F.col("quality_score") >= cotraining.GOOD_FROM).alias("kept"))
+
+
 def op5_entropy_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = secret_scan.scan(table(spark, sf_dir, "documents", "doc_id", "text"))
     of_kind = lambda k: F.size(F.filter("base_spans", lambda s: s["kind"] == k)).cast("long")
@@ -58,8 +64,13 @@ def op9_projected_kd_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return projected_search.nearest(rows, F.col("vec_id") % 20 == 0, k=20)
 
 
+def op10_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = table(spark, sf_dir, "pages", "page_id", "url", "html")
+    return html_main.extracted(pages, html_main.fit(pages)).select("page_id", "url", "text", F.char_length("text").cast("long").alias("n_chars"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_byte_bpe, op2_curve_packing, op3_one_permutation_minhash, op5_entropy_secrets, op6_token_orc, op7_simhash_vantage, op8_cross_entropy_difference, op9_projected_kd_tree)}
+    return {f.__name__: f for f in (op1_byte_bpe, op2_curve_packing, op3_one_permutation_minhash, op4_cotraining_quality, op5_entropy_secrets, op6_token_orc, op7_simhash_vantage, op8_cross_entropy_difference, op9_projected_kd_tree, op10_main_text)}
 
 
 def oracle_sql() -> dict[str, str]:
