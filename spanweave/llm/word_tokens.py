@@ -16,6 +16,7 @@ from .piece_cache import PieceCache
 
 _LATIN = re.compile(r"[\x00-\xFF]*").fullmatch
 _LETTERS = re.compile(r"[a-z\u00DF-\u00F6\u00F8-\u00FF]+").fullmatch
+_SIGNED = re.compile(r"([a-z\u00DF-\u00F6\u00F8-\u00FF]+)([!-&(-/:-@\[-`{-~]+)").fullmatch  # no apostrophe: it opens pre-tokens of its own
 _END_OF_WORD = re.compile(r"(?<=[a-z\u00DF-\u00F6\u00F8-\u00FF])[.,](?=[ \n])").sub
 
 
@@ -30,8 +31,8 @@ class WordTokens:
     """Encoder with a memo of bounded size.
 
     Texts within Latin-1 need no normalisation but lower case; theirs is done at once, and a full stop or comma that ends
-    a word becomes a chunk of its own, as it is a pre-token of its own.  A chunk of letters goes straight to the BPE model;
-    any other chunk goes through the whole tokenizer.
+    a word becomes a chunk of its own, as it is a pre-token of its own.  A chunk of letters goes straight to the BPE model, letters with
+    ASCII signs behind them are two pre-tokens; any other chunk goes through the whole tokenizer.
     """
 
     def __init__(self, vocab_path: str) -> None:
@@ -53,6 +54,8 @@ class WordTokens:
                 return b"".join([id_bytes[t.id] for t in self.bpe(chunk)])
             if _LETTERS(chunk):
                 return b"".join([id_bytes[t.id] for t in self.bpe(chunk.translate(self.shown))])
+        elif m := _SIGNED(chunk):
+            return self.memo[m[1]] + self.memo[m[2]]
         return b"".join([id_bytes[i] for i in self.tokenizer.encode(chunk, add_special_tokens=False).ids])
 
     def encode(self, text: str) -> bytes:
