@@ -9,8 +9,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..kernels.graph import Graph
+from ..kernels.hard import has_claw
 from ..kernels.hard import minimal_transversals as kernel_transversals
-from ..kernels.induced import has_claw, masks, members, shrink, swap_neighbours
+from ..kernels.induced import masks, members, shrink, swap_neighbours
 from ..plans.workspace import settle
 from .enumerate import over_instances, packed_instances
 
