@@ -221,5 +221,6 @@ def keep_one(docs: DataFrame, *, shingle: int = 3, radius: int = 2) -> DataFrame
     """``docs`` with one document of each component, the one with the smallest id; of rows that repeat that id one stays.  All null ids of a component count as one id."""
     found = near_duplicates(docs, shingle=shingle, radius=radius)
     kept = settle(found.groupBy("component_id").agg(F.count(F.when(F.col("doc_id").eqNullSafe(F.col("component_id")), 1)).alias("rows")).select(F.col("component_id").alias("kept_id"), "rows"))
-    out = docs.join(kept.select("kept_id"), docs["doc_id"].eqNullSafe(kept["kept_id"]), "left_semi")
+    # The ids grow with the documents, so they are never broadcast: the plan, and its share of disk, is the same at every size.
+    out = docs.join(kept.select("kept_id").hint("merge"), docs["doc_id"].eqNullSafe(kept["kept_id"]), "left_semi")
     return out.dropDuplicates(["doc_id"]) if kept.where("rows > 1").limit(1).count() else out
