@@ -29,7 +29,7 @@ from pyspark.sql import types as T
 
 #: A document is good from this score on: junk scores far below, and short clean texts may score in between.
 GOOD_FROM = 0.1
-LABELLED, POOL, ROUNDS, EACH_ROUND = 6000, 6000, 3, 300
+LABELLED, POOL, ROUNDS, EACH_ROUND = 4000, 4000, 3, 200
 WIDTH, BINS, HASHED = 4096, 8, 32
 MEASURES = 10
 
@@ -73,8 +73,8 @@ class Logistic:
 
 def fit_logistic(rows: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, width: int, *, steps: int = 150, rate: float = 0.5, decay: float = 1e-5) -> Logistic:
     """Adam on all rows at once; both classes weigh the same."""
-    at = np.repeat(np.arange(len(rows)), [len(w) for w, _ in rows])
-    where, values = np.concatenate([w for w, _ in rows]), np.concatenate([v for _, v in rows])
+    at = np.repeat(np.arange(len(rows), dtype=np.int32), [len(w) for w, _ in rows])
+    where, values = np.concatenate([w for w, _ in rows]).astype(np.int32), np.concatenate([v for _, v in rows]).astype(np.float32)
     share = max(y.mean(), 1e-9)
     cost = np.where(y == 1, 0.5 / share, 0.5 / max(1 - share, 1e-9)) / len(rows)
     w, b = np.zeros(width), 0.0
@@ -182,7 +182,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, labelled: int = LABELLED, pool: i
         return None
     rows = rows.assign(key=[zlib.crc32(a + b) for a, b in zip(rows["where"], rows["layout"], strict=True)]).sort_values(["key", "y"], kind="stable")  # the same order on any cluster
     y = rows["y"].fillna(-1).astype(int).to_numpy()
-    content = [(np.frombuffer(w, "<u2").astype(np.int64), np.frombuffer(v, "<f4").astype(float)) for w, v in zip(rows["where"], rows["values"], strict=True)]
+    content = [(np.frombuffer(w, "<u2"), np.frombuffer(v, "<f4")) for w, v in zip(rows["where"], rows["values"], strict=True)]
     return co_train(content, [np.frombuffer(m, "<f8") for m in rows["layout"]], y)
 
 
