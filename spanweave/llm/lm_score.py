@@ -98,9 +98,12 @@ def cell_counts(docs: DataFrame, *, text: str = "text", target: str = "is_target
 
 
 def fit(docs: DataFrame, labels: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """log2 probabilities of the target and the background model.  Gathers at most 64^3 rows."""
+    """log2 probabilities of the target and the background model.  Gathers at most 64^3 rows.
+
+    Labels grow with the documents, so they are never broadcast: texts meet them in one shuffle by id at every size.
+    """
     good = labels.where("doc_id is not null").groupBy("doc_id").agg((F.max("quality") == 1).alias("is_target"))
-    rows = cell_counts(docs.select("doc_id", "text").join(good, "doc_id", "left")).toPandas()
+    rows = cell_counts(docs.select("doc_id", "text").join(good.hint("merge"), "doc_id", "left")).toPandas()
     tables = np.zeros((2, SYMBOLS**3), dtype=np.int64)
     tables[0][rows["cell"]], tables[1][rows["cell"]] = rows["target"], rows["background"]
     return log_probabilities(tables[0]), log_probabilities(tables[1])
