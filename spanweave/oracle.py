@@ -122,7 +122,7 @@ def fleet(steps: str, who: str, name: str) -> str:
     SELECT {who} {name}, array_to_string(list_sort(es), '-') solution_key, len(es)::BIGINT n_edges FROM p WHERE t = {PURCHASE}"""
 
 
-SQL["directed_trees_user_fleet"] = fleet("steps AS (SELECT user_id w, event_type e, lead(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) f FROM events WHERE ts < TIMESTAMP '2024-01-05')", "w::BIGINT", "user_id")
+SQL["directed_trees_user_fleet"] = fleet("steps AS (SELECT user_id w, event_type e, lead(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) f FROM events)", "w::BIGINT", "user_id")
 
 
 def windows(width: int, slide: int) -> str:
@@ -148,48 +148,45 @@ SQL["group_trees_regions"] = f"""WITH RECURSIVE {trade()}, {PLACES}, {BOTH}, {pa
   SELECT {KEY} solution_key, len(e)::BIGINT n_edges FROM c WHERE e NOT IN (SELECT e FROM bad) AND len(e) > 0"""
 
 
-def hyperedges(nations: int, orders: int, least: int) -> str:
-    return f"""h AS (SELECT l_orderkey o, s_nationkey::BIGINT v FROM lineitem JOIN supplier ON l_suppkey = s_suppkey WHERE s_nationkey < {nations} AND l_orderkey < {orders} GROUP BY ALL),
-  he AS (SELECT o, bit_or(1::BIGINT << v) m FROM h GROUP BY o HAVING count(*) >= {least})"""
+REGIONS = """h AS (SELECT DISTINCT o_custkey::BIGINT c, l_orderkey o, n_regionkey::BIGINT v FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey)"""
 
 
-def transversals(edges: str, width: int) -> str:
-    return f"""WITH {edges}, hit AS (SELECT x FROM range({1 << width}) r(x) WHERE NOT EXISTS (SELECT 1 FROM he WHERE he.m & x = 0)),
-  least AS (SELECT x FROM hit WHERE NOT EXISTS (SELECT 1 FROM hit y, range({width}) b(i) WHERE hit.x & (1::BIGINT << i) <> 0 AND y.x = hit.x - (1::BIGINT << i)))
-  SELECT array_to_string(list_filter(range({width}), lambda i: x & (1::BIGINT << i) <> 0), '-') solution_key, bit_count(x)::BIGINT n FROM least"""
+def transversals(edges: str, width: str) -> str:
+    """Minimal hitting sets among all masks of elements below ``width``, for each c of he(c, m)."""
+    return f"""WITH {edges}, hit AS (SELECT c, x FROM (SELECT DISTINCT c FROM he), range(1::BIGINT << {width}) r(x) WHERE NOT EXISTS (SELECT 1 FROM he WHERE he.c = c AND he.m & x = 0)),
+  least AS (SELECT c, x FROM hit WHERE NOT EXISTS (SELECT 1 FROM hit y, range({width}) b(i) WHERE hit.x & (1::BIGINT << i) <> 0 AND y.c = hit.c AND y.x = hit.x - (1::BIGINT << i)))"""
 
 
-SQL["minimal_transversals"] = SQL["transversals_by_masks"] = transversals(hyperedges(12, 30, 2), 12)
-SQL["transversals_via_star"] = transversals(hyperedges(10, 12, 1), 10)
-SQL["hypergraph_star"] = f"WITH {hyperedges(12, 30, 2)} SELECT DISTINCT v edge_id, -1::BIGINT src, v dst FROM h WHERE o IN (SELECT o FROM he)"
-SQL["benchmark_token_transversals"] = transversals(r"""
-  w AS (SELECT item_id, word FROM (SELECT item_id, unnest(list_distinct(regexp_split_to_array(lower(text), '[^a-zA-Z0-9_]+'))) word FROM benchmark) WHERE word <> ''),
-  c AS (SELECT *, count(*) OVER (PARTITION BY word) n FROM w),
-  r AS (SELECT *, row_number() OVER (PARTITION BY item_id ORDER BY n, word) k FROM c WHERE item_id < 5 QUALIFY k <= 2),
-  i AS (SELECT word, row_number() OVER (ORDER BY word) - 1 v FROM (SELECT DISTINCT word FROM r)),
-  he AS (SELECT item_id o, bit_or(1::BIGINT << v) m FROM r JOIN i USING (word) GROUP BY item_id)""", 10)
-SQL["normalize_pairs"] = f"WITH {hyperedges(12, 30, 2)}, f AS (SELECT o, v, min(v) OVER (PARTITION BY o) a FROM h WHERE o IN (SELECT o FROM he)) SELECT DISTINCT a, v b FROM f WHERE a <> v"
+SQL["minimal_transversals"] = f"""WITH {REGIONS}, he AS (SELECT c, bit_or(1::BIGINT << v) m FROM h GROUP BY c, o),
+  s AS (SELECT DISTINCT c, m FROM he), every AS (SELECT c, x FROM (SELECT DISTINCT c FROM s), range(32) r(x)), miss AS (SELECT DISTINCT c, x FROM s, range(32) r(x) WHERE m & x = 0),
+  hit AS (SELECT * FROM every ANTI JOIN miss USING (c, x)),
+  more AS (SELECT c, x | (1::BIGINT << i) x FROM hit, range(5) b(i) WHERE x & (1::BIGINT << i) = 0), least AS (SELECT * FROM hit ANTI JOIN more USING (c, x))
+  SELECT c customer, array_to_string(list_filter(range(5), lambda i: x & (1::BIGINT << i) <> 0), '-') solution_key, bit_count(x)::BIGINT n FROM least"""
+PLACED = f"""{trade()}, {PLACES}, e AS (SELECT edge_id, r - 1 p FROM (SELECT edge_id, src v FROM g UNION ALL SELECT edge_id, dst FROM g) x JOIN place USING (v)), size AS (SELECT count(*) n FROM place)"""
 
-INTERVAL = """part_v AS (SELECT p_partkey::BIGINT v, p_size s FROM part WHERE p_partkey < 14),
-  g AS (SELECT row_number() OVER (ORDER BY a.v, b.v) - 1 edge_id, a.v src, b.v dst FROM part_v a JOIN part_v b ON a.v < b.v AND abs(a.s - b.s) <= 9)"""
-SQL["interval_graph"] = f"WITH {INTERVAL} SELECT src, dst FROM g"
 
+def all_masks(sets: str, name: str) -> str:
+    """Minimal hitting sets over the graph's places, named by ``name`` of a place i."""
+    return f"""WITH {PLACED}, he AS ({sets}), hit AS (SELECT x FROM size, range(1::BIGINT << n) r(x) WHERE NOT EXISTS (SELECT 1 FROM he WHERE he.m & x = 0)),
+  more AS (SELECT DISTINCT x | (1::BIGINT << (r - 1)) x FROM hit, place WHERE x & (1::BIGINT << (r - 1)) = 0), least AS (SELECT * FROM hit ANTI JOIN more USING (x))
+  SELECT string_agg({name}::VARCHAR, '-' ORDER BY {name}) solution_key, count(*) n FROM least JOIN place ON x & (1::BIGINT << (r - 1)) <> 0 GROUP BY x"""
 
-def induced(terminals: list[int], only_least: bool = False) -> str:
-    """Connected sets by reachability over masks; a set is minimal if no smaller connected set lies within it."""
-    want = sum(1 << t for t in terminals)
-    return f"""WITH RECURSIVE {INTERVAL}, near AS (SELECT v, bit_or(1::BIGINT << u) m FROM (SELECT src v, dst u FROM g UNION ALL SELECT dst, src FROM g) GROUP BY v),
-  c AS (SELECT x FROM range({1 << 14}) r(x) WHERE x & {want} = {want}),
-  grow(x, m) AS (SELECT x, (1::BIGINT << {terminals[0]}) FROM c UNION ALL
-    SELECT x, k FROM (SELECT grow.x, grow.m, (grow.m | (bit_or(near.m) & grow.x)) k FROM grow JOIN near ON grow.m & (1::BIGINT << near.v) <> 0 GROUP BY grow.x, grow.m) WHERE k <> m),
-  ok AS (SELECT DISTINCT x FROM grow WHERE m = x),
-  least AS (SELECT x FROM ok WHERE NOT EXISTS (SELECT 1 FROM ok y WHERE y.x <> ok.x AND y.x & ok.x = y.x))
-  SELECT array_to_string(list_filter(range(14), lambda i: x & (1::BIGINT << i) <> 0), '-') solution_key, bit_count(x)::BIGINT n FROM least
-  {"WHERE bit_count(x) = (SELECT min(bit_count(x)) FROM least)" if only_least else ""}"""
 
+SQL["vertex_covers_by_masks"] = SQL["vertex_covers_via_star"] = all_masks("SELECT bit_or(1::BIGINT << p) m FROM e GROUP BY edge_id", "(r - 1)")
+SQL["minimal_dominating_sets"] = all_masks("SELECT bit_or((1::BIGINT << (y.r - 1)) | (1::BIGINT << (x.r - 1))) m FROM (SELECT src a, dst b FROM g UNION ALL SELECT dst, src FROM g) JOIN place x ON x.v = a JOIN place y ON y.v = b GROUP BY a", "v")
+SQL["hypergraph_star"] = "SELECT DISTINCT n_regionkey::BIGINT edge_id, -1::BIGINT src, n_regionkey::BIGINT dst FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey"
+SQL["normalize_pairs"] = f"WITH {REGIONS}, f AS (SELECT c, o, v, min(v) OVER (PARTITION BY c, o) a FROM h) SELECT DISTINCT c customer, a, v b FROM f WHERE a <> v"
 
-SQL["induced_interval_graph"] = induced([2, 5, 10])
-SQL["minimum_induced"] = induced([0, 9], True)
+INTERVAL = """v AS (SELECT DISTINCT p_size::BIGINT v FROM part WHERE p_size IS NOT NULL),
+  g AS (SELECT row_number() OVER (ORDER BY a.v, b.v) - 1 edge_id, a.v src, b.v dst FROM v a JOIN v b ON a.v < b.v AND b.v - a.v <= {0})"""
+SQL["interval_graph"] = f"WITH {INTERVAL.format(9)} SELECT src, dst FROM g"
+#: For two terminals the minimal sets are the paths without chords.
+INDUCED = f"""WITH RECURSIVE {INTERVAL.format(24)}, arcs AS (SELECT src, dst FROM g UNION ALL SELECT dst, src FROM g), q AS (SELECT min(v) a, max(v) b FROM v),
+  p(t, vs) AS (SELECT a, [a] FROM q UNION ALL SELECT x.dst, list_append(p.vs, x.dst) FROM p JOIN arcs x ON p.t = x.src, q
+    WHERE p.t <> q.b AND NOT list_contains(p.vs, x.dst) AND len(list_filter(p.vs, lambda u: abs(u - x.dst) <= 24)) = 1)
+  SELECT array_to_string(list_sort(vs), '-') solution_key, len(vs)::BIGINT n FROM p, q WHERE t = b"""
+SQL["induced_interval_graph"] = INDUCED
+SQL["minimum_induced"] = f"WITH i AS ({INDUCED}) SELECT * FROM i WHERE n = (SELECT min(n) FROM i)"
 
 SQL["internal_trees"] = f"""WITH {EVENTS.replace('g AS (', 'h AS (')}, g AS (SELECT edge_id, src, dst, row_number() OVER (ORDER BY edge_id) - 1 k FROM h WHERE src < dst),
   s AS (SELECT x, g.edge_id, src, dst FROM range(1, 1024) r(x) JOIN g ON x & (1::BIGINT << g.k) <> 0),
@@ -210,8 +207,6 @@ SQL["trade_pairs"] = f"WITH {trade()} SELECT edge_id, src, dst FROM g"
 SQL["degrees"] = f"WITH {trade()}, {PLACES} SELECT v vertex, degree, r place FROM place"
 SQL["bridges"] = f"""WITH RECURSIVE {trade()}, {BOTH}, r(edge_id, v) AS (SELECT edge_id, src FROM g UNION SELECT r.edge_id, a.dst FROM r JOIN arcs a ON a.src = r.v AND a.edge_id <> r.edge_id)
   SELECT edge_id FROM g WHERE NOT EXISTS (SELECT 1 FROM r WHERE r.edge_id = g.edge_id AND r.v = g.dst)"""
-SQL["components"] = f"""WITH RECURSIVE {trade(300).replace("g AS (", "h AS (")}, g AS (SELECT * FROM h WHERE (dst - src) % 7 = 0), {BOTH},
-  r(s, v) AS (SELECT src, src FROM arcs UNION SELECT r.s, a.dst FROM r JOIN arcs a ON a.src = r.v) SELECT s vertex, min(v) component FROM r GROUP BY s"""
 SQL["reachable"] = f"WITH RECURSIVE {EVENTS}, r(v) AS (SELECT {SIGNUP}::BIGINT UNION SELECT dst FROM r JOIN g ON src = v AND edge_id < 6) SELECT v vertex FROM r"
 SQL["admissible_components"] = f"""WITH RECURSIVE {trade()}, {PLACES}, {BOTH}, w AS (SELECT v FROM place WHERE r <= 2),
   r(s, v) AS (SELECT v, v FROM place WHERE r > 2 UNION SELECT r.s, a.dst FROM r JOIN arcs a ON a.src = r.v WHERE a.dst NOT IN (SELECT v FROM w)),
@@ -220,6 +215,9 @@ SQL["admissible_components"] = f"""WITH RECURSIVE {trade()}, {PLACES}, {BOTH}, w
   SELECT component, vertex FROM c WHERE component IN (SELECT component FROM ok)"""
 LINKS = r"""links AS (SELECT DISTINCT regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) host, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) target FROM pages),
   best AS (SELECT target FROM links GROUP BY target ORDER BY count(*) DESC, target LIMIT 3), l AS (SELECT host, target FROM links WHERE target IN (SELECT target FROM best))"""
+SQL["components"] = r"""WITH RECURSIVE g AS (SELECT DISTINCT 'host ' || regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) src, 'target ' || unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) dst FROM pages),
+  arcs AS (SELECT src, dst FROM g UNION ALL SELECT dst, src FROM g),
+  r(s, v) AS (SELECT src, src FROM arcs UNION SELECT r.s, a.dst FROM r JOIN arcs a ON a.src = r.v) SELECT s vertex, min(v) component FROM r GROUP BY s"""
 SQL["strip_leaves"] = f"WITH {LINKS} SELECT host, target FROM l WHERE host IN (SELECT host FROM l GROUP BY host HAVING count(*) >= 2)"
 SQL["page_link_fragments"] = f"""WITH RECURSIVE {LINKS}, two AS (SELECT * FROM l WHERE host IN (SELECT host FROM l GROUP BY host HAVING count(*) >= 2)),
   names AS (SELECT label, row_number() OVER (ORDER BY side, label) - 1 v, side FROM (SELECT DISTINCT 0 side, host label FROM two UNION SELECT 1, target FROM best)),
@@ -228,21 +226,22 @@ SQL["page_link_fragments"] = f"""WITH RECURSIVE {LINKS}, two AS (SELECT * FROM l
   SELECT len(e)::BIGINT n_edges, count(*) n FROM u GROUP BY 1"""
 SQL["relevant_blocks"] = f"{PATHS_AB} SELECT DISTINCT unnest(es) edge_id FROM p WHERE t = {at(2)}"
 
-KIND = 10**12
-SLICE = f"""o AS (SELECT * FROM orders WHERE o_orderkey < 3), li AS (SELECT *, l_orderkey * 8 + l_linenumber k FROM lineitem WHERE l_orderkey < 3),
-  cu AS (SELECT * FROM customer WHERE c_custkey IN (SELECT o_custkey FROM o)), su AS (SELECT * FROM supplier WHERE s_suppkey IN (SELECT l_suppkey FROM li)),
-  words AS (SELECT min(c_mktsegment) word, {9 * KIND}::BIGINT w FROM cu UNION ALL SELECT min(o_orderpriority), {9 * KIND + 1} FROM o),
-  fk AS (SELECT {KIND} + k src, {2 * KIND} + l_orderkey dst FROM li UNION SELECT {KIND} + k, {5 * KIND} + l_partkey FROM li UNION SELECT {KIND} + k, {4 * KIND} + l_suppkey FROM li
-    UNION SELECT {2 * KIND} + o_orderkey, {3 * KIND} + o_custkey FROM o UNION SELECT {3 * KIND} + c_custkey, {6 * KIND} + c_nationkey FROM cu UNION SELECT {4 * KIND} + s_suppkey, {6 * KIND} + s_nationkey FROM su
-    UNION SELECT {6 * KIND} + n_nationkey, {7 * KIND} + n_regionkey FROM nation WHERE n_nationkey IN (SELECT c_nationkey FROM cu UNION SELECT s_nationkey FROM su)
-    UNION SELECT {2 * KIND} + o_orderkey, w FROM o JOIN words ON word = o_orderpriority UNION SELECT {3 * KIND} + c_custkey, w FROM cu JOIN words ON word = c_mktsegment
-    UNION SELECT {7 * KIND} + r_regionkey, w FROM region JOIN words ON word = r_name UNION SELECT {5 * KIND} + p_partkey, w FROM part JOIN words ON word = p_brand WHERE p_partkey IN (SELECT l_partkey FROM li)),
-  g AS (SELECT row_number() OVER (ORDER BY src, dst) - 1 edge_id, src, dst FROM fk)"""
-SQL["kfragments_undirected"] = SQL["kfragments_strong"] = f"""WITH RECURSIVE {SLICE}, {BOTH}, {paths(f"SELECT {9 * KIND}::BIGINT s")}
-  SELECT array_to_string(list_sort(es), '-') solution_key, len(es)::BIGINT n_edges FROM p WHERE t = {9 * KIND + 1}"""
-SQL["kfragments_directed"] = f"""WITH RECURSIVE {SLICE}, {ONE_WAY}, {paths(f"SELECT DISTINCT src s FROM g WHERE src < {9 * KIND}")},
-  u AS (SELECT s, v, e FROM (SELECT x.s, list_distinct(list_concat(x.vs, y.vs)) v, list_distinct(list_concat(x.es, y.es)) e FROM p x JOIN p y ON x.s = y.s AND x.t = {9 * KIND} AND y.t = {9 * KIND + 1}) WHERE len(v) = len(e) + 1)
-  SELECT s root, {KEY} solution_key, len(e)::BIGINT n_edges FROM u"""
+NAMED = f"""{trade().replace("g AS (", "tg AS (")}, tv AS (SELECT src v FROM tg UNION SELECT dst FROM tg),
+  g AS (SELECT * FROM tg UNION ALL SELECT 1000 + v, v, -1 - n_regionkey FROM tv JOIN nation ON n_nationkey = v),
+  w AS (SELECT dst v, row_number() OVER (ORDER BY dst DESC) r FROM (SELECT DISTINCT dst FROM g WHERE dst < 0))"""
+SQL["kfragments_undirected"] = f"""WITH RECURSIVE {NAMED}, {BOTH}, {paths("SELECT v s FROM w WHERE r = 1")}
+  SELECT array_to_string(list_sort(es), '-') solution_key, len(es)::BIGINT n_edges FROM p WHERE t = (SELECT v FROM w WHERE r = 2)"""
+SQL["kfragments_strong"] = f"""WITH RECURSIVE {NAMED}, {BOTH}, {paths("SELECT v s FROM w WHERE r = 1", go_on="p.t NOT IN (SELECT v FROM w WHERE r <= 3)")},
+  {tuples(["(SELECT v FROM w WHERE r = 2)", "(SELECT v FROM w WHERE r = 3)"])},
+  d AS (SELECT e, x.v, count(*) n FROM u, (SELECT edge_id, src v FROM g UNION ALL SELECT edge_id, dst FROM g) x WHERE list_contains(u.e, x.edge_id) GROUP BY ALL),
+  ok AS (SELECT e FROM d JOIN w ON d.v = w.v AND w.r <= 3 GROUP BY e HAVING max(n) = 1) SELECT {KEY} solution_key, len(e)::BIGINT n_edges FROM ok"""
+#: A root reaches both words by its customer and by one of two ways to the region; arcs as numbered there, of equal ones the first.
+SQL["kfragments_directed"] = """WITH j AS (SELECT (l_orderkey * 8 + l_linenumber)::BIGINT line, cn.n_nationkey c, sn.n_nationkey s, cn.n_regionkey cr, sn.n_regionkey sr,
+    (SELECT r_regionkey FROM region ORDER BY r_name LIMIT 1) r FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey
+    JOIN nation cn ON c_nationkey = cn.n_nationkey JOIN nation sn ON s_nationkey = sn.n_nationkey WHERE c_mktsegment = (SELECT min(c_mktsegment) FROM customer)),
+  t AS (SELECT line, [0, 2, 7, 3, 5, 8] e FROM j WHERE cr = r
+    UNION ALL SELECT line, CASE WHEN c = s THEN [0, 2, 7, 1, 4, 5, 8] WHEN cr = sr THEN [0, 2, 7, 1, 4, 6, 8] ELSE [0, 2, 7, 1, 4, 6, 9] END FROM j WHERE sr = r)
+  SELECT line, array_to_string(list_sort(e), '-') solution_key, len(e)::BIGINT n_edges FROM t"""
 SQL["conversation_trees"] = """WITH s AS (SELECT conv_id, turn, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) f FROM conversations)
   SELECT conv_id::BIGINT conv_id, string_agg(turn::VARCHAR, '-' ORDER BY turn) solution_key, count(*) n_edges FROM s WHERE f IS NOT NULL GROUP BY conv_id"""
 SQL["document_facet_degrees"] = "SELECT lang \"label\", count(DISTINCT source) sources FROM documents WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1) GROUP BY lang"

@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .functions import measures
-from .kernels.solve import Options
+from .kernels.solve import Options, solutions
 from .operators import enumerate as enum
 from .operators import graph_tests, hard
 from .operators.components import connected_components
@@ -276,32 +276,40 @@ def group_trees_regions(spark, sf_dir):
 
 @query
 def minimal_transversals(spark, sf_dir):
-    return hard.minimal_transversals(graphs.order_nations(spark, sf_dir)).select("solution_key", F.col("n").cast("bigint").alias("n"))
+    """For each customer the minimal sets of regions that have a supplier in every order."""
+    found = hard.minimal_transversals(graphs.customer_regions(spark, sf_dir))
+    return found.select(F.col("instance_id").alias("customer"), "solution_key", F.col("n").cast("bigint").alias("n"))
 
 
 @query
-def transversals_by_masks(spark, sf_dir):
-    masks = relational.hitting_masks(graphs.order_nations(spark, sf_dir), 12)
-    return masks.select(relational.masked_key(F.col("mask"), 12).alias("solution_key"), F.bit_count("mask").cast("bigint").alias("n"))
+def minimal_dominating_sets(spark, sf_dir):
+    return hard.minimal_transversals(graphs.neighbourhood_hypergraph(trade(spark, sf_dir))).select("solution_key", F.col("n").cast("bigint").alias("n"))
 
 
 @query
-def transversals_via_star(spark, sf_dir):
+def vertex_covers_by_masks(spark, sf_dir):
+    masks = relational.hitting_masks(_by_place(trade(spark, sf_dir)), 20)
+    return masks.select(relational.masked_key(F.col("mask"), 20).alias("solution_key"), F.bit_count("mask").cast("bigint").alias("n"))
+
+
+@query
+def vertex_covers_via_star(spark, sf_dir):
     """Group trees of the star, read back as the elements that are leaves."""
-    edges, groups = hard.hypergraph_to_star(graphs.order_nations(spark, sf_dir, nations=10, orders=12, least=1))
+    edges, groups = hard.hypergraph_to_star(_by_place(trade(spark, sf_dir)))
     trees = enum.group_steiner_trees(graphs.one_instance(spark), groups, edges, max_choices=2_000_000)
     leaves = F.filter("vertices", lambda v: v >= 0)
     return trees.select(F.array_join(F.transform(F.array_sort(leaves), lambda v: v.cast("string")), "-").alias("solution_key"), F.size(leaves).cast("bigint").alias("n"))
 
 
-@query
-def hypergraph_star(spark, sf_dir):
-    return hard.hypergraph_to_star(graphs.order_nations(spark, sf_dir))[0].select("edge_id", "src", "dst")
+def _by_place(g: DataFrame) -> DataFrame:
+    """The edge hypergraph with vertices numbered by their place in the degree order, from 0."""
+    place = graphs.by_degree(g).select(F.col("vertex").alias("element"), (F.col("place") - 1).cast("bigint").alias("p"))
+    return graphs.edge_hypergraph(g).join(place, "element").select("instance_id", "hyperedge_id", F.col("p").alias("element"))
 
 
 @query
-def benchmark_token_transversals(spark, sf_dir):
-    return hard.minimal_transversals(graphs.benchmark_tokens(spark, sf_dir, k=2, items=5)).select("solution_key", F.col("n").cast("bigint").alias("n"))
+def hypergraph_star(spark, sf_dir):
+    return hard.hypergraph_to_star(graphs.customer_regions(spark, sf_dir))[0].select("edge_id", "src", "dst")
 
 
 @query
@@ -314,16 +322,23 @@ def internal_trees(spark, sf_dir):
 # Induced connections.
 
 
+def _ends(g: DataFrame) -> DataFrame:
+    """The smallest and the greatest vertex as terminals."""
+    ends = g.agg(F.min("src").alias("a"), F.max("dst").alias("b"))
+    return ends.select(F.lit(0).cast("bigint").alias("instance_id"), F.explode(F.array("a", "b")).alias("vertex_id"))
+
+
 @query
 def induced_interval_graph(spark, sf_dir):
-    g = settle(graphs.intervals(spark, sf_dir))
-    return hard.induced_steiner_subgraphs(graphs.one_instance(spark), terminal_rows(spark, [2, 5, 10]), g).select("solution_key", F.col("n_vertices").cast("bigint").alias("n"))
+    """Minimal ways to connect the smallest part size with the greatest by steps of at most 24."""
+    g = settle(graphs.intervals(spark, sf_dir, 24))
+    return hard.induced_steiner_subgraphs(graphs.one_instance(spark), _ends(g), g).select("solution_key", F.col("n_vertices").cast("bigint").alias("n"))
 
 
 @query
 def minimum_induced(spark, sf_dir):
-    g = settle(graphs.intervals(spark, sf_dir))
-    found = hard.induced_steiner_subgraphs(graphs.one_instance(spark), terminal_rows(spark, [0, 9]), g)
+    g = settle(graphs.intervals(spark, sf_dir, 24))
+    found = hard.induced_steiner_subgraphs(graphs.one_instance(spark), _ends(g), g)
     return hard.smallest(found, "n_vertices").select("solution_key", F.col("n_vertices").cast("bigint").alias("n"))
 
 
@@ -372,9 +387,9 @@ def bridges(spark, sf_dir):
 
 @query
 def components(spark, sf_dir):
-    """Components of customers and nations' suppliers by odd trade: pairs of nations that differ by a multiple of 7."""
-    g = trade(spark, sf_dir, 300).where("(dst - src) % 7 = 0")
-    return connected_components(g)
+    """Hosts and link targets of all pages, each with the smallest label that it is linked with."""
+    links = graphs.host_links(spark, sf_dir).select(F.concat(F.lit("host "), "host").alias("src"), F.concat(F.lit("target "), "target").alias("dst"))
+    return connected_components(links)
 
 
 @query
@@ -418,45 +433,48 @@ def trees_after_pruning(spark, sf_dir):
 
 @query
 def normalize_pairs(spark, sf_dir):
-    """Each order's supplier nations as pairs with the smallest."""
-    sets = graphs.order_nations(spark, sf_dir).select("instance_id", F.col("hyperedge_id").alias("set_id"), F.col("element").alias("vertex_id"))
-    return graph_tests.normalize_pairs(sets).select("a", "b")
+    """Each order's supplier regions as pairs with the smallest, by customer."""
+    sets = graphs.customer_regions(spark, sf_dir).select("instance_id", F.col("hyperedge_id").alias("set_id"), F.col("element").alias("vertex_id"))
+    return graph_tests.normalize_pairs(sets).select(F.col("instance_id").alias("customer"), "a", "b")
 
 
 # Keyword search.
 
 
-def _keywords(spark: SparkSession, sf_dir: str) -> list[str]:
-    """A market segment and an order priority: the smallest that the slice has of each (two rows)."""
-    orders = graphs.read(spark, sf_dir, "orders").where("o_orderkey < 3")
-    customers = graphs.read(spark, sf_dir, "customer").join(orders, F.col("c_custkey") == F.col("o_custkey"), "left_semi")
-    return [customers.agg(F.min("c_mktsegment")).first()[0], orders.agg(F.min("o_orderpriority")).first()[0]]
+def _regions(spark: SparkSession, sf_dir: str, g: DataFrame, n: int) -> list[int]:
+    """Vertices of the n smallest region keys that have a nation in the graph (at most five)."""
+    found = g.where("dst < 0").select("dst").distinct().orderBy(F.desc("dst")).limit(n).collect()
+    return [r["dst"] for r in found]
 
 
 @query
 def kfragments_undirected(spark, sf_dir):
-    """Trees that connect two keywords within the tuples of the first three orders."""
-    edges, names = graphs.data_graph(spark, sf_dir, _keywords(spark, sf_dir), 3)
-    return keys(enum.steiner_trees(graphs.one_instance(spark), names.select(F.lit(0).cast("bigint").alias("instance_id"), "vertex_id"), settle(edges)))
+    """Trees that connect two region names through nations that trade."""
+    g = settle(graphs.region_graph(spark, sf_dir, trade(spark, sf_dir)))
+    return keys(enum.steiner_trees(graphs.one_instance(spark), terminal_rows(spark, _regions(spark, sf_dir, g, 2)), g))
 
 
 @query
 def kfragments_strong(spark, sf_dir):
-    """Keyword nodes as leaves only: for two keywords these are the paths between them."""
-    edges, names = graphs.data_graph(spark, sf_dir, _keywords(spark, sf_dir), 3)
-    return keys(enum.terminal_steiner_trees(graphs.one_instance(spark), names.select(F.lit(0).cast("bigint").alias("instance_id"), "vertex_id"), settle(edges)))
+    """Trees whose leaves are three region names, and no name inside."""
+    g = settle(graphs.region_graph(spark, sf_dir, trade(spark, sf_dir)))
+    return keys(enum.terminal_steiner_trees(graphs.one_instance(spark), terminal_rows(spark, _regions(spark, sf_dir, g, 3)), g))
 
 
 @query
 def kfragments_directed(spark, sf_dir):
-    """Along foreign keys, every tuple as a root of its own."""
-    edges, names = graphs.data_graph(spark, sf_dir, _keywords(spark, sf_dir), 3)
-    edges, names = settle(edges), settle(names)
-    roots = edges.select(F.col("src").alias("root")).distinct().join(F.broadcast(names), F.col("root") == F.col("vertex_id"), "left_anti")
-    jobs = roots.select(F.col("root").alias("instance_id"), F.lit(0).cast("bigint").alias("graph_id"), "root")
-    wanted = roots.select(F.col("root").alias("instance_id")).crossJoin(F.broadcast(names.select("vertex_id")))  # a row a keyword
-    found = enum.directed_steiner_trees(jobs, wanted, edges)
-    return keys(found.withColumnRenamed("instance_id", "root"), "root")
+    """Along foreign keys from every lineitem to a market segment and a region name, the smallest of each."""
+    segment = graphs.read(spark, sf_dir, "customer").agg(F.min("c_mktsegment")).first()[0]
+    region = graphs.read(spark, sf_dir, "region").agg(F.min("r_name")).first()[0]
+    nested, words = graphs.tuple_graphs(spark, sf_dir, segment, region)
+    wanted = [r["vertex_id"] for r in words.collect()]
+    packed = nested.select("instance_id", "root", "edges", F.array(F.array(*map(F.lit, wanted))).alias("sets"))
+
+    def work(who, graph, sets, root):
+        for s in solutions(graph, sets, root, Options(flavour="directed")):
+            yield who, s.key, len(s.edges)
+
+    return keys(enum.over_instances(packed, work, "line bigint, solution_key string, n_edges int"), "line")
 
 
 @query

@@ -83,9 +83,9 @@ def event_digraph(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counts.select(*_edges(F.col("s"), F.col("t"), F.row_number().over(Window.orderBy(F.desc("n"), "s", "t")) - 1))
 
 
-def user_digraphs(spark: SparkSession, sf_dir: str, before: str = "2024-01-05") -> DataFrame:
+def user_digraphs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One digraph a user, graph_id being the user; edge_id is 5 s + t."""
-    arcs = _transitions(read(spark, sf_dir, "events").where(F.col("ts") < F.lit(before).cast("timestamp"))).select("user_id", "s", "t").distinct()
+    arcs = _transitions(read(spark, sf_dir, "events")).select("user_id", "s", "t").distinct()
     return arcs.select(*_edges(F.col("s"), F.col("t"), F.col("s") * 5 + F.col("t"), F.col("user_id")))
 
 
@@ -113,37 +113,34 @@ def tuple_id(code: int, key: str) -> Column:
 LINEITEM, ORDERS, CUSTOMER, SUPPLIER, PART, NATION, REGION, KEYWORD = 1, 2, 3, 4, 5, 6, 7, 9
 
 
-def order_slice(spark: SparkSession, sf_dir: str, last_order: int = 20) -> DataFrame:
-    """Foreign-key pairs (src, dst) of the tuples around orders below ``last_order``: line to order, part and supplier, and on to nation and region."""
-    orders = read(spark, sf_dir, "orders").where(F.col("o_orderkey") < last_order).select("o_orderkey", "o_custkey")
-    lines = read(spark, sf_dir, "lineitem").where(F.col("l_orderkey") < last_order).select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("line"), "l_orderkey", "l_partkey", "l_suppkey")
-    customers = read(spark, sf_dir, "customer").join(F.broadcast(orders.select("o_custkey").distinct()), F.col("c_custkey") == F.col("o_custkey"), "left_semi")
-    suppliers = read(spark, sf_dir, "supplier").join(F.broadcast(lines.select("l_suppkey").distinct()), F.col("s_suppkey") == F.col("l_suppkey"), "left_semi")
-    nations = customers.select(F.col("c_nationkey").alias("k")).union(suppliers.select("s_nationkey")).distinct()
-    pairs = [
-        lines.select(tuple_id(LINEITEM, "line").alias("src"), tuple_id(ORDERS, "l_orderkey").alias("dst")),
-        lines.select(tuple_id(LINEITEM, "line"), tuple_id(PART, "l_partkey")),
-        lines.select(tuple_id(LINEITEM, "line"), tuple_id(SUPPLIER, "l_suppkey")),
-        orders.select(tuple_id(ORDERS, "o_orderkey"), tuple_id(CUSTOMER, "o_custkey")),
-        customers.select(tuple_id(CUSTOMER, "c_custkey"), tuple_id(NATION, "c_nationkey")),
-        suppliers.select(tuple_id(SUPPLIER, "s_suppkey"), tuple_id(NATION, "s_nationkey")),
-        read(spark, sf_dir, "nation").join(nations, F.col("n_nationkey") == F.col("k"), "left_semi").select(tuple_id(NATION, "n_nationkey"), tuple_id(REGION, "n_regionkey")),
-    ]
-    out = pairs[0]
-    for p in pairs[1:]:
-        out = out.union(p)
-    return out
-
-
-def keyword_nodes(spark: SparkSession, sf_dir: str, last_order: int = 20) -> DataFrame:
-    """(keyword, src): order priorities, market segments, region names and brands of the slice's tuples, with the tuple that holds each."""
-    orders = read(spark, sf_dir, "orders").where(F.col("o_orderkey") < last_order)
-    customers = read(spark, sf_dir, "customer").join(F.broadcast(orders.select("o_custkey").distinct()), F.col("c_custkey") == F.col("o_custkey"), "left_semi")
-    lines = read(spark, sf_dir, "lineitem").where(F.col("l_orderkey") < last_order).select("l_partkey").distinct()
-    parts = read(spark, sf_dir, "part").join(F.broadcast(lines), F.col("p_partkey") == F.col("l_partkey"), "left_semi")
-    out = orders.select(F.col("o_orderpriority").alias("keyword"), tuple_id(ORDERS, "o_orderkey").alias("src"))
-    out = out.union(customers.select("c_mktsegment", tuple_id(CUSTOMER, "c_custkey"))).union(read(spark, sf_dir, "region").select("r_name", tuple_id(REGION, "r_regionkey")))
-    return out.union(parts.select("p_brand", tuple_id(PART, "p_partkey")))
+def tuple_graphs(spark: SparkSession, sf_dir: str, segment: str, region: str) -> tuple[DataFrame, DataFrame]:
+    """(edges, instances): the foreign-key tree below each lineitem whose customer is in ``segment`` and whose customer or supplier is in ``region``.
+
+    An answer to the two keywords uses only tuples that its root refers to, so every lineitem has a graph of its own, of at
+    most ten arcs, made by equi-joins; rows that cannot hold both keywords go before anything is nested.  Keyword nodes hang
+    on the tuples that hold them: KEYWORD 0 on the customer, KEYWORD 1 on the region.  edge_id numbers the arcs of a graph.
+    """
+    nation = read(spark, sf_dir, "nation").join(read(spark, sf_dir, "region"), F.col("n_regionkey") == F.col("r_regionkey"))
+    side = lambda p: F.broadcast(nation.select(F.col("n_nationkey").alias(f"{p}_nation"), F.col("r_regionkey").alias(f"{p}_region"), (F.col("r_name") == region).alias(f"{p}_in")))  # noqa: E731  (a row a nation)
+    customers = read(spark, sf_dir, "customer").where(F.col("c_mktsegment") == segment).select("c_custkey", F.col("c_nationkey").alias("c_nation")).join(side("c"), "c_nation")
+    suppliers = read(spark, sf_dir, "supplier").select("s_suppkey", F.col("s_nationkey").alias("s_nation")).join(side("s"), "s_nation")
+    orders = read(spark, sf_dir, "orders").select("o_orderkey", "o_custkey").join(customers, F.col("o_custkey") == F.col("c_custkey"))
+    lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", "l_suppkey")
+    rows = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).join(suppliers, F.col("l_suppkey") == F.col("s_suppkey")).where("c_in or s_in")
+    rows = rows.withColumn("line", F.col("l_orderkey") * 8 + F.col("l_linenumber"))
+    arc = lambda n, a, b: F.struct(F.lit(n).cast("bigint").alias("edge_id"), a.alias("src"), b.alias("dst"))
+    line, order, customer, supplier = tuple_id(LINEITEM, "line"), tuple_id(ORDERS, "l_orderkey"), tuple_id(CUSTOMER, "o_custkey"), tuple_id(SUPPLIER, "l_suppkey")
+    word = lambda k: F.lit(KEYWORD * KIND + k).cast("bigint")
+    arcs = F.array(
+        arc(0, line, order), arc(1, line, supplier), arc(2, order, customer), arc(3, customer, tuple_id(NATION, "c_nation")), arc(4, supplier, tuple_id(NATION, "s_nation")),
+        arc(5, tuple_id(NATION, "c_nation"), tuple_id(REGION, "c_region")), arc(6, tuple_id(NATION, "s_nation"), tuple_id(REGION, "s_region")), arc(7, customer, word(0)),
+        F.when(F.col("c_in"), arc(8, tuple_id(REGION, "c_region"), word(1))), F.when(F.col("s_in"), arc(9, tuple_id(REGION, "s_region"), word(1))),
+    )
+    # One nation or region on both sides is one tuple: of arcs with equal ends the first stays.
+    distinct = F.filter(arcs, lambda x: x.isNotNull())
+    distinct = F.filter(distinct, lambda x: ~F.exists(distinct, lambda y: (y["src"] == x["src"]) & (y["dst"] == x["dst"]) & (y["edge_id"] < x["edge_id"])))
+    nested = rows.select(F.col("line").cast("bigint").alias("instance_id"), line.alias("root"), F.array_sort(distinct).alias("edges"))
+    return nested, spark.createDataFrame([(segment, KEYWORD * KIND), (region, KEYWORD * KIND + 1)], "keyword string, vertex_id bigint")
 
 
 def numbered(pairs: DataFrame) -> DataFrame:
@@ -152,11 +149,11 @@ def numbered(pairs: DataFrame) -> DataFrame:
     return pairs.distinct().select(*_edges(F.col("src"), F.col("dst"), rank))
 
 
-def data_graph(spark: SparkSession, sf_dir: str, keywords: list[str], last_order: int = 20) -> tuple[DataFrame, DataFrame]:
-    """(edges, keyword vertices): the slice with one node for each of ``keywords``, in their order, next to the tuples that hold it."""
-    names = spark.createDataFrame([(w, KEYWORD * KIND + i) for i, w in enumerate(keywords)], "keyword string, vertex_id bigint")
-    holders = keyword_nodes(spark, sf_dir, last_order).join(F.broadcast(names), "keyword").select("src", F.col("vertex_id").alias("dst"))
-    return numbered(order_slice(spark, sf_dir, last_order).union(holders)), names
+def region_graph(spark: SparkSession, sf_dir: str, trade: DataFrame) -> DataFrame:
+    """The trade graph with an edge from each nation in it to its region, whose node carries the region's name: vertex -1 - region key, edge 1000 + nation key."""
+    ends = trade.select(F.explode(F.array("src", "dst")).alias("v")).distinct()
+    held = read(spark, sf_dir, "nation").join(ends, F.col("n_nationkey") == F.col("v")).select(*_edges(F.col("v"), -1 - F.col("n_regionkey"), 1000 + F.col("v")))
+    return trade.unionByName(held)
 
 
 def host_links(spark: SparkSession, sf_dir: str, top: int | None = None) -> DataFrame:
@@ -176,15 +173,15 @@ def bipartite(pairs: DataFrame, left: str, right: str) -> tuple[DataFrame, DataF
     return numbered(pairs.join(a, left).join(b, right).select("src", "dst")), names
 
 
-def intervals(spark: SparkSession, sf_dir: str, parts: int = 14, reach: int = 9) -> DataFrame:
-    """Parts below ``parts``; an edge where sizes differ by at most ``reach``: a unit interval graph, without claws.
+def intervals(spark: SparkSession, sf_dir: str, reach: int = 9) -> DataFrame:
+    """The sizes of all parts; an edge where two differ by at most ``reach``: a unit interval graph, without claws.
 
-    A band join: each part is put into the bucket of its size and meets its own and the next bucket only.
+    A band join: each size is put into the bucket of its value and meets its own and the next bucket only.
     """
-    p = read(spark, sf_dir, "part").where(F.col("p_partkey") < parts).select(F.col("p_partkey").cast("bigint").alias("v"), "p_size")
-    low = p.select(F.col("v").alias("a"), F.col("p_size").alias("x"), F.explode(F.array(F.floor(F.col("p_size") / (reach + 1)), F.floor(F.col("p_size") / (reach + 1)) + 1)).alias("bucket"))
-    high = p.select(F.col("v").alias("b"), F.col("p_size").alias("y"), F.floor(F.col("p_size") / (reach + 1)).alias("bucket"))
-    near = low.join(high, "bucket").where((F.abs(F.col("x") - F.col("y")) <= reach) & (F.col("a") != F.col("b"))).select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"))
+    p = read(spark, sf_dir, "part").select(F.col("p_size").cast("bigint").alias("v")).where("v is not null").distinct()
+    low = p.select(F.col("v").alias("a"), F.explode(F.array(F.floor(F.col("v") / (reach + 1)), F.floor(F.col("v") / (reach + 1)) + 1)).alias("bucket"))
+    high = p.select(F.col("v").alias("b"), F.floor(F.col("v") / (reach + 1)).alias("bucket"))
+    near = low.join(high, "bucket").where((F.abs(F.col("a") - F.col("b")) <= reach) & (F.col("a") != F.col("b"))).select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"))
     return numbered(near)
 
 
@@ -211,28 +208,42 @@ def document_facets(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFr
     return bipartite(pairs, "lang", "source")
 
 
-def order_nations(spark: SparkSession, sf_dir: str, nations: int = 12, orders: int = 30, least: int = 2) -> DataFrame:
-    """Hyperedges (instance_id, hyperedge_id, element): the supplier nations of each order, those with ``least`` or more."""
-    lines = read(spark, sf_dir, "lineitem").where(F.col("l_orderkey") < orders).select("l_orderkey", "l_suppkey")
-    seen = lines.join(read(spark, sf_dir, "supplier").where(F.col("s_nationkey") < nations).select("s_suppkey", "s_nationkey"), F.col("l_suppkey") == F.col("s_suppkey")).select("l_orderkey", "s_nationkey").distinct()
-    sizes = F.count("*").over(Window.partitionBy("l_orderkey"))
-    return seen.withColumn("size", sizes).where(F.col("size") >= least).select(F.lit(0).cast("bigint").alias("instance_id"), F.col("l_orderkey").cast("bigint").alias("hyperedge_id"), F.col("s_nationkey").cast("bigint").alias("element"))
+def customer_regions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Hyperedges: for each customer (instance) the regions of the suppliers of each of the orders (hyperedge)."""
+    suppliers = read(spark, sf_dir, "supplier").join(F.broadcast(read(spark, sf_dir, "nation").select("n_nationkey", "n_regionkey")), F.col("s_nationkey") == F.col("n_nationkey")).select("s_suppkey", "n_regionkey")
+    lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey").join(suppliers, F.col("l_suppkey") == F.col("s_suppkey"))
+    orders = read(spark, sf_dir, "orders").select("o_orderkey", "o_custkey")
+    seen = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).select("o_custkey", "l_orderkey", "n_regionkey").distinct()
+    return seen.select(F.col("o_custkey").cast("bigint").alias("instance_id"), F.col("l_orderkey").cast("bigint").alias("hyperedge_id"), F.col("n_regionkey").cast("bigint").alias("element"))
+
+
+def edge_hypergraph(edges: DataFrame) -> DataFrame:
+    """Each edge as a hyperedge of its ends: its minimal transversals are the minimal vertex covers."""
+    return edges.select(F.lit(0).cast("bigint").alias("instance_id"), F.col("edge_id").alias("hyperedge_id"), F.explode(F.array("src", "dst")).alias("element"))
+
+
+def neighbourhood_hypergraph(edges: DataFrame) -> DataFrame:
+    """Each vertex with its neighbours as a hyperedge: minimal transversals are the minimal dominating sets."""
+    both = edges.select("src", "dst").union(edges.select("dst", "src"))
+    every = both.union(both.select("src", "src")).distinct()
+    return every.select(F.lit(0).cast("bigint").alias("instance_id"), F.col("src").alias("hyperedge_id"), F.col("dst").alias("element"))
 
 
-def benchmark_tokens(spark: SparkSession, sf_dir: str, k: int = 3, items: int = 8) -> DataFrame:
-    """Hyperedges: the k rarest words of the first ``items`` benchmark texts; elements are word ranks."""
+def benchmark_tokens(spark: SparkSession, sf_dir: str, k: int = 3) -> DataFrame:
+    """Hyperedges: the k rarest words of each benchmark text; elements are word ranks."""
     words = read(spark, sf_dir, "benchmark").select("item_id", F.explode(F.array_distinct(F.split(F.lower("text"), r"\W+"))).alias("word")).where("word <> ''")
-    counted = words.withColumn("n", F.count("*").over(Window.partitionBy("word"))).where(F.col("item_id") < items)
+    counted = words.withColumn("n", F.count("*").over(Window.partitionBy("word")))
     rare = counted.withColumn("r", F.row_number().over(Window.partitionBy("item_id").orderBy("n", "word"))).where(F.col("r") <= k)
     ids = rare.select("word").distinct().withColumn("element", (F.row_number().over(Window.orderBy("word")) - 1).cast("bigint"))
     return rare.join(ids, "word").select(F.lit(0).cast("bigint").alias("instance_id"), F.col("item_id").cast("bigint").alias("hyperedge_id"), "element")
 
 
-def co_occurrence(spark: SparkSession, sf_dir: str, orders: int = 5000, suppliers: int = 60) -> DataFrame:
-    """Suppliers below ``suppliers`` joined where one order of the first ``orders`` has lines of both."""
-    lines = read(spark, sf_dir, "lineitem").where((F.col("l_orderkey") < orders) & (F.col("l_suppkey") < suppliers)).select("l_orderkey", F.col("l_suppkey").alias("s")).distinct()
-    pairs = lines.alias("x").join(lines.alias("y"), (F.col("x.l_orderkey") == F.col("y.l_orderkey")) & (F.col("x.s") < F.col("y.s")))
-    return numbered(pairs.select(F.col("x.s").cast("bigint").alias("src"), F.col("y.s").cast("bigint").alias("dst")))
+def co_occurrence(spark: SparkSession, sf_dir: str, k: int = 150) -> DataFrame:
+    """The k pairs of part types and brands that most often share an order: a denser graph for the bench."""
+    lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").join(read(spark, sf_dir, "part").select("p_partkey", F.substring("p_brand", -2, 2).cast("bigint").alias("brand")), F.col("l_partkey") == F.col("p_partkey"))
+    seen = lines.select("l_orderkey", "brand").distinct()
+    pairs = seen.alias("x").join(seen.alias("y"), (F.col("x.l_orderkey") == F.col("y.l_orderkey")) & (F.col("x.brand") < F.col("y.brand"))).groupBy(F.col("x.brand").alias("src"), F.col("y.brand").alias("dst")).agg(F.count("*").alias("n"))
+    return numbered(pairs.orderBy(F.desc("n"), "src", "dst").limit(k).select("src", "dst"))
 
 
 def labelled_graph(edges: list[tuple[int, int, int]], spark: SparkSession) -> DataFrame:
