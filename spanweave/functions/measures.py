@@ -8,13 +8,15 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.window import WindowSpec
 
-BY_SEQ = Window.partitionBy("instance_id").orderBy("seq")
+def by_seq() -> WindowSpec:
+    return Window.partitionBy("instance_id").orderBy("seq")
 
 
 def delays(trace: DataFrame) -> DataFrame:
     """(instance_id, seq, delay, passed): work and events since the emission before; the last row runs to the end."""
-    out = trace.where("kind in ('emit', 'end')").withColumn("delay", F.col("work") - F.coalesce(F.lag("work").over(BY_SEQ), F.lit(0)))
+    out = trace.where("kind in ('emit', 'end')").withColumn("delay", F.col("work") - F.coalesce(F.lag("work").over(by_seq()), F.lit(0)))
     return out.select("instance_id", "seq", "kind", "work", "delay")
 
 
@@ -35,7 +37,7 @@ def amortized_report(trace: DataFrame) -> DataFrame:
 
 def incremental_cost(trace: DataFrame) -> DataFrame:
     """(instance_id, i, work): all work up to the i-th solution."""
-    place = F.row_number().over(BY_SEQ)
+    place = F.row_number().over(by_seq())
     return trace.where("kind = 'emit'").select("instance_id", place.alias("i"), "work")
 
 
@@ -53,10 +55,10 @@ def tree_shape(trace: DataFrame) -> DataFrame:
 
 def buffer_report(trace: DataFrame) -> DataFrame:
     """Per instance: the most solutions held back at a time, and the most search events between two emissions after the first."""
-    held = F.sum(F.when(F.col("kind") == "leaf", 1).when(F.col("kind") == "emit", -1).otherwise(0)).over(BY_SEQ.rowsBetween(Window.unboundedPreceding, 0))
-    steps = F.sum(F.when(F.col("kind").isin("enter", "leaf", "leave"), 1).otherwise(0)).over(BY_SEQ.rowsBetween(Window.unboundedPreceding, 0))
+    held = F.sum(F.when(F.col("kind") == "leaf", 1).when(F.col("kind") == "emit", -1).otherwise(0)).over(by_seq().rowsBetween(Window.unboundedPreceding, 0))
+    steps = F.sum(F.when(F.col("kind").isin("enter", "leaf", "leave"), 1).otherwise(0)).over(by_seq().rowsBetween(Window.unboundedPreceding, 0))
     counted = trace.withColumn("held", held).withColumn("steps", steps)
-    gaps = counted.where("kind = 'emit'").withColumn("gap", F.col("steps") - F.lag("steps").over(BY_SEQ))
+    gaps = counted.where("kind = 'emit'").withColumn("gap", F.col("steps") - F.lag("steps").over(by_seq()))
     return counted.groupBy("instance_id").agg(F.max("held").alias("most_held")).join(gaps.groupBy("instance_id").agg(F.max("gap").alias("longest_gap")), "instance_id", "left")
 
 

@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from .. import model
 from ..kernels.solve import Options, path_solutions, solutions, traced
+from ..plans.planner import choose_mode
 
 BATCH = 2000
 
@@ -79,6 +80,12 @@ def trace(instances: DataFrame, terminals: DataFrame, edges: DataFrame, options:
 def _enumerator(flavour: str, doc: str) -> Callable[..., DataFrame]:
     def operator(instances: DataFrame, terminals: DataFrame, edges: DataFrame, *, mode: str = "fleet", work_budget: int = 200_000, **options) -> DataFrame:
         o = Options(flavour=flavour, **options)
+        if mode == "auto":
+            mode = choose_mode(instances, model.checked_edges(edges))
+            if mode == "relational":
+                raise ValueError("the largest graph does not fit a task: prune it (operators.graph_tests) or use plans.relational")
+        if mode not in ("fleet", "shard"):
+            raise ValueError(f"unknown mode {mode!r}")
         if mode == "shard":
             from .shards import sharded
 

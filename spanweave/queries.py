@@ -619,7 +619,7 @@ def _ok(condition: Column, df: DataFrame) -> DataFrame:
 def delay_bound_ok(spark, sf_dir):
     """Paced: no more than twenty nodes' work, each linear in the graph, passes between two emissions after the warm-up."""
     d = measures.delays(_trace(spark, sf_dir, pacing="buffered"))
-    after = d.where("kind = 'emit'").withColumn("i", F.row_number().over(measures.BY_SEQ)).where("i > 1")
+    after = d.where("kind = 'emit'").withColumn("i", F.row_number().over(measures.by_seq())).where("i > 1")
     return _ok(F.col("delay") <= 20 * 8 * (12 + 2 * 20), after)
 
 
