@@ -99,7 +99,7 @@ def blocks(page: str) -> Iterator[Block]:
             parts.append(" ")
         elif name in BLOCK:
             yield from flush()
-            tags.append(name)
+            apart = any(s[2] for s in stack)
             if closing:
                 where = next((k for k in range(len(stack) - 1, -1, -1) if stack[k][0] == name), None)
                 if where is not None:
@@ -110,6 +110,9 @@ def blocks(page: str) -> Iterator[Block]:
                 if name not in VOID:
                     names = attribute_names(m[3])
                     stack.append((name, (f"in:{name}", *(f"is:{n}" for n in names)), never(name, names) or bool(_HIDDEN.search(m[3]))))
+                    apart = apart or stack[-1][2]
+            if not apart:  # what is left out anyway must not part what stands around it
+                tags.append(name)
     yield from flush()
 
 
