@@ -1,4 +1,4 @@
-"""Enumeration for SQL: SELECT ... FROM steiner_trees(TABLE(edges) PARTITION BY graph_id, '9,11,7')."""
+"""Enumeration for SQL: SELECT ... FROM steiner_trees(TABLE(edges) PARTITION BY (graph_id), '9,11,7')."""
 
 from __future__ import annotations
 

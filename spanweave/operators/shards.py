@@ -37,7 +37,7 @@ def sharded(instances: DataFrame, terminals: DataFrame, edges: DataFrame, option
     packed = settle(packed_instances(instances, terminals, edges))
     todo = packed.select("instance_id", F.lit(-1).alias("part"), F.array().cast("array<array<bigint>>").alias("attached"), F.array().cast("array<bigint>").alias("prefix"), F.lit(-1).cast("bigint").alias("banned"), F.lit(-1).cast("bigint").alias("floor"), F.lit(0).alias("depth"))
     done: list[DataFrame] = []
-    budget = first_budget
+    budget = min(first_budget, work_budget)
     slots = max(spark.sparkContext.defaultParallelism * 4, 8)
     while True:
         rows = todo.repartition(slots).join(packed, "instance_id")

@@ -239,8 +239,8 @@ def benchmark_tokens(spark: SparkSession, sf_dir: str, k: int = 3) -> DataFrame:
 
 
 def co_occurrence(spark: SparkSession, sf_dir: str, k: int = 150) -> DataFrame:
-    """The k pairs of part types and brands that most often share an order: a denser graph for the bench."""
-    lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").join(read(spark, sf_dir, "part").select("p_partkey", F.substring("p_brand", -2, 2).cast("bigint").alias("brand")), F.col("l_partkey") == F.col("p_partkey"))
+    """The k pairs of brands that most often share an order: a denser graph for the bench."""
+    lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").join(read(spark, sf_dir, "part").select("p_partkey", F.regexp_extract("p_brand", r"(\d+)$", 1).cast("bigint").alias("brand")), F.col("l_partkey") == F.col("p_partkey"))
     seen = lines.select("l_orderkey", "brand").distinct()
     pairs = seen.alias("x").join(seen.alias("y"), (F.col("x.l_orderkey") == F.col("y.l_orderkey")) & (F.col("x.brand") < F.col("y.brand"))).groupBy(F.col("x.brand").alias("src"), F.col("y.brand").alias("dst")).agg(F.count("*").alias("n"))
     return numbered(pairs.orderBy(F.desc("n"), "src", "dst").limit(k).select("src", "dst"))

@@ -66,10 +66,10 @@ def trees_per_window(events: DataFrame, path: str, root: str = "signup", wanted:
     return closed_windows(events, width, late).writeStream.outputMode("append").foreachBatch(one_batch)
 
 
-def running_transitions(events: DataFrame, late: str = "1 hour") -> DataFrame:
+def running_transitions(events: DataFrame) -> DataFrame:
     """(user_id, src_type, dst_type, n): transitions counted by a user's state, which is the last event's time, id and type; updates as they happen.
 
-    Events of a batch are put in order first; one that is older than the state's counts as after nothing and is left out.
+    Events of a batch are put in order first; one that is not newer than the state's, a repeated one too, is left out.
     """
     out = "user_id bigint, src_type string, dst_type string, n bigint"
 
@@ -88,4 +88,4 @@ def running_transitions(events: DataFrame, late: str = "1 hour") -> DataFrame:
             state.update(tuple(last))
         yield pd.DataFrame([(key[0], a, b, n) for (a, b), n in counts.items()], columns=["user_id", "src_type", "dst_type", "n"])
 
-    return events.withWatermark("ts", late).groupBy("user_id").applyInPandasWithState(step, out, "ts timestamp, event_id bigint, event_type string", "update", GroupStateTimeout.NoTimeout)
+    return events.groupBy("user_id").applyInPandasWithState(step, out, "ts timestamp, event_id bigint, event_type string", "update", GroupStateTimeout.NoTimeout)
