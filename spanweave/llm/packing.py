@@ -88,6 +88,9 @@ def tokenised_with_keys(docs: DataFrame, vocab_path: str, *, end_id: int = 1, do
                 ids = [np.frombuffer(words.encode(t) + tail, dtype="<u4") for t in piece.column(1).to_pylist()]
                 keys = place.keys(np.stack([place.vector(x) for x in ids]))
                 yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(keys), pa.array([len(x) for x in ids], pa.int64()), pa.array([x.astype(narrow).tobytes() for x in ids], pa.binary())], names=schema.names)
+            if batch.num_rows:
+                del batch, piece
+            pa.default_memory_pool().release_unused()
 
     return source.mapInArrow(run, schema)
 

@@ -46,6 +46,9 @@ def write_token_orc(docs: DataFrame, path: str, vocab_path: str, *, doc_id: str
                 lists = pa.ListArray.from_arrays(pa.array(ends.astype("i4")), pa.array(np.frombuffer(b"".join(ids), dtype="<i4")))
                 yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(np.full(len(ids), part, "i4")), pa.array(at + ends[:-1]), pa.array(sizes), lists], names=schema.names)
                 at += int(ends[-1])
+            if batch.num_rows:
+                del batch, piece
+            pa.default_memory_pool().release_unused()
 
     (ordered.mapInArrow(run, schema).write.mode("error").option("compression", "zstd").option("orc.bloom.filter.columns", "doc_id")
      .option("orc.bloom.filter.fpp", str(bloom_fpp)).option("orc.row.index.stride", str(row_stride)).orc(path))

@@ -45,7 +45,7 @@ class WordTokens:
         self.shown = _byte_characters()
         self.id_bytes = [struct.pack("<I", i) for i in range(self.size)]
         self.bpe = self.tokenizer.model.tokenize
-        self.memo = PieceCache(self._chunk, 300_000)
+        self.memo = PieceCache(self._chunk, 150_000)
 
     def _chunk(self, chunk: str) -> bytes:
         id_bytes = self.id_bytes
