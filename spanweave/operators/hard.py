@@ -95,6 +95,22 @@ def _expanded(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         yield pd.DataFrame(rows, columns=["instance_id", "solution_key", "vertices"])
 
 
+def solution_arcs(solutions: DataFrame, instances: DataFrame, terminals: DataFrame, edges: DataFrame) -> DataFrame:
+    """(instance_id, source, target): which solution leads to which in one step of the walk, for solutions(instance_id, solution_key)."""
+    packed = packed_instances(instances, terminals, edges)
+    vertices = F.transform(F.regexp_extract_all("solution_key", F.lit(r"(?<![0-9])-?[0-9]+"), F.lit(0)), lambda v: v.cast("bigint"))
+    rows = solutions.select("instance_id", F.col("solution_key").alias("source"), vertices.alias("vertices")).join(packed, "instance_id")
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            for k in range(len(frame)):
+                one = frame.iloc[k : k + 1]
+                for out in _expanded(iter([one])):
+                    yield out[["instance_id", "solution_key"]].rename(columns={"solution_key": "target"}).assign(source=one["source"].iloc[0])[["instance_id", "source", "target"]]
+
+    return rows.mapInPandas(run, "instance_id bigint, source string, target string")
+
+
 def solution_distance(a, b):
     """How many members of one solution the other lacks; zero if and only if two minimal solutions are equal."""
     return F.size(F.array_except(a, b))

@@ -260,5 +260,7 @@ SQL["minimality"] = f"""SELECT 'tree' flavour, (SELECT count(*) FROM ({TREES}))
   UNION ALL SELECT 'directed', (SELECT count(*) FROM ({SQL["directed_trees_improved"]})), 0"""
 SQL["solution_distances"] = f"""{tree_ctes((1, 2, 3))}, m AS (SELECT {KEY} k, e FROM u WHERE len(e) = (SELECT min(len(e)) FROM u)), f AS (SELECT e b FROM m ORDER BY k LIMIT 1)
   SELECT k solution_key, len(list_filter(e, lambda x: NOT list_contains(b, x)))::BIGINT distance FROM m, f"""
-for name in ("delay_bound_ok", "amortized_ok", "tree_shape_ok", "buffer_ok", "euler_gap_ok", "incremental_cost_ok"):
+for name in ("delay_bound_ok", "amortized_ok", "tree_shape_ok", "buffer_ok", "euler_gap_ok", "incremental_cost_ok", "solution_graph_ok"):
     SQL[name] = "SELECT true ok"
+SQL["latest_event_before_order"] = """WITH j AS (SELECT o_orderkey, event_type, row_number() OVER (PARTITION BY o_orderkey ORDER BY ts DESC NULLS LAST, event_id DESC) r
+  FROM orders LEFT JOIN events ON user_id = o_custkey AND ts <= o_orderdate) SELECT o_orderkey, event_type FROM j WHERE r = 1"""

@@ -15,6 +15,7 @@ from .kernels.solve import Options, solutions
 from .operators import enumerate as enum
 from .operators import graph_tests, hard
 from .operators.components import connected_components
+from .operators.temporal import asof_join
 from .plans import relational
 from .plans.workspace import settle
 from .sources import graphs
@@ -262,6 +263,14 @@ def session_transitions(spark, sf_dir):
     return graphs.session_digraphs(spark, sf_dir, "6 hours").groupBy("s", "t").agg(F.count("*").alias("sessions"))
 
 
+@query
+def latest_event_before_order(spark, sf_dir):
+    """Each order with the type of the customer's latest event by then."""
+    orders = graphs.read(spark, sf_dir, "orders").select(F.col("o_custkey").cast("bigint").alias("user_id"), F.col("o_orderdate").cast("timestamp").alias("ts"), "o_orderkey")
+    events = graphs.read(spark, sf_dir, "events").select("user_id", F.col("ts").cast("timestamp").alias("ts"), "event_id", "event_type")
+    return asof_join(orders, events, key="user_id", time="ts", values=["event_type", "event_id"], tie="event_id").select("o_orderkey", "event_type")
+
+
 # Hard variants.
 
 
@@ -352,6 +361,21 @@ def induced_line_graph(spark, sf_dir):
     return keys(hard.from_line_graph(found))
 
 
+@query
+def solution_graph_ok(spark, sf_dir):
+    """The walk over solutions: at most two steps a pair of vertices from each, and from the last solution all are reached."""
+    g = settle(graphs.intervals(spark, sf_dir, 24))
+    one, w = graphs.one_instance(spark), _ends(g)
+    found = settle(hard.induced_steiner_subgraphs(one, w, g))
+    arcs = settle(hard.solution_arcs(found, one, w, g))
+    n = graphs.by_degree(g).count()
+    last = found.agg(F.max("solution_key").alias("vertex"))
+    back = graph_tests.reachable(arcs.select(F.col("source").alias("src"), F.col("target").alias("dst")), last)
+    most = arcs.groupBy("source").agg(F.count("*").alias("n")).agg(F.coalesce(F.max("n"), F.lit(0)).alias("most"))
+    both = found.agg(F.count("*").alias("all")).crossJoin(back.agg(F.count("*").alias("reached"))).crossJoin(most)  # single rows
+    return both.select(((F.col("all") == F.col("reached")) & (F.col("most") <= 2 * n * n)).alias("ok"))
+
+
 @query
 def interval_graph(spark, sf_dir):
     return graphs.intervals(spark, sf_dir).select("src", "dst")

@@ -7,10 +7,12 @@ import pytest
 from pyspark.sql import functions as F
 
 from spanweave.functions import measures, udtf
+from spanweave.functions.acyclic import is_acyclic
 from spanweave.kernels.solve import Options
 from spanweave.operators import enumerate as enum
 from spanweave.operators import graph_tests, hard
 from spanweave.operators.components import connected_components
+from spanweave.operators.keyword import k_fragments
 from spanweave.plans import planner, relational
 from spanweave.sources import graphs
 from spanweave.streaming import transitions
@@ -234,3 +236,18 @@ def test_window_counts_and_sessions(spark):
     assert transitions.window_counts(events, "7 days").agg(F.sum("n")).first()[0] == events.count()
     assert transitions.window_counts(events, "2 days", "1 day").agg(F.sum("n")).first()[0] == 2 * events.count()
     assert transitions.sessions(events).agg(F.sum("n")).first()[0] == events.count()
+
+
+def test_k_fragments(spark):
+    edges = spark.createDataFrame([(0, 1, 2), (1, 2, 3), (2, 3, 4), (3, 4, 1), (4, 1, 3)], "edge_id bigint, src bigint, dst bigint")
+    holders = spark.createDataFrame([("red", 2), ("red", 2), ("blue", 4), ("green", 1)], "keyword string, vertex bigint")
+    assert k_fragments(edges, holders, ["red", "blue"]).count() == 4 == k_fragments(edges, holders, ["red", "blue"], kind="strong").count()
+    assert k_fragments(edges, holders, ["red", "nothing"]).count() == 0
+    assert k_fragments(edges, holders, ["red", "blue"], limit=1).count() == 1
+    roots = {r["instance_id"] for r in k_fragments(edges, holders, ["red", "blue"], kind="directed").collect()}
+    assert roots == {1, 2, 3, 4}
+
+
+def test_acyclic_aggregate(spark):
+    df = spark.createDataFrame([(0, 1, 2), (0, 2, 3), (1, 1, 2), (1, 2, 1), (2, 5, 6)], "k int, src bigint, dst bigint")
+    assert {r["k"]: r["ok"] for r in df.groupBy("k").agg(is_acyclic("src", "dst").alias("ok")).collect()} == {0: True, 1: False, 2: True}
