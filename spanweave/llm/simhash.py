@@ -152,7 +152,7 @@ def leaf_forest(homes: np.ndarray, guests: np.ndarray, radius: int) -> list[tupl
         low, high = np.searchsorted(shells, [shell - radius, shell + radius + 1])
         if not len(queries) or low == high:
             continue
-        near, step = homes[low:high], max(1, (1 << 20) // (high - low))
+        near, step = homes[low:high], max(1, (1 << 18) // (high - low))
         for at in range(0, len(queries), step):
             some = queries[at : at + step]
             rows, columns = np.nonzero(np.bitwise_count(everyone[some][:, None] ^ near[None, :]) <= radius)
