@@ -13,6 +13,7 @@ within it.  An empty table gives no pieces; extra columns are not read.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -26,6 +27,8 @@ from .shared import settle
 from .word_tokens import word_tokens
 
 BUCKETS = 256
+#: Tokens of a range on average: 2,000 sequences of 2,048.
+RANGE_TOKENS = 1 << 22
 
 
 def hilbert_keys(cells: np.ndarray, bits: int) -> np.ndarray:
@@ -147,7 +150,10 @@ def curve_packed(docs: DataFrame, vocab_path: str, *, width: int = 2048, end_id:
     on the curve together.  A key that many documents share is split by id.
     """
     tokens = settle(tokenised_with_keys(docs, vocab_path, end_id=end_id, doc_id=doc_id, text=text))
-    ordered = tokens.repartitionByRange("curve_key", "doc_id", "n").sortWithinPartitions("curve_key", "doc_id", "n", "ids")
+    # Long documents lie near each other on the curve, so the number of ranges follows the tokens: a task's share is bounded at any size.
+    total = tokens.agg(F.sum("n")).first()[0] or 0
+    ranges = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), math.ceil(total / RANGE_TOKENS))
+    ordered = tokens.repartitionByRange(ranges, "curve_key", "doc_id", "n").sortWithinPartitions("curve_key", "doc_id", "n", "ids")
     schema = T.StructType([T.StructField("doc_id", tokens.schema["doc_id"].dataType), *(T.StructField(c, T.LongType()) for c in ("start", "length")), T.StructField("ids", T.BinaryType()), *(T.StructField(c, T.LongType()) for c in ("doc_tokens", "sequence_id", "offset"))])
     kind = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids", pa.binary()), ("doc_tokens", pa.int64()), ("sequence_id", pa.int64()), ("offset", pa.int64())])
 
