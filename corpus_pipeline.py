@@ -36,7 +36,7 @@ def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of packed sequences in curve order, with their token ids' checksum."""
-    pieces = packing.curve_packed(docs, public_tokenizers.path("word_bpe_49k.json"))
+    pieces = packing.curve_packed(docs, public_tokenizers.path("word_bpe_49k.json"), memo=50_000)  # workers outlive stages, so they should stay small
     return pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset")
 
 

@@ -76,13 +76,13 @@ class CurvePlacement:
         return hilbert_keys(np.minimum((spread * (1 << self.bits)).astype(np.int64), (1 << self.bits) - 1), self.bits)
 
 
-def tokenised_with_keys(docs: DataFrame, vocab_path: str, *, end_id: int = 1, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def tokenised_with_keys(docs: DataFrame, vocab_path: str, *, end_id: int = 1, doc_id: str = "doc_id", text: str = "text", memo: int = 150_000) -> DataFrame:
     """(doc_id, curve_key, n, ids): ids with the end id, in as few bytes each as the vocabulary allows."""
     source = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     schema = T.StructType([source.schema["doc_id"], T.StructField("curve_key", T.LongType()), T.StructField("n", T.LongType()), T.StructField("ids", T.BinaryType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = word_tokens(vocab_path)
+        words = word_tokens(vocab_path, memo)
         place, narrow = CurvePlacement(words.size), id_type(words.size)
         tail = np.asarray([end_id], dtype="<u4").tobytes()
         for batch in batches:
@@ -143,13 +143,14 @@ class _Cutter:
             self._seal(now)
 
 
-def curve_packed(docs: DataFrame, vocab_path: str, *, width: int = 2048, end_id: int = 1, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def curve_packed(docs: DataFrame, vocab_path: str, *, width: int = 2048, end_id: int = 1, doc_id: str = "doc_id", text: str = "text", memo: int = 150_000) -> DataFrame:
     """Pieces (doc_id, start, length, ids, doc_tokens, sequence_id, offset); ids are little-endian unsigned 32-bit integers.
 
+    ``memo``: pieces that an encoder remembers, which trades a worker's memory for speed.
     The ids are written once, so that finding the ranges does not encode twice; then one range shuffle brings neighbours
     on the curve together.  A key that many documents share is split by id.
     """
-    tokens = settle(tokenised_with_keys(docs, vocab_path, end_id=end_id, doc_id=doc_id, text=text))
+    tokens = settle(tokenised_with_keys(docs, vocab_path, end_id=end_id, doc_id=doc_id, text=text, memo=memo))
     # Long documents lie near each other on the curve, so the number of ranges follows the tokens: a task's share is bounded at any size.
     total = tokens.agg(F.sum("n")).first()[0] or 0
     ranges = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), math.ceil(total / RANGE_TOKENS))

@@ -35,7 +35,7 @@ class WordTokens:
     ASCII signs behind them are two pre-tokens; any other chunk goes through the whole tokenizer.
     """
 
-    def __init__(self, vocab_path: str) -> None:
+    def __init__(self, vocab_path: str, memo: int = 150_000) -> None:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -45,7 +45,7 @@ class WordTokens:
         self.shown = _byte_characters()
         self.id_bytes = [struct.pack("<I", i) for i in range(self.size)]
         self.bpe = self.tokenizer.model.tokenize
-        self.memo = PieceCache(self._chunk, 150_000)
+        self.memo = PieceCache(self._chunk, memo)
 
     def _chunk(self, chunk: str) -> bytes:
         id_bytes = self.id_bytes
@@ -66,6 +66,6 @@ class WordTokens:
 
 
 @functools.lru_cache(maxsize=1)
-def word_tokens(vocab_path: str) -> WordTokens:
-    """One encoder for each Python worker, whose memos serve all of its tasks."""
-    return WordTokens(vocab_path)
+def word_tokens(vocab_path: str, memo: int = 150_000) -> WordTokens:
+    """One encoder for each Python worker, whose memo serves all of its tasks."""
+    return WordTokens(vocab_path, memo)
