@@ -10,7 +10,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spanweave.llm import cotraining, packing, secret_scan, simhash
+from spanweave.llm import cotraining, packing, secret_scan, similar
 from spanweave.llm.shared import settle, table
 
 
@@ -21,8 +21,8 @@ def good_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates, that with the smallest id."""
-    return simhash.keep_one(docs).select(docs.columns)
+    """One document of each group whose sets of five-word shingles are alike by 0.8 or more, that with the smallest id."""
+    return similar.keep_one(docs)
 
 
 def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

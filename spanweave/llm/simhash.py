@@ -48,7 +48,11 @@ def simhash(text: str, shingle: int) -> int:
     if not words:
         return 0
     parts = [b" ".join(words)] if len(words) < shingle else map(b" ".join, zip(*(itertools.islice(words, k, None) for k in range(shingle)), strict=False))
-    hashes = np.array([xxh64_intdigest(p, 42) for p in parts], dtype="<u8")
+    return majority_bits(np.array([xxh64_intdigest(p, 42) for p in parts], dtype="<u8"))
+
+
+def majority_bits(hashes: np.ndarray) -> int:
+    """The bits that are set in over half of the hashes; none of no hashes."""
     ones = np.zeros(64, dtype=np.int64)
     for at in range(0, len(hashes), 4096):
         ones += np.unpackbits(hashes[at : at + 4096].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
@@ -168,7 +172,12 @@ def leaf_forest(homes: np.ndarray, guests: np.ndarray, radius: int) -> list[tupl
 def linked_fingerprints(distinct: DataFrame, radius: int = 2) -> DataFrame:
     """(src, dst): links that connect exactly the fingerprints which are connected by steps of at most ``radius`` bits."""
     levels = tree_depth(distinct)
-    shards = sent_to_leaves(distinct, levels, radius).repartition("leaf").sortWithinPartitions("leaf", "guest")
+    return linked_in_leaves(sent_to_leaves(distinct, levels, radius), radius)
+
+
+def linked_in_leaves(sent: DataFrame, radius: int) -> DataFrame:
+    """(src, dst): links of at most ``radius`` bits between the members of each leaf of ``sent``, as spanning forests."""
+    shards = sent.repartition("leaf").sortWithinPartitions("leaf", "guest")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def search(leaf: list[tuple[np.ndarray, np.ndarray]]) -> list[tuple[int, int]]:
