@@ -7,8 +7,9 @@ documents of which it is most sure, as many of each class as the labels' ratio a
 training set.  On labelled documents held out from training each view's log odds are calibrated and the two are combined by
 one more logistic regression, which then scores every document.
 
-Training uses bounded samples by hash of the id (``LABELLED`` with labels, ``POOL`` without), which executors turn into
-features before anything reaches the driver; every document is scored, on its whole text.
+Training uses a bounded sample by hash of the id (``LABELLED``) of the labelled documents only.  Every document is turned into
+packed features once; from them come the quantiles, over all documents, and in each round both views' odds for the whole
+unlabelled table, whose most certain documents alone reach the driver.  Every document is scored, on its whole text.
 
 Defined results: null texts count as empty and get a score like any other; null language or source is a value of its own;
 several labels of a document count once, good if any says so.  With labels of one class only, or none, every document
@@ -27,23 +28,35 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .shared import settle
+
 #: A document is good from this score on: junk scores far below, and short clean texts may score in between.
 GOOD_FROM = 0.1
-LABELLED, POOL, ROUNDS, EACH_ROUND = 4000, 4000, 3, 200
+LABELLED, ROUNDS, EACH_ROUND = 6000, 3, 300
 WIDTH, BINS, HASHED = 4096, 8, 32
 MEASURES = 10
 
 
-def content_features(text: str) -> tuple[np.ndarray, np.ndarray]:
-    """(positions, values) of the hashed character trigrams, log counts of unit length."""
+def trigram_counts(text: str) -> tuple[np.ndarray, np.ndarray]:
+    """(positions, counts) of the hashed character trigrams."""
     codes = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), dtype="<u4").astype(np.uint32)
     if len(codes) < 3:
-        return np.zeros(0, dtype=np.int64), np.zeros(0)
+        return np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
     mixed = (codes[:-2] * np.uint32(0x9E3779B1) + codes[1:-1] * np.uint32(0x85EBCA77) + codes[2:] * np.uint32(0xC2B2AE3D)) * np.uint32(0x27D4EB2F)
     counts = np.bincount(mixed >> np.uint32(20), minlength=WIDTH)
     where = np.flatnonzero(counts)
-    values = np.log1p(counts[where])
-    return where, values / np.sqrt((values * values).sum())
+    return where, counts[where]
+
+
+def unit(counts: np.ndarray) -> np.ndarray:
+    """Log counts of unit length."""
+    values = np.log1p(counts.astype(np.float32))
+    return values / np.sqrt((values * values).sum()) if len(values) else values
+
+
+def content_features(text: str) -> tuple[np.ndarray, np.ndarray]:
+    where, counts = trigram_counts(text)
+    return where, unit(counts)
 
 
 def layout(text: str, lang: str | None, source: str | None) -> np.ndarray:
@@ -116,74 +129,124 @@ def metadata_row(x: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarr
 METADATA_WIDTH = MEASURES * (BINS + 1) + 2 * HASHED
 
 
-def co_train(content: list[tuple[np.ndarray, np.ndarray]], metadata: list[np.ndarray], y: np.ndarray, *, rounds: int = ROUNDS, each: int = EACH_ROUND) -> Model:
-    """``y`` holds 1, 0 or -1 (unlabelled).  A fifth of the labelled rows is held out for calibration."""
-    known = np.flatnonzero(y >= 0)
-    held, train, pool = known[::5], np.setdiff1d(known, known[::5]), np.flatnonzero(y < 0)
-    measures = np.array([m[:MEASURES] for m in metadata])
-    edges = np.quantile(measures, np.linspace(0, 1, BINS + 2)[1:-1], axis=0).T[:, :BINS]
-    layout_rows = [metadata_row(m, edges) for m in metadata]
-    sets = {"content": dict(zip(train.tolist(), y[train].tolist(), strict=True)), "metadata": dict(zip(train.tolist(), y[train].tolist(), strict=True))}
-    views = {"content": (content, WIDTH), "metadata": (layout_rows, METADATA_WIDTH)}
+Row = tuple[np.ndarray, np.ndarray]
 
-    def fitted(view: str) -> Logistic:
-        rows, width = views[view]
-        members = list(sets[view])
-        return fit_logistic([rows[k] for k in members], np.array([sets[view][k] for k in members], dtype=float), width)
 
-    models = {v: fitted(v) for v in views}
-    good = y[train].mean()
-    for _ in range(rounds):
-        if not len(pool):
-            break
-        for view, other in (("content", "metadata"), ("metadata", "content")):
-            odds = models[view].odds([views[view][0][k] for k in pool])
-            order = np.argsort(odds, kind="stable")
-            n_good, n_bad = int(each * good), each - int(each * good)
-            for k, label in [*((k, 1) for k in order[::-1][:n_good] if odds[k] > 2), *((k, 0) for k in order[:n_bad] if odds[k] < -2)]:
-                sets[other].setdefault(int(pool[k]), label)
-        models = {v: fitted(v) for v in views}
-    a = np.clip(models["content"].odds([content[k] for k in held]), -20, 20)
-    b = np.clip(models["metadata"].odds([layout_rows[k] for k in held]), -20, 20)
-    mix = fit_logistic([(np.arange(2), np.array(p)) for p in zip(a, b, strict=True)], y[held].astype(float), 2, rate=0.1, decay=1e-3)
-    return Model(models["content"], models["metadata"], edges, (*mix.weights.tolist(), mix.bias))
+class Training:
+    """Both views' training sets, growing by what the other view is sure of.  ``y`` holds 1 or 0; a fifth of the rows is held out for calibration."""
+
+    def __init__(self, content: list[Row], layouts: list[np.ndarray], y: np.ndarray, edges: np.ndarray) -> None:
+        self.edges, self.held = edges, list(zip(content[::5], layouts[::5], y[::5].tolist(), strict=True))
+        rows = [(c, m, int(v)) for k, (c, m, v) in enumerate(zip(content, layouts, y, strict=True)) if k % 5]
+        self.good = float(np.mean([v for *_, v in rows])) if rows else 0.5
+        self.sets: dict[str, list[tuple[Row, float]]] = {"content": [(c, v) for c, _, v in rows], "metadata": [(metadata_row(m, edges), v) for _, m, v in rows]}
+        self.taken: dict[str, set[int]] = {"content": set(), "metadata": set()}
+        self.refit()
+
+    def refit(self) -> None:
+        widths = {"content": WIDTH, "metadata": METADATA_WIDTH}
+        self.models = {v: fit_logistic([r for r, _ in rows], np.array([y for _, y in rows], dtype=float), widths[v]) for v, rows in self.sets.items()}
+
+    def add(self, view: str, key: int, content: Row, measures: np.ndarray, label: int) -> None:
+        if key not in self.taken[view]:
+            self.taken[view].add(key)
+            self.sets[view].append((content if view == "content" else metadata_row(measures, self.edges), label))
+
+    def model(self) -> Model:
+        a = np.clip(self.models["content"].odds([c for c, *_ in self.held]), -20, 20)
+        b = np.clip(self.models["metadata"].odds([metadata_row(m, self.edges) for _, m, _ in self.held]), -20, 20)
+        mix = fit_logistic([(np.arange(2), np.array(p)) for p in zip(a, b, strict=True)], np.array([y for *_, y in self.held], dtype=float), 2, rate=0.1, decay=1e-3)
+        return Model(self.models["content"], self.models["metadata"], self.edges, (*mix.weights.tolist(), mix.bias))
+
+
+def featured(docs: DataFrame) -> DataFrame:
+    """(doc_id, key, where, counts, layout) of every document, packed; documents with equal features have equal keys."""
+    source = docs.select("doc_id", F.coalesce(F.col("text"), F.lit("")).alias("text"), "lang", "source")
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from xxhash import xxh64_intdigest
+
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                keys, where, counts, layouts = [], [], [], []
+                for t, lang, origin in zip(*(part.column(k).to_pylist() for k in (1, 2, 3)), strict=True):
+                    w, c = trigram_counts(t)
+                    m = layout(t, lang, origin)
+                    where.append(w.astype("<u2").tobytes())
+                    counts.append(c.astype("<u4").tobytes() if len(c) and c.max() > 255 else c.astype("u1").tobytes())
+                    layouts.append(m.tolist())
+                    keys.append(xxh64_intdigest(where[-1] + counts[-1] + m.tobytes()))
+                signed = pa.array(np.array(keys, dtype=np.uint64).view(np.int64))
+                yield pa.RecordBatch.from_arrays([part.column(0), signed, pa.array(where, pa.binary()), pa.array(counts, pa.binary()), pa.array(layouts, pa.list_(pa.float64()))], names=["doc_id", "key", "where", "counts", "layout"])
+
+    return source.mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, key bigint, where binary, counts binary, layout array<double>")
+
+
+def unpacked(where: bytes, counts: bytes) -> Row:
+    w = np.frombuffer(where, "<u2")
+    return w, unit(np.frombuffer(counts, "u1" if len(counts) == len(w) else "<u4"))
 
-_FEATURES = T.StructType([T.StructField("where", T.BinaryType()), T.StructField("values", T.BinaryType()), T.StructField("layout", T.BinaryType()), T.StructField("y", T.IntegerType())])
 
+def bin_edges(features: DataFrame) -> np.ndarray:
+    """Quantiles of each measure over all documents."""
+    shares = np.linspace(0, 1, BINS + 2)[1:-1].tolist()
+    found = features.agg(*[F.percentile_approx(F.col("layout")[k], shares, 10_000).alias(f"m{k}") for k in range(MEASURES)]).first()
+    return np.array([list(q) for q in found])
 
-def _featured(docs: DataFrame) -> DataFrame:
-    source = docs.select(F.coalesce(F.col("text"), F.lit("")).alias("text"), "lang", "source", F.col("y").cast("int").alias("y"))
+
+def sample_ids(labels: DataFrame, labelled: int) -> DataFrame:
+    """(doc_id, y): the labelled ids with the smallest hashes, half of each class where there are as many.  At most ``labelled`` rows."""
+    some = [labels.where(F.col("y") == c).orderBy(F.xxhash64("doc_id")).limit(labelled // 2) for c in (0, 1)]
+    return some[0].unionByName(some[1])
+
+
+def odds_of(features: DataFrame, models: dict[str, Logistic], edges: np.ndarray) -> DataFrame:
+    """(doc_id, key, content, metadata): each view's log odds for every document.  No shuffle."""
+    source = features.select("doc_id", "key", "where", "counts", "layout")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = [(content_features(t), layout(t, lang, source)) for t, lang, source in zip(*(c.to_pylist() for c in batch.columns[:3]), strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array([c[0].astype("<u2").tobytes() for c, _ in rows], pa.binary()), pa.array([c[1].astype("<f4").tobytes() for c, _ in rows], pa.binary()), pa.array([m.astype("<f8").tobytes() for _, m in rows], pa.binary()), batch.column(3)], names=_FEATURES.names)
+            a = models["content"].odds([unpacked(w.as_py(), c.as_py()) for w, c in zip(batch.column(2), batch.column(3), strict=True)])
+            b = models["metadata"].odds([metadata_row(np.array(m), edges) for m in batch.column(4).to_pylist()])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(a, pa.float64()), pa.array(b, pa.float64())], names=["doc_id", "key", "content", "metadata"])
+
+    return source.mapInArrow(run, f"doc_id {features.schema['doc_id'].dataType.simpleString()}, key bigint, content double, metadata double")
 
-    return source.mapInArrow(run, _FEATURES)
 
+def most_sure(odds: DataFrame, labels: DataFrame, good: float, each: int = EACH_ROUND) -> list[tuple[str, int, int]]:
+    """(view to teach, key, label): the documents of the whole unlabelled table of which each view is most sure, at most ``each`` a view."""
+    known = labels.select("doc_id").hint("merge")
+    free = settle(odds.join(known, "doc_id", "left_anti").groupBy("key").agg(F.first("content").alias("content"), F.first("metadata").alias("metadata")))
+    n_good = int(each * good)
+    out = []
+    for view, other in (("content", "metadata"), ("metadata", "content")):
+        best = free.where(F.col(view) > 2).orderBy(F.desc(view), "key").limit(n_good).select("key").collect()
+        worst = free.where(F.col(view) < -2).orderBy(view, "key").limit(each - n_good).select("key").collect()
+        out += [(other, r["key"], 1) for r in best] + [(other, r["key"], 0) for r in worst]
+    return out
 
-def sample_ids(docs: DataFrame, labels: DataFrame, labelled: int, pool: int) -> DataFrame:
-    """(doc_id, y): the labelled ids with the smallest hashes, half of each class where there are as many, and unlabelled ones (y null).  At most ``labelled + pool`` rows."""
+
+def fit(docs: DataFrame, labels: DataFrame, *, labelled: int = LABELLED, rounds: int = ROUNDS, each: int = EACH_ROUND) -> Model | None:
+    """The model, or None where the labels don't have both classes.  Features are settled once; what the driver gathers are the labelled sample and each round's choice."""
     known = labels.where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.max("quality").alias("y"))
-    order = F.xxhash64("doc_id")
-    some = [known.where(F.col("y") == c).orderBy(order).limit(labelled // 2) for c in (0, 1)]
-    chosen = some[0].unionByName(some[1])
-    free = docs.select("doc_id").where("doc_id is not null").orderBy(F.xxhash64("doc_id", F.lit("pool")), "doc_id").limit(pool).distinct()
-    return chosen.unionByName(free.join(F.broadcast(chosen.select("doc_id")), "doc_id", "left_anti").select("doc_id", F.lit(None).cast("int").alias("y")), allowMissingColumns=True)
-
-
-def fit(docs: DataFrame, labels: DataFrame, *, labelled: int = LABELLED, pool: int = POOL) -> Model | None:
-    """The model, or None where the labels don't have both classes.  The sample's ids are broadcast: a bounded number of rows."""
-    ids = sample_ids(docs, labels, labelled, pool)
-    rows = _featured(docs.select("doc_id", "text", "lang", "source").join(F.broadcast(ids), "doc_id")).toPandas()
-    y = rows["y"].fillna(-1).astype(int).to_numpy()
-    if not {0, 1} <= set(y):
+    features = settle(featured(docs))
+    rows = features.join(F.broadcast(sample_ids(known, labelled)), "doc_id").orderBy("key", "y").toPandas()
+    if not {0, 1} <= set(rows["y"]):
         return None
-    rows = rows.assign(key=[zlib.crc32(a + b) for a, b in zip(rows["where"], rows["layout"], strict=True)]).sort_values(["key", "y"], kind="stable")  # the same order on any cluster
-    y = rows["y"].fillna(-1).astype(int).to_numpy()
-    content = [(np.frombuffer(w, "<u2"), np.frombuffer(v, "<f4")) for w, v in zip(rows["where"], rows["values"], strict=True)]
-    return co_train(content, [np.frombuffer(m, "<f8") for m in rows["layout"]], y)
+    content = [unpacked(w, c) for w, c in zip(rows["where"], rows["counts"], strict=True)]
+    training = Training(content, [np.array(m) for m in rows["layout"]], rows["y"].to_numpy(), bin_edges(features))
+    del rows, content
+    for _ in range(rounds):
+        chosen = most_sure(odds_of(features, training.models, training.edges), known, training.good, each)
+        if not chosen:
+            break
+        keys = docs.sparkSession.createDataFrame([(k,) for k in sorted({k for _, k, _ in chosen})], "key bigint")
+        found = {r["key"]: (unpacked(r["where"], r["counts"]), np.array(r["layout"])) for r in features.join(F.broadcast(keys), "key").dropDuplicates(["key"]).select("key", "where", "counts", "layout").collect()}
+        for view, key, label in chosen:
+            training.add(view, key, *found[key], label)
+        training.refit()
+    return training.model()
 
 
 def scored(docs: DataFrame, model: Model | None) -> DataFrame:
