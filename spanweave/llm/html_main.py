@@ -35,6 +35,7 @@ RAW = frozenset("script style noscript template textarea title iframe object svg
 BLOCK = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre search section summary table tbody td tfoot th thead tr ul".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 CONTENT = frozenset(("article", "main"))
+WHOLE = frozenset(("html", "body", "article", "main"))
 NEVER = frozenset("nav aside footer form menu dialog search fieldset".split())
 #: Words of class, id and role values that name what an article is not.
 ASIDE = frozenset("ad ads advert adverts advertisement advertising banner breadcrumb breadcrumbs comment comments commentlist consent cookie cookies disclaimer discussion disqus footer gdpr login menu modal nav navbar navigation navigasi newsletter notice notices overlay pager pagination popup promo promoted promotion related replies reply respond share sharing sidebar signup skip social sponsor sponsored subscribe subscription teaser toolbar widget widgets contentinfo complementary".split())
@@ -60,27 +61,41 @@ class Block:
         self.words = len(self.text.split())
 
 
+@dataclass(eq=False)
+class Element:
+    """An open element: whether it is never content, or only if it neither holds what is nor most of the page's words."""
+
+    name: str
+    names: tuple[str, ...]
+    hard: bool
+    soft: bool
+    holds: bool = False
+    words: int = 0
+
+
 def attribute_names(attributes: str) -> list[str]:
-    return [w for value in _NAMES.findall(attributes) for w in _WORD.findall(value.lower())]
+    return [w for value in _NAMES.findall(attributes) for w in value.lower().strip("\"'").split()]
+
+
+def is_aside(name: str) -> bool:
+    """Whether a whole class, id or role value says that: all its parts do, so no-sidebar and comments-open don't."""
+    parts = _WORD.findall(name)
+    return bool(parts) and ASIDE.issuperset(parts)
 
 
 def blocks(page: str) -> Iterator[Block]:
     """The blocks of a page in order; white space within one is single, and empty ones are left out."""
-    stack: list[tuple[str, tuple[str, ...], bool]] = []
+    stack: list[Element] = []
     parts: list[str] = []
-    tags: list[str] = []
+    tags: list[tuple[str, tuple[Element, ...]]] = []
+    found: list[tuple[str, tuple[Element, ...], list[tuple[str, tuple[Element, ...]]]]] = []
     at, end = 0, len(page)
 
-    def never(name: str, names: list[str]) -> bool:
-        inside = any(s[0] in CONTENT for s in stack)
-        return name in NEVER or not ASIDE.isdisjoint(names) or (name == "header" and not inside)
-
-    def flush() -> Iterator[Block]:
+    def flush() -> None:
         text = " ".join(markup.unescape("".join(parts)).split())
         parts.clear()
         if text:
-            names = tuple(dict.fromkeys(n for s in stack for n in s[1]))
-            yield Block(text, names or ("none",), tuple(tags), any(s[0] in CONTENT for s in stack), any(s[2] for s in stack))
+            found.append((text, tuple(stack), tags.copy()))
             tags.clear()
 
     while at < end:
@@ -98,22 +113,40 @@ def blocks(page: str) -> Iterator[Block]:
         elif name == "br":
             parts.append(" ")
         elif name in BLOCK:
-            yield from flush()
-            apart = any(s[2] for s in stack)
+            flush()
+            around = tuple(stack)
             if closing:
-                where = next((k for k in range(len(stack) - 1, -1, -1) if stack[k][0] == name), None)
+                where = next((k for k in range(len(stack) - 1, -1, -1) if stack[k].name == name), None)
                 if where is not None:
                     del stack[where:]
             else:
-                while stack and stack[-1][0] in {"p", "h1", "h2", "h3", "h4", "h5", "h6"} or stack and stack[-1][0] == name == "li":
+                while stack and stack[-1].name in {"p", "h1", "h2", "h3", "h4", "h5", "h6"} or stack and stack[-1].name == name == "li":
                     stack.pop()
+                if name in CONTENT or name == "h1":
+                    for e in stack:
+                        e.holds = e.holds or name in CONTENT or e.name == "header"
                 if name not in VOID:
                     names = attribute_names(m[3])
-                    stack.append((name, (f"in:{name}", *(f"is:{n}" for n in names)), never(name, names) or bool(_HIDDEN.search(m[3]))))
-                    apart = apart or stack[-1][2]
-            if not apart:  # what is left out anyway must not part what stands around it
-                tags.append(name)
-    yield from flush()
+                    inside = any(e.name in CONTENT for e in stack)
+                    hard = name in NEVER and name != "form" or bool(_HIDDEN.search(m[3]))
+                    soft = name not in WHOLE and any(map(is_aside, names)) or name == "form" or (name == "header" and not inside)
+                    stack.append(Element(name, (f"in:{name}", *(f"is:{n}" for n in names)), hard, soft))
+                    around += (stack[-1],)
+            tags.append((name, around))
+    flush()
+    total = 0
+    for text, around, _ in found:
+        n = len(text.split())
+        total += n
+        for e in around:
+            e.words += n
+    never = lambda around: any(e.hard or e.soft and not e.holds and 2 * e.words <= total for e in around)
+    held: list[str] = []
+    for text, around, before in found:
+        held += [t for t, x in before if not never(x)]  # what is left out anyway must not part what stands around it
+        names = tuple(dict.fromkeys(n for e in around for n in e.names))
+        yield Block(text, names or ("none",), tuple(held), any(e.name in CONTENT for e in around), never(around))
+        held = []
 
 
 @dataclass(frozen=True)
@@ -141,7 +174,7 @@ def counted(pages: Iterator[str]) -> Counter:
             yes = b.inside and not b.never
             out["word", "", yes] += b.words
             for n in b.names:
-                known = n[3:] in NEVER or n[3:] in ASIDE
+                known = n[3:] in NEVER or is_aside(n[3:])
                 # The label itself is no evidence for pages that lack it, and a plain element is not to blame for the advert in it.
                 if n[3:] not in CONTENT and (known or not b.never):
                     out["name", n, yes] += b.words
@@ -181,13 +214,13 @@ def main_text(page: str | None, weights: Weights) -> str:
         total += worth
         if total > best:
             best, best_run = total, (start, k + 1)
-    return "\n".join(b.text for b in found[best_run[0] : best_run[1]] if not b.never and weights.word(b) > 0)
+    return "\n".join(b.text for b in found[best_run[0] : best_run[1]] if not b.never)
 
 
 def fit(pages: DataFrame, *, html: str = "html", sample: int = SAMPLE) -> Weights:
-    """Weights from at most ``sample`` pages, those with the smallest hashes.  Only counts by name reach the driver, no pages."""
-    hashed = pages.select(F.xxhash64(html).alias("h"), F.col(html).alias("html")).where(F.col("html").isNotNull())
-    last = hashed.select("h").orderBy("h").limit(sample).agg(F.max("h")).first()[0]
+    """Weights from at most ``sample`` distinct pages whose markup names the content, those with the smallest hashes.  Only counts by name reach the driver, no pages."""
+    hashed = pages.select(F.xxhash64(html).alias("h"), F.col(html).alias("html")).where(F.col("html").rlike(r"(?i)<(?:article|main)\b"))
+    last = hashed.select("h").distinct().orderBy("h").limit(sample).agg(F.max("h")).first()[0]
     if last is None:
         return weights_of({})
     few = hashed.where(F.col("h") <= last).dropDuplicates(["h"]).select("html")
