@@ -3,8 +3,8 @@
 Three base kinds are found by pattern.  The method adds strings that look random: candidate runs of a character class are
 scanned by a window of fixed width whose Shannon entropy is kept up to date from the counts of the character that leaves
 and of the one that enters; a candidate is reported from the start of its first window at or above the class's threshold
-to the end of its last.  Allow-listed candidates (words, numbers, identifiers of public forms) are not reported, and
-neither are those that a base span overlaps.
+to the end of its last, without what base spans cover.  Allow-listed candidates (words, numbers, identifiers of public
+forms) are not reported.
 
 Spans are (start, end) in code points, end exclusive.  Defined results: a null text counts as empty, an empty text has no
 spans; rows and other columns stay as they are, but for columns that have a result's name, which are replaced.
@@ -24,7 +24,12 @@ from .native import let
 ASSIGN = r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
 BASE = (("assign", ASSIGN), ("access", "AKIA[A-Z0-9]{14,}"), ("hex", "[0-9a-f]{16,}"))
 LEAST_VALUE = 12
-KINDS = ("assign", "access", "hex", "entropy_hex", "entropy_base64")
+KINDS = ("assign", "access", "hex", "entropy_hex", "entropy_base64", "entropy_lower", "entropy_upper", "entropy_letters")
+
+
+#: Candidates that look random and are not secret: canonical UUIDs, hyphened words, dates and times, names of samples; each as a whole.
+WORDS = r"^[A-Za-z]+([-_/][A-Za-z]+)*[-_/]?[0-9]{0,4}$"
+ALLOW = (r"^[0-9a-fA-F]{8}(-[0-9a-fA-F]{4}){3}-[0-9a-fA-F]{12}$", WORDS, r"^[0-9]{4}-[0-9]{2}-[0-9]{2}([T_-]?[0-9]{2,9}(-?[0-9]{2})*Z?)?$", r"(?i)^([a-z]+[-_/])*(example|sample|placeholder|changeme)([-_/][a-z]+)*[-_/]?[0-9]{0,4}$")
 
 
 @dataclass(frozen=True)
@@ -36,14 +41,18 @@ class CharacterClass:
     needs: str
     width: int
     threshold: float
+    allow: tuple[str, ...] = ALLOW
 
 
 CLASSES = (
     CharacterClass("entropy_hex", r"(?<![0-9A-Za-z])(?:[0-9A-F]{20,}|[0-9a-f]{20,})(?![0-9A-Za-z])", r"(?=.*[0-9])(?=.*[A-Fa-f])", 16, 2.6),
     CharacterClass("entropy_base64", r"(?<![0-9A-Za-z+/_-])[0-9A-Za-z+/_-]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[0-9])(?=.*[a-z])(?=.*[A-Z])", 20, 3.6),
+    # Digits stand between letters, as they do not in a word with a number after it; G to Z part these from hex.
+    CharacterClass("entropy_lower", r"(?<![0-9A-Za-z+/_-])[0-9a-z]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[g-z])(?=.*[0-9]+[a-z]+[0-9])", 20, 3.4),
+    CharacterClass("entropy_upper", r"(?<![0-9A-Za-z+/_-])[0-9A-Z]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[G-Z])(?=.*[0-9]+[A-Z]+[0-9])", 20, 3.4),
+    # Letters alone look random when case changes as it does not in joined words.
+    CharacterClass("entropy_letters", r"(?<![0-9A-Za-z+/_-])[A-Za-z]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[A-Z]{2})(?=.*[A-Z][a-z]{1,2}[A-Z])(?=(?:.*[a-z][A-Z]){3})", 20, 3.6, tuple(a for a in ALLOW if a != WORDS)),
 )
-#: Candidates that look random and are not secret: canonical UUIDs, hyphened words, paths of words, dates and version numbers.
-ALLOW = (r"^[0-9a-fA-F]{8}(-[0-9a-fA-F]{4}){3}-[0-9a-fA-F]{12}$", r"^[A-Za-z]+([-_/][A-Za-z]+)*[-_/]?[0-9]{0,4}$", r"^[0-9]{4}-[0-9]{2}-[0-9]{2}", r"(?i)example|sample|placeholder|changeme")
 
 
 def pattern_spans(text: Column, pattern: str, kind: int, keep: Column | None = None) -> Column:
@@ -111,20 +120,30 @@ def hot_part(candidate: Column, width: int, threshold: float) -> Column:
     return let(candidate, walk)
 
 
+def outside(span: Column, base: Column) -> Column:
+    """The parts of a span that no base span covers; ``base`` is ordered by start."""
+    part = lambda start, end: F.array(F.struct(start.alias("start"), span["kind"].alias("kind"), end.alias("end")))
+    none = F.array().cast("array<struct<start:int,kind:int,end:int>>")
+    met = F.filter(base, lambda b: (b["start"] < span["end"]) & (span["start"] < b["end"]))
+    zero = F.struct(span["start"].alias("at"), none.alias("out"))
+    step = lambda acc, b: F.struct(F.greatest(acc["at"], b["end"]).alias("at"), F.concat(acc["out"], F.when(b["start"] > acc["at"], part(acc["at"], b["start"])).otherwise(none)).alias("out"))
+    return F.aggregate(met, zero, step, lambda acc: F.concat(acc["out"], F.when(acc["at"] < span["end"], part(acc["at"], span["end"])).otherwise(none)))
+
+
 def entropy_spans(text: Column, base: Column, cls: CharacterClass) -> Column:
-    """Spans of one character class, allow-listed candidates and those that touch a base span left out."""
+    """Spans of one character class without allow-listed candidates: of each hot span the parts outside base spans."""
     number = KINDS.index(cls.kind)
 
     def look(s: Column) -> Column:
         string = F.substring(text, s["start"] + 1, s["end"] - s["start"])
         fine = string.rlike(cls.needs)
-        for allowed in ALLOW:
+        for allowed in cls.allow:
             fine = fine & ~string.rlike(allowed)
-        free = ~F.exists(base, lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"]))
         hot = let(hot_part(string, cls.width, cls.threshold), lambda h: F.when(h["first"].isNotNull(), F.struct((s["start"] + h["first"]).alias("start"), F.lit(number).alias("kind"), (s["start"] + h["last"] + cls.width).alias("end"))))
-        return F.when(fine & free, hot)
+        return F.when(fine, hot)
 
-    found = F.filter(F.transform(pattern_spans(text, cls.pattern, number), look), lambda s: s.isNotNull())
+    hot_spans = F.filter(F.transform(pattern_spans(text, cls.pattern, number), look), lambda s: s.isNotNull())
+    found = F.flatten(F.transform(hot_spans, lambda s: outside(s, base)))
     return _guarded(text, cls.pattern, found)
 
 
