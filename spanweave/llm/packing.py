@@ -23,8 +23,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .shared import settle
-from .word_tokens import word_tokens
+from .shared import settle, small_batches
+from .word_tokens import spans, word_tokens
 
 BUCKETS = 256
 #: Tokens of a range on average: 2,000 sequences of 2,048.
@@ -66,9 +66,11 @@ class CurvePlacement:
         self.signs = rng.choice([-1.0, 1.0], (BUCKETS, dims))
         self.bits = bits
 
-    def vector(self, ids: np.ndarray) -> np.ndarray:
-        v = np.log1p(np.bincount(self.bucket_of[ids], minlength=BUCKETS))
-        return v / (np.linalg.norm(v) or 1.0)
+    def vectors(self, ids: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """A unit vector for each document; ``ends`` holds the position after each one's ids."""
+        whose = np.repeat(np.arange(len(ends)), np.diff(ends, prepend=0))
+        v = np.log1p(np.bincount(whose * BUCKETS + self.bucket_of[ids], minlength=len(ends) * BUCKETS).reshape(-1, BUCKETS))
+        return v / np.maximum(np.linalg.norm(v, axis=1), 1e-300)[:, None]
 
     def keys(self, vectors: np.ndarray) -> np.ndarray:
         # Projections of unit vectors have unit variance; the logistic curve spreads them evenly over the cells.
@@ -76,26 +78,28 @@ class CurvePlacement:
         return hilbert_keys(np.minimum((spread * (1 << self.bits)).astype(np.int64), (1 << self.bits) - 1), self.bits)
 
 
-def tokenised_with_keys(docs: DataFrame, vocab_path: str, *, end_id: int = 1, doc_id: str = "doc_id", text: str = "text", memo: int = 150_000) -> DataFrame:
+def with_end(ids: np.ndarray, ends: np.ndarray, end_id: int) -> tuple[np.ndarray, np.ndarray]:
+    """Every document's ids with the end id behind them."""
+    return np.insert(ids, ends, end_id), ends + np.arange(1, len(ends) + 1)
+
+
+def tokenised_with_keys(docs: DataFrame, vocab_path: str, *, end_id: int = 1, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, curve_key, n, ids): ids with the end id, in as few bytes each as the vocabulary allows."""
     source = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     schema = T.StructType([source.schema["doc_id"], T.StructField("curve_key", T.LongType()), T.StructField("n", T.LongType()), T.StructField("ids", T.BinaryType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = word_tokens(vocab_path, memo)
-        place, narrow = CurvePlacement(words.size), id_type(words.size)
-        tail = np.asarray([end_id], dtype="<u4").tobytes()
+        words = word_tokens(vocab_path)
+        place, narrow = CurvePlacement(words.size), np.dtype(id_type(words.size))
         for batch in batches:
-            for k in range(0, batch.num_rows, 512):
-                piece = batch.slice(k, 512)
-                ids = [np.frombuffer(words.encode(t) + tail, dtype="<u4") for t in piece.column(1).to_pylist()]
-                keys = place.keys(np.stack([place.vector(x) for x in ids]))
-                yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(keys), pa.array([len(x) for x in ids], pa.int64()), pa.array([x.astype(narrow).tobytes() for x in ids], pa.binary())], names=schema.names)
-            if batch.num_rows:
-                del batch, piece
+            for piece in spans(batch, 1):
+                ids, ends = with_end(*words.encode(piece.column(1).to_pylist()), end_id)
+                packed, borders = ids.astype(narrow), np.concatenate([[0], ends]).astype(np.int64) * narrow.itemsize
+                raw = pa.Array.from_buffers(pa.large_binary(), len(ends), [None, pa.py_buffer(borders), pa.py_buffer(packed)]).cast(pa.binary())
+                yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(place.keys(place.vectors(ids, ends))), pa.array(np.diff(ends, prepend=0)), raw], names=schema.names)
             pa.default_memory_pool().release_unused()
 
-    return source.mapInArrow(run, schema)
+    return small_batches(source).mapInArrow(run, schema)
 
 
 def id_type(vocab_size: int) -> str:
@@ -143,14 +147,13 @@ class _Cutter:
             self._seal(now)
 
 
-def curve_packed(docs: DataFrame, vocab_path: str, *, width: int = 2048, end_id: int = 1, doc_id: str = "doc_id", text: str = "text", memo: int = 150_000) -> DataFrame:
+def curve_packed(docs: DataFrame, vocab_path: str, *, width: int = 2048, end_id: int = 1, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """Pieces (doc_id, start, length, ids, doc_tokens, sequence_id, offset); ids are little-endian unsigned 32-bit integers.
 
-    ``memo``: pieces that an encoder remembers, which trades a worker's memory for speed.
     The ids are written once, so that finding the ranges does not encode twice; then one range shuffle brings neighbours
     on the curve together.  A key that many documents share is split by id.
     """
-    tokens = settle(tokenised_with_keys(docs, vocab_path, end_id=end_id, doc_id=doc_id, text=text, memo=memo))
+    tokens = settle(tokenised_with_keys(docs, vocab_path, end_id=end_id, doc_id=doc_id, text=text))
     # Long documents lie near each other on the curve, so the number of ranges follows the tokens: a task's share is bounded at any size.
     total = tokens.agg(F.sum("n")).first()[0] or 0
     ranges = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), math.ceil(total / RANGE_TOKENS))
@@ -169,13 +172,13 @@ def curve_packed(docs: DataFrame, vocab_path: str, *, width: int = 2048, end_id:
 
         for batch in batches:
             names = batch.schema.field(0).type
-            for k in range(0, batch.num_rows, 256):
-                piece = batch.slice(k, 256)
+            for piece in spans(batch, 2):
                 for who, n, raw in zip(piece.column(0).to_pylist(), piece.column(1).to_pylist(), piece.column(2).to_pylist(), strict=True):
                     narrow = "<u2" if len(raw) == 2 * n else "<u4"
                     cut.add(who, np.frombuffer(raw, dtype=narrow))
                 yield from out()
+            pa.default_memory_pool().release_unused()
         cut.finish()
         yield from out()
 
-    return ordered.select("doc_id", "n", "ids").mapInArrow(run, schema)
+    return small_batches(ordered.select("doc_id", "n", "ids")).mapInArrow(run, schema)

@@ -7,7 +7,10 @@ from pyspark.sql import functions as F
 
 from ..plans.workspace import settle, workspace
 
-__all__ = ["settle", "table", "whole", "workspace"]
+__all__ = ["settle", "small_batches", "table", "whole", "workspace"]
+
+#: Rows of an Arrow batch on its way to Python, so that a worker holds few texts at once.
+BATCH_ROWS = 1000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
@@ -19,3 +22,11 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
 def whole(column: str = "text") -> F.Column:
     """The text with null read as empty."""
     return F.coalesce(F.col(column), F.lit(""))
+
+
+def small_batches(df: DataFrame) -> DataFrame:
+    """``df``, after lowering the session's rows of an Arrow batch to ``BATCH_ROWS`` where they are more: Spark bounds a batch by rows, and texts have any length."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(df.sparkSession.conf.get(name)) <= BATCH_ROWS:
+        df.sparkSession.conf.set(name, str(BATCH_ROWS))
+    return df

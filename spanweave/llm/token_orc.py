@@ -22,7 +22,9 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .word_tokens import word_tokens
+from .packing import with_end
+from .shared import small_batches
+from .word_tokens import spans, word_tokens
 
 
 def write_token_orc(docs: DataFrame, path: str, vocab_path: str, *, doc_id: str = "doc_id", text: str = "text", end_id: int = 2, row_stride: int = 1000, bloom_fpp: float = 0.01) -> None:
@@ -33,24 +35,19 @@ def write_token_orc(docs: DataFrame, path: str, vocab_path: str, *, doc_id: str
     ordered = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     ordered = ordered.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
     schema = T.StructType([ordered.schema["doc_id"], T.StructField("part", T.IntegerType()), T.StructField("start_in_part", T.LongType()), T.StructField("n_tokens", T.LongType()), T.StructField("ids", T.ArrayType(T.IntegerType(), False))])
-    tail = np.asarray([end_id], dtype="<u4").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, part, at = word_tokens(vocab_path), TaskContext.get().partitionId(), 0
         for batch in batches:
-            for k in range(0, batch.num_rows, 512):
-                piece = batch.slice(k, 512)
-                ids = [words.encode(t) + tail for t in piece.column(1).to_pylist()]
-                sizes = np.array([len(x) // 4 for x in ids], dtype="i8")
-                ends = np.concatenate([[0], np.cumsum(sizes)])
-                lists = pa.ListArray.from_arrays(pa.array(ends.astype("i4")), pa.array(np.frombuffer(b"".join(ids), dtype="<i4")))
-                yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(np.full(len(ids), part, "i4")), pa.array(at + ends[:-1]), pa.array(sizes), lists], names=schema.names)
-                at += int(ends[-1])
-            if batch.num_rows:
-                del batch, piece
+            for piece in spans(batch, 1):
+                ids, ends = with_end(*words.encode(piece.column(1).to_pylist()), end_id)
+                starts = np.concatenate([[0], ends])
+                lists = pa.ListArray.from_arrays(pa.array(starts.astype("i4")), pa.array(ids.view(np.int32)))
+                yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(np.full(len(ends), part, "i4")), pa.array(at + starts[:-1]), pa.array(np.diff(starts)), lists], names=schema.names)
+                at += int(starts[-1])
             pa.default_memory_pool().release_unused()
 
-    (ordered.mapInArrow(run, schema).write.mode("error").option("compression", "zstd").option("orc.bloom.filter.columns", "doc_id")
+    (small_batches(ordered).mapInArrow(run, schema).write.mode("error").option("compression", "zstd").option("orc.bloom.filter.columns", "doc_id")
      .option("orc.bloom.filter.fpp", str(bloom_fpp)).option("orc.row.index.stride", str(row_stride)).orc(path))
 
 
@@ -82,4 +79,4 @@ def id_checksums(tokens: DataFrame) -> DataFrame:
             sums = [zlib.crc32(view[a:b]) for a, b in zip(ends[:-1], ends[1:], strict=True)]
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(sums, pa.int64())], names=schema.names)
 
-    return source.mapInArrow(run, schema)
+    return small_batches(source).mapInArrow(run, schema)

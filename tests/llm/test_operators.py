@@ -1,5 +1,6 @@
 """Each operator against brute force on hard little tables: nulls, empty and long texts, ties, repeated rows, clashing columns, no rows."""
 
+import functools
 import hashlib
 import math
 import random
@@ -70,18 +71,30 @@ def test_model_ids_are_ranks():
 # 2
 
 
-def own_ids(text, end):
+@functools.cache
+def library():
     from tokenizers import Tokenizer
 
-    t = Tokenizer.from_file(WORD_BPE)
-    t.encode_special_tokens = True
-    return [*t.encode(text, add_special_tokens=False).ids, end]
+    return Tokenizer.from_file(WORD_BPE)
+
+
+def own_ids(text, end):
+    return [*library().encode(text, add_special_tokens=False).ids, end]
 
 
 def test_word_tokens_equal_library():
     words = WordTokens(WORD_BPE)
-    for t in [*filter(None, TEXTS), "A..B, c. d.\ne,, f. ,g .h", "a's we'll don't. 've, x'S.", "ab!! c*** d&&&. e'' f'! g!,. é!! é'", "µª º ß. ẞ. ﬁ"]:
-        assert np.frombuffer(words.encode(t), "<u4").tolist() == own_ids(t, 0)[:-1]
+    odd = ["A..B, c. d.\ne,, f. ,g .h", "a's we'll don't. 've, x'S.", "ab!! c*** d&&&. e'' f'! g!,. é!! é'", "µª º ß. ẞ. ﬁ", "a<|endoftext|>b <|EndOfText|><|startoftext|>", "“quoted” – it’s", "’s 's's 'll", "и́ Ж ǅ İ 한 e\u0301 ٣½²", "z" * 300 + " " + "ab" * 90]
+    texts = [t or "" for t in TEXTS] + odd
+    r = random.Random(6)
+    pool = [*"aAbZ'\"’“—.,!*<|> \n\t\x85\xa0\x1c\x00ßẞéÉѽ01٣日σΣЖǅİ\u0301ﬁ\U0001f600", "'s", "'re", "'ll", "<|endoftext|>", "the ", "lll", "|>"]
+    texts += ["".join(r.choice(pool) for _ in range(r.randrange(40))) for _ in range(1500)]
+    ids, ends = words.encode(texts)
+    at = 0
+    for t, end in zip(texts, ends.tolist(), strict=True):
+        assert ids[at:end].tolist() == own_ids(t, 0)[:-1]
+        at = end
+    assert words.encode([])[0].tolist() == [] and words.encode(["", " \n"])[1].tolist() == [0, 0]
 
 
 def test_packing_is_whole_and_tight(docs, none):
@@ -209,12 +222,16 @@ def entropy(s):
 
 def extra(t, taken):
     out = []
-    for kind, cls in ((3, secret_scan.CLASSES[0]), (4, secret_scan.CLASSES[1])):
+    for cls in secret_scan.CLASSES:
+        kind = secret_scan.KINDS.index(cls.kind)
         for m in re.finditer(cls.pattern, t):
             s = m[0]
             hot = [k for k in range(len(s) - cls.width + 1) if entropy(s[k : k + cls.width]) >= cls.threshold - 1e-9]
-            if hot and re.search(cls.needs, s) and not any(re.search(a, s) for a in secret_scan.ALLOW) and not any(b < m.end() and m.start() < e for b, _, e in taken):
-                out.append((m.start() + hot[0], kind, m.start() + hot[-1] + cls.width))
+            if hot and re.search(cls.needs, s) and not any(re.search(a, s) for a in cls.allow):
+                free = [p for p in range(m.start() + hot[0], m.start() + hot[-1] + cls.width) if not any(b <= p < e for b, _, e in taken)]
+                starts = [p for k, p in enumerate(free) if not k or free[k - 1] != p - 1]
+                ends = [p + 1 for k, p in enumerate(free) if k == len(free) - 1 or free[k + 1] != p + 1]
+                out += [(a, kind, b) for a, b in zip(starts, ends, strict=True)]
     return out
 
 
@@ -224,6 +241,7 @@ def test_secret_scan(spark, docs, none):
     more = ["".join(r.choice(alphabet) for _ in range(r.randrange(200))) for _ in range(150)]
     more += [f"id {''.join(r.choice('0123456789abcdefGHIJKLMNOPqrstuvwxyz') for _ in range(40))} next" for _ in range(50)]
     more += ["token=ſecret secret=ABCDEFGHIJKL", "😀 password=abcdefghijklmnop 😀 0123456789abcdef", "0F" * 20 + " 3F2504E04F8911D39A0C0305E82C3301"]
+    more += [" ".join("".join(r.choice(a) for _ in range(r.randrange(18, 60))) for _ in range(60)) for a in ("0123456789ABCDEF", "abcdefghijklmnopqrstuvwxyz0123456789", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567", "abcDEFghiJKL0123", "é😀 0123456789abcdef/AB")]
     df = docs.select("doc_id", "text", "label").unionByName(spark.createDataFrame([(k, t) for k, t in enumerate(more)], "doc_id bigint, text string"), allowMissingColumns=True)
     out = secret_scan.scan(df).withColumn("clean", secret_scan.redacted(F.coalesce("text", F.lit("")), F.col("all_spans"))).collect()
     assert len(out) == df.count()
@@ -337,35 +355,58 @@ def test_vantage_tree_finds_every_link(spark, spread, monkeypatch):
 # 8
 
 
+def plain_losses(texts, counted, size):
+    """Mean loss of each text under a bigram model of the texts at the places ``counted``, its own counts left out."""
+    start, out = size + 1, []
+    ids = [own_ids(t, 0)[:-1] for t in texts]
+    for k, mine in enumerate(ids):
+        pairs, words, total = Counter(), Counter(), 0
+        for j in counted:
+            if j != k:
+                pairs.update(zip([start, *ids[j]], ids[j], strict=False))
+                words.update(ids[j])
+                total += len(ids[j])
+        seen, follow = Counter(), Counter()
+        for (a, _), n in pairs.items():
+            seen[a] += n
+            follow[a] += 1
+        loss = 0.0
+        for a, w in zip([start, *mine], mine, strict=False):
+            share = (words[w] + 1) / (total + size)
+            loss -= math.log2((pairs[a, w] + follow[a] * share) / (seen[a] + follow[a]) if seen[a] else share)
+        out.append(loss / len(mine) if mine else None)
+    return out
+
+
 def test_cross_entropy_difference(spark, docs, none):
-    labels = spark.createDataFrame([(5, 1), (5, 0), (7, 0), (9, 1), (9, 1), (None, 1)], "doc_id bigint, quality int")
-    target, background = lm_score.fit(docs, labels)
-    counts = [Counter(), Counter()]
-    for i, t in table(docs):
-        counts[1].update(lm_score.cells(t).tolist())
-        if i in (5, 9):
-            counts[0].update(lm_score.cells(t).tolist())
-    models = []
-    for c in counts:
-        a = np.zeros(lm_score.SYMBOLS**3)
-        for k, n in c.items():
-            a[k] = n
-        models.append(a)
-    for got, c in zip((target, background), models, strict=True):
-        assert np.allclose(got, lm_score.log_probabilities(c))
-        assert np.allclose(np.exp2(got).reshape(-1, lm_score.SYMBOLS).sum(axis=1), 1)
-    rows = lm_score.score(docs, target, background).collect()
-    assert len(rows) == docs.count()
-    by_id = {i: t for i, t in table(docs)}
-    for r in rows:
-        t = by_id[r["doc_id"]]
-        assert r["n_tokens"] == len(t)
-        if t:
-            assert abs(r["score"] + (target - background)[lm_score.cells(t)].mean()) < 1e-4
-        else:
-            assert r["score"] is None
-    assert lm_score.score(none, target, background).count() == 0
-    assert np.allclose(lm_score.fit(none, labels)[0], -6)
+    labels = spark.createDataFrame([(5, 1), (5, 0), (7, 0), (9, 1), (9, 1), (13, 1), (None, 1), (77, 1)], "doc_id bigint, quality int")
+    rows = docs.select("doc_id", "text", F.xxhash64("doc_id", F.coalesce("text", F.lit(""))).alias("h")).collect()
+    texts = [r["text"] or "" for r in rows]
+    target = [k for k, r in enumerate(rows) if r["doc_id"] in (5, 9, 13)]
+    sizes = [len(own_ids(t, 0)) - 1 for t in texts]
+    background, filled = [], 0
+    for k in sorted(range(len(rows)), key=lambda k: rows[k]["h"]):
+        if filled < sum(sizes[j] for j in target):
+            background.append(k)
+            filled += sizes[k]
+    size = library().get_vocab_size()
+    a, b = plain_losses(texts, target, size), plain_losses(texts, background, size)
+    want = sorted([(str(r["doc_id"]), n, *(None if x is None else round(x, 9) for x in (p, q, None if p is None else p - q))) for r, n, p, q in zip(rows, sizes, a, b, strict=True)], key=str)
+    got = [(str(r["doc_id"]), r["n_tokens"], *(None if r[c] is None else round(r[c], 9) for c in ("target_bits", "background_bits", "score"))) for r in lm_score.score(docs, labels, WORD_BPE).collect()]
+    assert [w[:2] for w in want] == [g[:2] for g in sorted(got, key=str)]
+    for w, g in zip(want, sorted(got, key=str), strict=True):
+        assert (w[2] is None) == (g[2] is None) and (w[2] is None or max(abs(x - y) for x, y in zip(w[2:], g[2:], strict=True)) < 1e-6)
+    assert lm_score.score(none, labels, WORD_BPE).count() == 0
+    uniform = lm_score.score(docs, labels.limit(0), WORD_BPE).where("n_tokens > 0").collect()
+    assert all(abs(r["target_bits"] - math.log2(size)) < 1e-9 and r["score"] == 0 for r in uniform)
+
+
+def test_losses_do_not_depend_on_blocks(spark):
+    """Many blocks exchange what one block counts alone; targets are all documents, so that both models count all."""
+    docs = spark.createDataFrame([(k, prose(30 + k % 7, k % 40)) for k in range(200)], "doc_id bigint, text string")
+    labels = docs.select("doc_id", F.lit(1).alias("quality"))
+    one, many = ({r["doc_id"]: r["target_bits"] for r in lm_score.score(docs, labels, WORD_BPE, block=b).collect()} for b in (1 << 30, 2000))
+    assert len(one) == 200 and all(abs(one[k] - many[k]) < 1e-9 for k in one)
 
 
 # 9
