@@ -1,11 +1,15 @@
 """Secrets in texts, as column expressions only.
 
 Three base kinds are found by pattern.  The method adds strings that look random: candidate runs of a character class are
-scanned by a window of fixed width whose Shannon entropy is kept up to date from the counts of the character that leaves
-and of the one that enters; a candidate is reported from the start of its first window at or above the class's threshold
+scanned by a window of fixed width that carries the count of every character of the class's alphabet: a step takes one from
+the count of the character that leaves, adds one to that of the character that enters, and changes two terms of the entropy;
+a candidate is reported from the start of its first window at or above the class's threshold
 to the end of its last, without what base spans cover.  Allow-listed candidates (words, numbers, identifiers of public
 forms) are not reported.
 
+Positions come from running sums in blocks of about the square root of the number of matches, and texts are cut from blocks
+of fixed length, so a long text with many matches costs little more than in proportion to its length.
+
 Spans are (start, end) in code points, end exclusive.  Defined results: a null text counts as empty, an empty text has no
 spans; rows and other columns stay as they are, but for columns that have a result's name, which are replaced.
 """
@@ -13,6 +17,8 @@ spans; rows and other columns stay as they are, but for columns that have a resu
 from __future__ import annotations
 
 import math
+import string
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -34,9 +40,10 @@ ALLOW = (r"^[0-9a-fA-F]{8}(-[0-9a-fA-F]{4}){3}-[0-9a-fA-F]{12}$", WORDS, r"^[0-9
 
 @dataclass(frozen=True)
 class CharacterClass:
-    """Candidates of one class: the runs that ``pattern`` matches and ``needs`` accepts; ``width`` characters a window."""
+    """Candidates of one class, made of ``alphabet``: the runs that ``pattern`` matches and ``needs`` accepts; ``width`` characters a window."""
 
     kind: str
+    alphabet: str
     pattern: str
     needs: str
     width: int
@@ -45,32 +52,63 @@ class CharacterClass:
 
 
 CLASSES = (
-    CharacterClass("entropy_hex", r"(?<![0-9A-Za-z])(?:[0-9A-F]{20,}|[0-9a-f]{20,})(?![0-9A-Za-z])", r"(?=.*[0-9])(?=.*[A-Fa-f])", 16, 2.6),
-    CharacterClass("entropy_base64", r"(?<![0-9A-Za-z+/_-])[0-9A-Za-z+/_-]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[0-9])(?=.*[a-z])(?=.*[A-Z])", 20, 3.6),
+    # Lower-case runs of this length are base spans as a whole.
+    CharacterClass("entropy_hex", string.digits + "ABCDEF", r"(?<![0-9A-Za-z])[0-9A-F]{20,}(?![0-9A-Za-z])", r"(?=.*[0-9])(?=.*[A-F])", 16, 2.6),
+    CharacterClass("entropy_base64", string.digits + string.ascii_letters + "+/_-", r"(?<![0-9A-Za-z+/_-])[0-9A-Za-z+/_-]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[0-9])(?=.*[a-z])(?=.*[A-Z])", 20, 3.6),
     # Digits stand between letters, as they do not in a word with a number after it; G to Z part these from hex.
-    CharacterClass("entropy_lower", r"(?<![0-9A-Za-z+/_-])[0-9a-z]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[g-z])(?=.*[0-9]+[a-z]+[0-9])", 20, 3.4),
-    CharacterClass("entropy_upper", r"(?<![0-9A-Za-z+/_-])[0-9A-Z]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[G-Z])(?=.*[0-9]+[A-Z]+[0-9])", 20, 3.4),
+    CharacterClass("entropy_lower", string.digits + string.ascii_lowercase, r"(?<![0-9A-Za-z+/_-])[0-9a-z]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[g-z])(?=.*[0-9]+[a-z]+[0-9])", 20, 3.4),
+    CharacterClass("entropy_upper", string.digits + string.ascii_uppercase, r"(?<![0-9A-Za-z+/_-])[0-9A-Z]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[G-Z])(?=.*[0-9]+[A-Z]+[0-9])", 20, 3.4),
     # Letters alone look random when case changes as it does not in joined words.
-    CharacterClass("entropy_letters", r"(?<![0-9A-Za-z+/_-])[A-Za-z]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[A-Z]{2})(?=.*[A-Z][a-z]{1,2}[A-Z])(?=(?:.*[a-z][A-Z]){3})", 20, 3.6, tuple(a for a in ALLOW if a != WORDS)),
+    CharacterClass("entropy_letters", string.ascii_letters, r"(?<![0-9A-Za-z+/_-])[A-Za-z]{20,}(?![0-9A-Za-z+/_-])", r"(?=.*[A-Z]{2})(?=.*[A-Z][a-z]{1,2}[A-Z])(?=(?:.*[a-z][A-Z]){3})", 20, 3.6, tuple(a for a in ALLOW if a != WORDS)),
 )
 
 
-def pattern_spans(text: Column, pattern: str, kind: int, keep: Column | None = None) -> Column:
-    """array<struct<start,kind,end>> of the leftmost, non-overlapping matches, from the lengths of matches and of what lies between."""
+def running(values: Column, join: Callable[[Column, Column], Column], start: int) -> Column:
+    """For each place of an int array, ``join`` over the values up to it.
+
+    Growing an array value by value copies it each time, so it is done within blocks of about the square root of the size.
+    """
+
+    def scan(xs: Column, first: Column) -> Column:
+        zero = F.struct(first.alias("at"), F.array().cast("array<int>").alias("out"))
+        step = lambda acc, x: F.struct(join(acc["at"], x).alias("at"), F.concat(acc["out"], F.array(join(acc["at"], x))).alias("out"))
+        return F.aggregate(xs, zero, step, lambda acc: acc["out"])
+
+    def whole(xs: Column) -> Column:
+        block = F.ceil(F.sqrt(F.size(xs))).cast("int")
+        cut = lambda width: F.transform(F.sequence(F.lit(1), F.size(xs), width), lambda at: F.slice(xs, at, width))
+
+        def by_block(blocks: Column) -> Column:
+            totals = F.transform(blocks, lambda b: F.aggregate(b, F.lit(start), join))
+            return let(scan(totals, F.lit(start)), lambda upto: F.flatten(F.transform(blocks, lambda b, k: scan(b, F.when(k > 0, F.get(upto, k - 1)).otherwise(F.lit(start))))))
+
+        return F.when(F.size(xs) > 0, let(let(block, cut), by_block)).otherwise(F.array().cast("array<int>"))
+
+    return let(values, whole)
+
+
+NO_SPANS = "array<struct<start:int,kind:int,end:int>>"
+
+
+def matches(text: Column, pattern: str) -> Column:
+    """array<struct<hit,end>> of the leftmost, non-overlapping matches, from the lengths of matches and of what lies between."""
     hits, gaps = F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), F.split(text, pattern, -1)
+    lengths = lambda p: F.transform(p["hits"], lambda h, k: F.char_length(h) + F.char_length(F.get(p["gaps"], k)))
+    return let(F.struct(hits.alias("hits"), gaps.alias("gaps")), lambda p: F.zip_with(p["hits"], running(lengths(p), lambda a, b: a + b, 0), lambda h, e: F.struct(h.alias("hit"), e.alias("end"))))
+
+
+def span(start: Column, kind: int, end: Column) -> Column:
+    return F.struct(start.alias("start"), F.lit(kind).alias("kind"), end.alias("end"))
 
-    def walk(pair: Column) -> Column:
-        start = lambda acc, x: acc["at"] + F.char_length(x["gap"])
-        zero = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,kind:int,end:int>>").alias("out"))
-        step = lambda acc, x: F.struct((start(acc, x) + F.char_length(x["hit"])).alias("at"), F.concat(acc["out"], F.array(F.struct(start(acc, x).alias("start"), F.lit(kind).alias("kind"), (start(acc, x) + F.char_length(x["hit"])).alias("end")))).alias("out"))
-        return F.aggregate(F.zip_with(pair["hits"], F.slice(pair["gaps"], 1, F.size(pair["hits"])), lambda h, g: F.struct(h.alias("hit"), g.alias("gap"))), zero, step, lambda acc: acc["out"])
 
-    return let(F.struct(hits.alias("hits"), gaps.alias("gaps")), walk)
+def pattern_spans(text: Column, pattern: str, kind: int) -> Column:
+    """array<struct<start,kind,end>> of the matches."""
+    return F.transform(matches(text, pattern), lambda m: span(m["end"] - F.char_length(m["hit"]), kind, m["end"]))
 
 
 def _guarded(text: Column, guard: str, spans: Column) -> Column:
     """No spans where ``guard`` finds nothing: one scan of the text instead of several."""
-    return F.when(text.rlike(guard), spans).otherwise(F.array().cast("array<struct<start:int,kind:int,end:int>>"))
+    return F.when(text.rlike(guard), spans).otherwise(F.array().cast(NO_SPANS))
 
 
 def base_spans(text: Column) -> Column:
@@ -86,73 +124,85 @@ def base_spans(text: Column) -> Column:
     return F.sort_array(found)
 
 
-def _count(window: Column, letter: Column) -> Column:
-    return F.char_length(window) - F.char_length(F.replace(window, letter, F.lit("")))
+#: Entropy terms are whole numbers of this fraction, so that adding and taking away leaves no rounding behind.
+UNIT = 1 << 40
 
 
-def _weight(n: Column) -> Column:
-    return F.when(n > 1, n * F.log2(n.cast("double"))).otherwise(F.lit(0.0))
+def hot_part(candidate: Column, alphabet: str, width: int, threshold: float) -> Column:
+    """struct<first,last>: offsets of the first and last window at or above the threshold (null: none).
 
+    With S the sum of n log2 n over a window's counts n, its entropy is log2(width) - S / width.  The accumulator carries
+    the counts, S and the answer; a step looks up two counts and changes both.
+    """
+    terms = [round(n * math.log2(n) * UNIT) if n else 0 for n in range(width + 1)]
+    weight = lambda n: F.get(F.array(*map(F.lit, map(int, terms))).cast("array<bigint>"), n)
+    most = F.lit(int((math.log2(width) - threshold) * width * UNIT) + width).cast("bigint")
+    places = F.transform(F.split(candidate, ""), lambda c: F.call_function("locate", c, F.lit(alphabet)) - 1)
+    mark = lambda total, at, old: F.when(total <= most, at).otherwise(old)
+    none = F.lit(None).cast("int")
+
+    def walk(at: Column) -> Column:
+        head = F.slice(at, 1, width)
+        counts = F.transform(F.sequence(F.lit(0), F.lit(len(alphabet) - 1)), lambda k: F.size(F.filter(head, lambda p: p == k)))
+        with_total = lambda c: let(F.aggregate(c, F.lit(0).cast("bigint"), lambda t, n: t + weight(n)), lambda t: F.struct(c.alias("counts"), t.alias("total"), mark(t, F.lit(0), none).alias("first"), mark(t, F.lit(0), none).alias("last")))
 
-def hot_part(candidate: Column, width: int, threshold: float) -> Column:
-    """struct<first,last>: offsets of the first and last window at or above the threshold (null: none), counts kept incrementally.
+        def step(acc: Column, i: Column) -> Column:
+            def moved(ends: Column) -> Column:
+                out, into = ends["out"], ends["into"]
+                a, b = F.get(acc["counts"], out), F.get(acc["counts"], into)
+                total = F.when(out == into, acc["total"]).otherwise(acc["total"] - weight(a) + weight(a - 1) - weight(b) + weight(b + 1))
+                counts = F.when(out == into, acc["counts"]).otherwise(F.transform(acc["counts"], lambda n, k: n + F.when(k == into, F.lit(1)).when(k == out, F.lit(-1)).otherwise(F.lit(0))))
+                return let(total, lambda t: F.struct(counts.alias("counts"), t.alias("total"), F.coalesce(acc["first"], mark(t, i, none)).alias("first"), mark(t, i, acc["last"]).alias("last")))
 
-    With S the sum of n log2 n over a window's counts n, its entropy is log2(width) - S / width; a step changes two terms.
-    """
-    most = (math.log2(width) - threshold) * width + 1e-9
+            return let(F.struct(F.get(at, i - 1).alias("out"), F.get(at, i + (width - 1)).alias("into")), moved)
 
-    def walk(s: Column) -> Column:
-        head = F.substring(s, F.lit(1), F.lit(width))
-        total = F.aggregate(F.array_distinct(F.split(head, "")), F.lit(0.0), lambda t, c: t + F.when(c == "", F.lit(0.0)).otherwise(_weight(_count(head, c))))
-        mark = lambda ok, at, old: F.when(ok, at).otherwise(old)
-        none = F.lit(None).cast("int")
-        zero = let(total, lambda t: F.struct(t.alias("total"), mark(t <= most, F.lit(0), none).alias("first"), mark(t <= most, F.lit(0), none).alias("last")))
+        steps = F.when(F.size(at) > width, F.sequence(F.lit(1), F.size(at) - width)).otherwise(F.array().cast("array<int>"))
+        return F.aggregate(steps, let(counts, with_total), step, lambda acc: F.struct(acc["first"].alias("first"), acc["last"].alias("last")))
 
-        def step(acc: Column, i: Column) -> Column:
-            shared = F.substring(s, i + 1, F.lit(width - 1))
-            out_n, in_n = _count(shared, F.substring(s, i, F.lit(1))), _count(shared, F.substring(s, i + width, F.lit(1)))
-            moved = acc["total"] - _weight(out_n + 1) + _weight(out_n) - _weight(in_n) + _weight(in_n + 1)
-            return let(moved, lambda t: F.struct(t.alias("total"), F.coalesce(acc["first"], mark(t <= most, i, none)).alias("first"), mark(t <= most, i, acc["last"]).alias("last")))
+    return let(places, walk)
 
-        steps = F.when(F.char_length(s) > width, F.sequence(F.lit(1), F.char_length(s) - width)).otherwise(F.array().cast("array<int>"))
-        return F.aggregate(steps, zero, step, lambda acc: F.struct(acc["first"].alias("first"), acc["last"].alias("last")))
 
-    return let(candidate, walk)
+def in_blocks(spans: Column) -> Column:
+    """array<struct<low,high,spans>>: spans ordered by start, in blocks of about the square root of their number."""
+    block = F.ceil(F.sqrt(F.size(spans))).cast("int")
+    cut = F.transform(F.sequence(F.lit(1), F.size(spans), block), lambda at: F.slice(spans, at, block))
+    named = F.transform(cut, lambda b: F.struct(F.array_min(F.transform(b, lambda s: s["start"])).alias("low"), F.array_max(F.transform(b, lambda s: s["end"])).alias("high"), b.alias("spans")))
+    return F.when(F.size(spans) > 0, named).otherwise(F.array().cast(f"array<struct<low:int,high:int,spans:{NO_SPANS}>>"))
 
 
-def outside(span: Column, base: Column) -> Column:
-    """The parts of a span that no base span covers; ``base`` is ordered by start."""
-    part = lambda start, end: F.array(F.struct(start.alias("start"), span["kind"].alias("kind"), end.alias("end")))
-    none = F.array().cast("array<struct<start:int,kind:int,end:int>>")
-    met = F.filter(base, lambda b: (b["start"] < span["end"]) & (span["start"] < b["end"]))
-    zero = F.struct(span["start"].alias("at"), none.alias("out"))
-    step = lambda acc, b: F.struct(F.greatest(acc["at"], b["end"]).alias("at"), F.concat(acc["out"], F.when(b["start"] > acc["at"], part(acc["at"], b["start"])).otherwise(none)).alias("out"))
-    return F.aggregate(met, zero, step, lambda acc: F.concat(acc["out"], F.when(acc["at"] < span["end"], part(acc["at"], span["end"])).otherwise(none)))
+def outside(hot: Column, blocks: Column, kind: int) -> Column:
+    """The parts of a span that no base span covers; ``blocks`` holds the base spans in order of start."""
+    none = F.array().cast(NO_SPANS)
+    near = F.flatten(F.transform(F.filter(blocks, lambda b: (b["low"] < hot["end"]) & (hot["start"] < b["high"])), lambda b: b["spans"]))
+    met = F.filter(near, lambda b: (b["start"] < hot["end"]) & (hot["start"] < b["end"]))
+    zero = F.struct(hot["start"].alias("at"), none.alias("out"))
+    step = lambda acc, b: F.struct(F.greatest(acc["at"], b["end"]).alias("at"), F.when(b["start"] > acc["at"], F.concat(acc["out"], F.array(span(acc["at"], kind, b["start"])))).otherwise(acc["out"]).alias("out"))
+    return F.aggregate(met, zero, step, lambda acc: F.when(acc["at"] < hot["end"], F.concat(acc["out"], F.array(span(acc["at"], kind, hot["end"])))).otherwise(acc["out"]))
 
 
-def entropy_spans(text: Column, base: Column, cls: CharacterClass) -> Column:
+def entropy_spans(text: Column, blocks: Column, cls: CharacterClass) -> Column:
     """Spans of one character class without allow-listed candidates: of each hot span the parts outside base spans."""
     number = KINDS.index(cls.kind)
 
-    def look(s: Column) -> Column:
-        string = F.substring(text, s["start"] + 1, s["end"] - s["start"])
-        fine = string.rlike(cls.needs)
+    def look(m: Column) -> Column:
+        fine = m["hit"].rlike(cls.needs)
         for allowed in cls.allow:
-            fine = fine & ~string.rlike(allowed)
-        hot = let(hot_part(string, cls.width, cls.threshold), lambda h: F.when(h["first"].isNotNull(), F.struct((s["start"] + h["first"]).alias("start"), F.lit(number).alias("kind"), (s["start"] + h["last"] + cls.width).alias("end"))))
+            fine = fine & ~m["hit"].rlike(allowed)
+        start = m["end"] - F.char_length(m["hit"])
+        hot = let(hot_part(m["hit"], cls.alphabet, cls.width, cls.threshold), lambda h: F.when(h["first"].isNotNull(), F.struct((start + h["first"]).alias("start"), (start + h["last"] + cls.width).alias("end"))))
         return F.when(fine, hot)
 
-    hot_spans = F.filter(F.transform(pattern_spans(text, cls.pattern, number), look), lambda s: s.isNotNull())
-    found = F.flatten(F.transform(hot_spans, lambda s: outside(s, base)))
-    return _guarded(text, cls.pattern, found)
+    hot_spans = F.filter(F.transform(matches(text, cls.pattern), look), lambda s: s.isNotNull())
+    return _guarded(text, cls.pattern, F.flatten(F.transform(hot_spans, lambda s: outside(s, blocks, number))))
 
 
 def scan(docs: DataFrame, *, text: str = "text") -> DataFrame:
     """``docs`` with base_spans and all_spans: array<struct<start,kind,end>>, kind being a position in KINDS, ordered by start, then kind.  No shuffle."""
     whole = F.coalesce(F.col(text), F.lit(""))
     with_base = docs.withColumn("base_spans", base_spans(whole))
-    extra = F.concat(*(entropy_spans(whole, F.col("base_spans"), c) for c in CLASSES))
-    return with_base.withColumn("all_spans", F.sort_array(F.concat(F.col("base_spans"), extra)))
+    base = F.col("base_spans")
+    both = let(in_blocks(base), lambda blocks: F.sort_array(F.concat(base, *(entropy_spans(whole, blocks, c) for c in CLASSES))))
+    return with_base.withColumn("all_spans", both)
 
 
 def span_text(spans: Column) -> Column:
@@ -160,13 +210,24 @@ def span_text(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", F.get(names, s["kind"]), s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
+#: Code points of the blocks that parts of a text are cut from.
+BLOCK = 512
+
+
 def redacted(text: Column, spans: Column, mark: str = "[SECRET]") -> Column:
     """The text with every span replaced by ``mark``; spans that overlap become one."""
-    zero = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
 
-    def step(acc: Column, s: Column) -> Column:
-        fresh = s["start"] >= acc["at"]
-        grown = F.concat(acc["out"], F.substring(text, acc["at"] + 1, s["start"] - acc["at"]), F.lit(mark))
-        return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.when(fresh, grown).otherwise(acc["out"]).alias("out"))
+    def part(blocks: Column, start: Column, end: Column) -> Column:
+        first = F.floor(start / BLOCK).cast("int")
+        some = F.array_join(F.slice(blocks, first + 1, F.floor(end / BLOCK).cast("int") - first + 1), "")
+        return F.substring(some, start - first * BLOCK + 1, end - start)
+
+    def joined(x: Column) -> Column:
+        before = lambda k: F.when(k > 0, F.get(x["upto"], k - 1)).otherwise(F.lit(0))
+        piece = lambda s, k: let(before(k), lambda at: F.when(s["start"] >= at, F.concat(part(x["blocks"], at, s["start"]), F.lit(mark))).otherwise(F.lit("")))
+        last = part(x["blocks"], F.element_at(x["upto"], -1), F.char_length(text))
+        return F.array_join(F.concat(F.transform(spans, piece), F.array(last)), "")
 
-    return F.aggregate(spans, zero, step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, F.char_length(text))))
+    upto = running(F.transform(spans, lambda s: s["end"]), lambda a, b: F.greatest(a, b), 0)
+    blocks = F.regexp_extract_all(text, F.lit(f"(?s).{{1,{BLOCK}}}"), F.lit(0))
+    return F.when(F.size(spans) > 0, let(F.struct(blocks.alias("blocks"), upto.alias("upto")), joined)).otherwise(text)
