@@ -35,10 +35,18 @@ def amortized_report(trace: DataFrame) -> DataFrame:
     return out.withColumn("work_per_solution", F.col("work") / F.greatest(F.col("n_solutions"), F.lit(1)))
 
 
-def incremental_cost(trace: DataFrame) -> DataFrame:
-    """(instance_id, i, work): all work up to the i-th solution."""
+def incremental_cost(trace: DataFrame, n: int) -> DataFrame:
+    """(instance_id, i, delay, ratio): the work between solution i - 1 and solution i, and that over n + i, for a graph of ``n`` vertices."""
     place = F.row_number().over(by_seq())
-    return trace.where("kind = 'emit'").select("instance_id", place.alias("i"), "work")
+    out = delays(trace).where("kind = 'emit'").select("instance_id", place.alias("i"), "delay")
+    return out.withColumn("ratio", F.col("delay") / (F.lit(n) + F.col("i")))
+
+
+def space(trace: DataFrame) -> DataFrame:
+    """Per instance: the most ids that the search held (attached paths and open path searches), and the most that lay in found but not yet emitted solutions."""
+    ids = F.when(F.col("kind") == "leaf", F.col("n_edges")).when(F.col("kind") == "emit", -F.col("n_edges")).otherwise(0)
+    held = trace.withColumn("held", F.sum(ids).over(by_seq().rowsBetween(Window.unboundedPreceding, 0)))
+    return held.groupBy("instance_id").agg(F.max(F.when(F.col("kind") == "end", F.col("n_edges"))).alias("search_ids"), F.max("held").alias("buffered_ids"))
 
 
 def tree_shape(trace: DataFrame) -> DataFrame:
@@ -54,12 +62,19 @@ def tree_shape(trace: DataFrame) -> DataFrame:
 
 
 def buffer_report(trace: DataFrame) -> DataFrame:
-    """Per instance: the most solutions held back at a time, and the most search events between two emissions after the first."""
+    """Per instance: the most solutions held back at a time, the fewest between the first emission and the last one found, and the most search events between two emissions.
+
+    Solutions are held when found; one that goes out at once counts for that event.  ``least_held`` below 1 would mean that an
+    emission was due and none was there.
+    """
     held = F.sum(F.when(F.col("kind") == "leaf", 1).when(F.col("kind") == "emit", -1).otherwise(0)).over(by_seq().rowsBetween(Window.unboundedPreceding, 0))
     steps = F.sum(F.when(F.col("kind").isin("enter", "leaf", "leave"), 1).otherwise(0)).over(by_seq().rowsBetween(Window.unboundedPreceding, 0))
     counted = trace.withColumn("held", held).withColumn("steps", steps)
     gaps = counted.where("kind = 'emit'").withColumn("gap", F.col("steps") - F.lag("steps").over(by_seq()))
-    return counted.groupBy("instance_id").agg(F.max("held").alias("most_held")).join(gaps.groupBy("instance_id").agg(F.max("gap").alias("longest_gap")), "instance_id", "left")
+    bounds = counted.groupBy("instance_id").agg(F.min(F.when(F.col("kind") == "emit", F.col("seq"))).alias("first_emit"), F.max(F.when(F.col("kind") == "leaf", F.col("seq"))).alias("last_leaf"))
+    inside = (F.col("seq") >= F.col("first_emit")) & (F.col("seq") < F.col("last_leaf")) & (F.col("kind") == "emit")
+    held_by = counted.join(bounds, "instance_id").groupBy("instance_id").agg(F.max("held").alias("most_held"), F.min(F.when(inside, F.col("held") + 1)).alias("least_held"))
+    return held_by.join(gaps.groupBy("instance_id").agg(F.max("gap").alias("longest_gap")), "instance_id", "left")
 
 
 def published_bound(solutions: DataFrame, m: int, *, factor: int = 1) -> DataFrame:

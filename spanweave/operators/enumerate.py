@@ -1,6 +1,6 @@
 """Enumeration of minimal connecting subgraphs as DataFrame operators.
 
-Modes.  ``fleet``: many instances, each with a graph that one task can hold; an instance is one row with its edges nested,
+Modes.  ``auto`` (the default) asks ``plans.planner``, which looks at counts.  ``fleet``: many instances, each with a graph that one task can hold; an instance is one row with its edges nested,
 and a generator streams its solutions out in batches.  ``shard``: few instances with long searches; see ``shards``.
 Solutions need no de-duplication, as searches never produce one twice.
 """
@@ -15,14 +15,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import model
-from ..kernels.solve import Options, path_solutions, solutions, traced
+from ..kernels.solve import Options, completed, path_solutions, solutions, traced
 from ..plans.planner import choose_mode
+from ..plans.spread import beside
 
 BATCH = 2000
+#: Flavours whose searches branch by attachments and can be split over tasks.
+SPLITTABLE = frozenset(("tree", "forest", "terminal", "directed"))
 
 
 def packed_instances(instances: DataFrame, terminals: DataFrame, edges: DataFrame) -> DataFrame:
-    """(instance_id, root, edges, sets): one row an instance.  Edges meet instances by graph, terminals are nested by set."""
+    """(instance_id, root, edges, sets): one row an instance.  Edges meet instances by graph, terminals are nested by set; instances that share a graph are spread."""
     have = [F.col(c) if c in instances.columns else F.lit(0 if c == "graph_id" else None).cast("bigint").alias(c) for c in ("instance_id", "graph_id", "root")]
     jobs = model.need(instances.select(*have), "instance_id", "graph_id", "root")
     if "set_id" not in terminals.columns:
@@ -30,7 +33,7 @@ def packed_instances(instances: DataFrame, terminals: DataFrame, edges: DataFram
     sets = terminals.groupBy("instance_id", "set_id").agg(F.sort_array(F.collect_set("vertex_id")).alias("members"))
     sets = sets.groupBy("instance_id").agg(F.sort_array(F.collect_list(F.struct("set_id", "members"))).alias("sets"))
     graphs = model.checked_edges(edges).groupBy("graph_id").agg(F.sort_array(F.collect_list(F.struct("edge_id", "src", "dst"))).alias("edges"))
-    return jobs.join(sets, "instance_id", "left").join(graphs, "graph_id", "left").select("instance_id", "root", F.coalesce("edges", F.array().cast("array<struct<edge_id:bigint,src:bigint,dst:bigint>>")).alias("edges"), F.transform("sets", lambda s: s["members"]).alias("sets"))
+    return beside(jobs.join(sets, "instance_id", "left"), graphs, "graph_id", how="left").select("instance_id", "root", F.coalesce("edges", F.array().cast("array<struct<edge_id:bigint,src:bigint,dst:bigint>>")).alias("edges"), F.transform("sets", lambda s: s["members"]).alias("sets"))
 
 
 def _plain(row) -> tuple[list[tuple[int, int, int]], list[list[int]], int | None]:
@@ -78,12 +81,14 @@ def trace(instances: DataFrame, terminals: DataFrame, edges: DataFrame, options:
 
 
 def _enumerator(flavour: str, doc: str) -> Callable[..., DataFrame]:
-    def operator(instances: DataFrame, terminals: DataFrame, edges: DataFrame, *, mode: str = "fleet", work_budget: int = 200_000, **options) -> DataFrame:
+    def operator(instances: DataFrame, terminals: DataFrame, edges: DataFrame, *, mode: str = "auto", work_budget: int = 200_000, **options) -> DataFrame:
         o = Options(flavour=flavour, **options)
         if mode == "auto":
             mode = choose_mode(instances, model.checked_edges(edges))
             if mode == "relational":
                 raise ValueError("the largest graph does not fit a task: prune it (operators.graph_tests) or use plans.relational")
+            if o.pacing == "buffered" or o.flavour not in SPLITTABLE:
+                mode = "fleet"
         if mode not in ("fleet", "shard"):
             raise ValueError(f"unknown mode {mode!r}")
         if mode == "shard":
@@ -124,7 +129,7 @@ def _paths(edges: DataFrame, endpoints: DataFrame, directed: bool, o: Options) -
     graph = F.col("graph_id") if "graph_id" in endpoints.columns else F.lit(0).cast("bigint").alias("graph_id")
     jobs = endpoints.select("instance_id", graph, F.lit(None).cast("bigint").alias("root"), F.array("a", "b").alias("sets"))
     graphs = model.checked_edges(edges).groupBy("graph_id").agg(F.sort_array(F.collect_list(F.struct("edge_id", "src", "dst"))).alias("edges"))
-    packed = jobs.join(graphs, "graph_id").select("instance_id", "root", "edges", "sets")
+    packed = beside(jobs, graphs, "graph_id").select("instance_id", "root", "edges", "sets")
 
     def work(who, graph, sets, root):
         for p in path_solutions(graph, sets[0], sets[1], directed, o):
@@ -139,6 +144,26 @@ def hamiltonian_paths(edges: DataFrame, endpoints: DataFrame, *, directed: bool
     return st_paths(edges, endpoints, directed=directed).crossJoin(F.broadcast(sizes)).where("n_edges = n - 1").drop("n")  # one row on the right
 
 
-def complete_tree(instances: DataFrame, terminals: DataFrame, edges: DataFrame) -> DataFrame:
-    """One minimal Steiner tree for each instance."""
-    return steiner_trees(instances, terminals, edges, limit=1)
+def complete_tree(instances: DataFrame, terminals: DataFrame, edges: DataFrame, partial: DataFrame | None = None, *, flavour: str = "tree") -> DataFrame:
+    """(instance_id, solution_key, n_edges, edges): one minimal solution for each instance that holds all edges of its partial(instance_id, edge_id).
+
+    A spanning structure is grown around the partial edges and what hangs loose without a terminal is taken away again, in
+    time linear in the graph; nothing is enumerated.  ``flavour``: tree, forest or directed.  A partial solution must be part of some minimal
+    one: acyclic, its leaves terminals, and for trees connected.  No row where there is no solution.
+    """
+    packed = packed_instances(instances, terminals, edges)
+    if partial is None:
+        partial = instances.sparkSession.createDataFrame([], "instance_id bigint, edge_id bigint")
+    kept = partial.groupBy("instance_id").agg(F.collect_set("edge_id").alias("kept"))
+    rows = packed.join(kept, "instance_id", "left")
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            out = []
+            for row in frame.itertuples(index=False):
+                found = completed(*_plain(row)[:2], [] if row.kept is None else [int(e) for e in row.kept], _plain(row)[2], flavour)
+                if found is not None:
+                    out.append((int(row.instance_id), found.key, len(found.edges), found.edges))
+            yield pd.DataFrame(out, columns=["instance_id", "solution_key", "n_edges", "edges"])
+
+    return rows.mapInPandas(run, "instance_id bigint, solution_key string, n_edges int, edges array<bigint>")

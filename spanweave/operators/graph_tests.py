@@ -19,7 +19,15 @@ def oriented(edges: DataFrame) -> DataFrame:
     return edges.select("edge_id", "src", "dst").unionByName(edges.select("edge_id", F.col("dst").alias("src"), F.col("src").alias("dst")))
 
 
+def one_graph(edges: DataFrame) -> DataFrame:
+    """``edges``, after an error if they are of several graphs: the operators here that name vertices alone would mix them."""
+    if "graph_id" in edges.columns and len(edges.select("graph_id").distinct().limit(2).collect()) > 1:
+        raise ValueError("edges of several graphs: give them one graph at a time")
+    return edges
+
+
 def degrees(edges: DataFrame) -> DataFrame:
+    """(vertex, degree); edges must be of one graph."""
     return edges.select(F.explode(F.array("src", "dst")).alias("vertex")).groupBy("vertex").agg(F.count("*").alias("degree"))
 
 
@@ -93,7 +101,7 @@ def claws(edges: DataFrame) -> DataFrame:
 
     Pairs of neighbours that are not adjacent come first, and only such pairs are extended.
     """
-    near = oriented(edges).select(F.col("src").alias("centre"), F.col("dst").alias("v")).distinct()
+    near = oriented(one_graph(edges)).select(F.col("src").alias("centre"), F.col("dst").alias("v")).distinct()
     adjacent = near.select(F.col("centre").alias("x"), F.col("v").alias("y"))
     apart = near.select("centre", F.col("v").alias("a")).join(near.select("centre", F.col("v").alias("b")), "centre").where("a < b").join(adjacent, (F.col("a") == F.col("x")) & (F.col("b") == F.col("y")), "left_anti")
     two, ends = apart.alias("p"), apart.select("centre", "a", F.col("b").alias("c"))
@@ -103,7 +111,7 @@ def claws(edges: DataFrame) -> DataFrame:
 
 def line_graph(edges: DataFrame, terminals: DataFrame | None = None) -> DataFrame:
     """Edges (src, dst) between different edges that share an end, and between a terminal's vertex (-1 - vertex) and its edges."""
-    ends = oriented(edges).select("edge_id", F.col("src").alias("v"))
+    ends = oriented(one_graph(edges)).select("edge_id", F.col("src").alias("v"))
     pairs = ends.alias("p").join(ends.alias("q"), (F.col("p.v") == F.col("q.v")) & (F.col("p.edge_id") < F.col("q.edge_id"))).select(F.col("p.edge_id").alias("src"), F.col("q.edge_id").alias("dst"))
     if terminals is not None:
         w = terminals.select(F.col("vertex_id").alias("v")).distinct()
@@ -112,20 +120,29 @@ def line_graph(edges: DataFrame, terminals: DataFrame | None = None) -> DataFram
 
 
 def reachable(edges: DataFrame, roots: DataFrame) -> DataFrame:
-    """(vertex): what directed paths from roots(vertex) lead to, roots included: frontier by frontier, each settled."""
-    seen = settle(roots.select("vertex").distinct())
-    front = seen
-    while True:
-        step = front.join(edges, front["vertex"] == edges["src"]).select(F.col("dst").alias("vertex")).distinct()
-        front = settle(step.join(seen, "vertex", "left_anti"))
-        if front.isEmpty():
-            return seen
-        seen = settle(seen.union(front))
+    """(vertex): what directed paths from roots(vertex) lead to, roots included."""
+    return distances(edges, roots, directed=True).select("vertex")
+
+
+def distances(edges: DataFrame, roots: DataFrame, *, directed: bool = False) -> DataFrame:
+    """(vertex, distance): fewest edges from a root to each vertex that paths lead to.  Rounds of a breadth-first search, each settled once and only added to."""
+    arcs = one_graph(edges).select("src", "dst")
+    if not directed:
+        arcs = arcs.unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
+    front = settle(roots.select("vertex").distinct().withColumn("distance", F.lit(0).cast("bigint")))
+    seen, far = front, 0
+    while not front.isEmpty():
+        far += 1
+        step = front.select("vertex").join(arcs, front["vertex"] == arcs["src"]).select(F.col("dst").alias("vertex")).distinct()
+        front = settle(step.join(seen.select("vertex"), "vertex", "left_anti").withColumn("distance", F.lit(far).cast("bigint")))
+        seen = seen.unionByName(front)
+    return seen
 
 
 def strip_leaves(edges: DataFrame, terminals: DataFrame) -> DataFrame:
     """Edges left after taking away, again and again, vertices of degree one that are no terminals: no minimal tree uses them."""
     w = terminals.select(F.col("vertex_id").alias("vertex")).distinct()
+    edges = one_graph(edges)
     while True:
         leaves = degrees(edges).where("degree = 1").join(F.broadcast(w), "vertex", "left_anti")
         leaves = settle(leaves.select("vertex"))
@@ -136,7 +153,7 @@ def strip_leaves(edges: DataFrame, terminals: DataFrame) -> DataFrame:
 
 def terminal_component(edges: DataFrame, terminals: DataFrame) -> DataFrame:
     """Edges of the component that holds all terminals; none if they lie in several or one is in no edge."""
-    parts = connected_components(edges)
+    parts = connected_components(one_graph(edges))
     mine = terminals.select(F.col("vertex_id").alias("vertex")).distinct().join(parts, "vertex", "left")
     one = mine.agg(F.count_distinct("component").alias("parts"), F.count(F.when(F.col("component").isNull(), 1)).alias("lost"), F.min("component").alias("component")).where("parts = 1 and lost = 0")
     inside = parts.join(F.broadcast(one.select("component")), "component", "left_semi")
@@ -146,7 +163,7 @@ def terminal_component(edges: DataFrame, terminals: DataFrame) -> DataFrame:
 def admissible_components(edges: DataFrame, terminals: DataFrame) -> DataFrame:
     """(component, vertex): components of the graph without terminals that every terminal is next to."""
     w = terminals.select(F.col("vertex_id").alias("w")).distinct()
-    both = oriented(edges)
+    both = oriented(one_graph(edges))
     free = both.join(F.broadcast(w), both["src"] == w["w"], "left_anti")
     inner = free.join(F.broadcast(w), free["dst"] == w["w"], "left_anti")
     alone = free.select("src", F.col("src").alias("dst"))
@@ -167,7 +184,7 @@ def relevant_blocks(edges: DataFrame, terminals: DataFrame) -> DataFrame:
 
     Blocks and cut vertices form a tree; its leaves without a terminal of their own are stripped.
     """
-    placed = settle(edges.join(blocks(edges), ["graph_id", "edge_id"]))
+    placed = settle(one_graph(edges).join(blocks(edges), ["graph_id", "edge_id"]))
     while True:
         ends = placed.select("block", F.explode(F.array("src", "dst")).alias("vertex")).distinct()
         shared = ends.groupBy("vertex").agg(F.count("*").alias("blocks"))
@@ -186,7 +203,7 @@ def compress_chains(edges: DataFrame, terminals: DataFrame) -> DataFrame:
     ``chain`` lists the original edge ids, in order; the new edge has the smallest of them.  Cycles through no other vertex vanish.
     """
     fixed = terminals.select(F.col("vertex_id").alias("vertex")).distinct()
-    inner = degrees(edges).where("degree = 2").join(F.broadcast(fixed), "vertex", "left_anti").select("vertex", F.lit(1).alias("inner"))
+    inner = degrees(one_graph(edges)).where("degree = 2").join(F.broadcast(fixed), "vertex", "left_anti").select("vertex", F.lit(1).alias("inner"))
     flagged = edges.join(inner.withColumnRenamed("vertex", "src").withColumnRenamed("inner", "si"), "src", "left").join(inner.withColumnRenamed("vertex", "dst").withColumnRenamed("inner", "di"), "dst", "left")
     # Edges meet at inner vertices: components of edges are the chains.
     meets = oriented(edges).join(inner, F.col("src") == F.col("vertex")).groupBy("src").agg(F.min("edge_id").alias("x"), F.max("edge_id").alias("y"))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from itertools import islice
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -11,13 +12,20 @@ from pyspark.sql import functions as F
 from ..kernels.graph import Graph
 from ..kernels.hard import has_claw
 from ..kernels.hard import minimal_transversals as kernel_transversals
+from ..kernels.hard import streamed_transversals
+from ..kernels.induced import is_minimal as is_minimal_induced
 from ..kernels.induced import masks, members, shrink, swap_neighbours
+from ..kernels.solve import minimal_forest
+from ..plans.spread import beside
 from ..plans.workspace import settle
 from .enumerate import over_instances, packed_instances
 
 
 def minimal_transversals(hyperedges: DataFrame, *, limit: int | None = None) -> DataFrame:
-    """(instance_id, solution_key, n): inclusion-minimal sets that hit every hyperedge(instance_id, hyperedge_id, element); a key is the elements in ascending order."""
+    """(instance_id, solution_key, n): inclusion-minimal sets that hit every hyperedge(instance_id, hyperedge_id, element); a key is the elements in ascending order.
+
+    With a ``limit`` they are found one after the other and the search ends there.
+    """
     nested = hyperedges.groupBy("instance_id", "hyperedge_id").agg(F.collect_set("element").alias("members")).groupBy("instance_id").agg(F.collect_set(F.array_sort("members")).alias("sets"))
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -25,7 +33,8 @@ def minimal_transversals(hyperedges: DataFrame, *, limit: int | None = None) ->
             for who, sets in zip(frame["instance_id"], frame["sets"], strict=True):
                 names = sorted({int(v) for s in sets for v in s})
                 at = {v: k for k, v in enumerate(names)}
-                found = kernel_transversals([sum(1 << at[int(v)] for v in s) for s in sets])[:limit]
+                masks_of = [sum(1 << at[int(v)] for v in s) for s in sets]
+                found = kernel_transversals(masks_of) if limit is None else list(islice(streamed_transversals(masks_of), limit))
                 keys = [[names[k] for k in members(m)] for m in found]
                 yield pd.DataFrame({"instance_id": who, "solution_key": ["-".join(map(str, k)) for k in keys], "n": [len(k) for k in keys]})
 
@@ -65,7 +74,7 @@ def induced_steiner_subgraphs(instances: DataFrame, terminals: DataFrame, edges:
     met, rounds = new, 0
     while (max_rounds is None or rounds < max_rounds) and not new.isEmpty():
         rounds += 1
-        step = new.repartition("solution_key").join(packed, "instance_id").mapInPandas(_expanded, schema).dropDuplicates(["instance_id", "solution_key"])
+        step = beside(new, packed, "instance_id").mapInPandas(_expanded, schema).dropDuplicates(["instance_id", "solution_key"])
         new = settle(step.join(met.select("instance_id", "solution_key"), ["instance_id", "solution_key"], "left_anti").withColumn("round", F.lit(rounds)))
         met = met.unionByName(new)
     return met.select("instance_id", "solution_key", F.size("vertices").alias("n_vertices"), "round")
@@ -99,7 +108,8 @@ def solution_arcs(solutions: DataFrame, instances: DataFrame, terminals: DataFra
     """(instance_id, source, target): which solution leads to which in one step of the walk, for solutions(instance_id, solution_key)."""
     packed = packed_instances(instances, terminals, edges)
     vertices = F.transform(F.regexp_extract_all("solution_key", F.lit(r"(?<![0-9])-?[0-9]+"), F.lit(0)), lambda v: v.cast("bigint"))
-    rows = solutions.select("instance_id", F.col("solution_key").alias("source"), vertices.alias("vertices")).join(packed, "instance_id")
+    rows = solutions.select("instance_id", F.col("solution_key").alias("source"), vertices.alias("vertices"))
+    rows = beside(rows, packed, "instance_id")
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
@@ -111,6 +121,38 @@ def solution_arcs(solutions: DataFrame, instances: DataFrame, terminals: DataFra
     return rows.mapInPandas(run, "instance_id bigint, source string, target string")
 
 
+def check_minimal(solutions: DataFrame, instances: DataFrame, terminals: DataFrame, edges: DataFrame, flavour: str) -> DataFrame:
+    """(instance_id, solution_key, minimal) for forests, solutions(instance_id, solution_key, edges), and induced connections, solutions(instance_id, solution_key, vertices).
+
+    A forest is minimal if it has no cycle, connects every set, and each edge lies between two members of a set; a vertex set
+    if it induces a connection of the terminals and none of its other vertices can go.
+    """
+    column = {"forest": "edges", "induced": "vertices"}[flavour]
+    packed = packed_instances(instances, terminals, edges)
+    rows = beside(solutions.select("instance_id", "solution_key", F.col(column).alias("members")), packed, "instance_id")
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        from .enumerate import _plain
+
+        for frame in frames:
+            out = []
+            for row in frame.itertuples(index=False):
+                graph, sets, _ = _plain(row)
+                own = [int(x) for x in row.members]
+                out.append((row.instance_id, row.solution_key, minimal_forest(graph, sets, own) if flavour == "forest" else _minimal_induced(graph, sets, own)))
+            yield pd.DataFrame(out, columns=["instance_id", "solution_key", "minimal"])
+
+    return rows.mapInPandas(run, "instance_id bigint, solution_key string, minimal boolean")
+
+
+def _minimal_induced(graph, sets, vertices: list[int]) -> bool:
+    g, near, wanted, _ = _masks(graph, sets)
+    if not all(v in g.index for v in vertices):
+        return False
+    own = sum(1 << g.index[v] for v in set(vertices))
+    return is_minimal_induced(near, own, wanted)
+
+
 def solution_distance(a, b):
     """How many members of one solution the other lacks; zero if and only if two minimal solutions are equal."""
     return F.size(F.array_except(a, b))

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.spread import ranked
 from ..plans.workspace import settle
 from . import enumerate as enum
 
@@ -22,11 +23,8 @@ def k_fragments(edges: DataFrame, holders: DataFrame, keywords: list[str], *, ki
     spark = edges.sparkSession
     names = spark.createDataFrame([(w, FIRST_KEYWORD - k) for k, w in enumerate(keywords)], "keyword string, node bigint")
     base = edges.agg(F.coalesce(F.max("edge_id"), F.lit(-1)).alias("top")).first()["top"]
-    from pyspark.sql import Window
-
     held = holders.join(F.broadcast(names), "keyword").select("vertex", "node").distinct()
-    number = F.row_number().over(Window.orderBy(F.desc("node"), "vertex"))  # the holders of a few keywords
-    extra = held.select((number + base).cast("bigint").alias("edge_id"), F.col("vertex").alias("src"), F.col("node").alias("dst"))
+    extra = ranked(held, "number", F.desc("node"), F.col("vertex")).select((F.col("number") + 1 + base).cast("bigint").alias("edge_id"), F.col("vertex").alias("src"), F.col("node").alias("dst"))
     graph = settle(edges.select("edge_id", "src", "dst").unionByName(extra))
     nodes = names.select(F.col("node").alias("vertex_id"))
     if kind == "directed":

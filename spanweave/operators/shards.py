@@ -5,7 +5,10 @@ which the next round deals out evenly.  Rows of a round are disjoint parts of th
 task is repeated from its rows, and the set of solutions depends on neither the budget nor the number of tasks.  Rounds
 start with a small budget, to spread, and raise it.
 
-The graphs travel nested beside their rows; an instance's graph must fit a task.
+The graphs travel nested beside their rows; an instance's graph must fit a task.  An instance with many rows has a copy of its
+graph at as many places as there are tasks, so its rows are spread whatever the join.
+
+A split search hands solutions out as its parts find them: ``pacing="buffered"`` needs one task and is refused.
 """
 
 from __future__ import annotations
@@ -20,27 +23,26 @@ from ..kernels.branching import ROOT, Continuation
 from ..kernels.graph import Graph
 from ..kernels.paths import Rest
 from ..kernels.solve import Options, _solution, problems, resumed
+from ..plans.spread import beside
 from ..plans.workspace import settle
-from .enumerate import BATCH, _plain, enumerated, packed_instances
+from .enumerate import BATCH, SPLITTABLE, _plain, enumerated, packed_instances
 
 ROWS = "instance_id bigint, part int, attached array<array<bigint>>, prefix array<bigint>, banned bigint, floor bigint, depth int"
 FOUND = "instance_id bigint, solution_key string, n_edges int, n_vertices int, edges array<bigint>, vertices array<bigint>, shard string, emit_seq bigint, more boolean, part int, attached array<array<bigint>>, prefix array<bigint>, banned bigint, floor bigint, depth int"
-#: Flavours whose searches branch by attachments; the others have no continuations and run in fleet mode.
-SPLITTABLE = frozenset(("tree", "forest", "terminal", "directed"))
 
 
 def sharded(instances: DataFrame, terminals: DataFrame, edges: DataFrame, options: Options, *, work_budget: int = 200_000, first_budget: int = 2_000) -> DataFrame:
     """Solutions in shard mode.  ``limit`` is per instance and stops after the round in which it is reached."""
     if options.flavour not in SPLITTABLE:
         return enumerated(instances, terminals, edges, options)
-    spark = instances.sparkSession
+    if options.pacing == "buffered":
+        raise ValueError("a split search cannot pace its solutions: use mode='fleet'")
     packed = settle(packed_instances(instances, terminals, edges))
     todo = packed.select("instance_id", F.lit(-1).alias("part"), F.array().cast("array<array<bigint>>").alias("attached"), F.array().cast("array<bigint>").alias("prefix"), F.lit(-1).cast("bigint").alias("banned"), F.lit(-1).cast("bigint").alias("floor"), F.lit(0).alias("depth"))
     done: list[DataFrame] = []
     budget = min(first_budget, work_budget)
-    slots = max(spark.sparkContext.defaultParallelism * 4, 8)
     while True:
-        rows = todo.repartition(slots).join(packed, "instance_id")
+        rows = beside(todo, packed, "instance_id")
         result = settle(rows.mapInPandas(_round(options, budget), FOUND))
         done.append(result.where("not more"))
         todo = result.where("more").select(*(c.split()[0] for c in ROWS.split(", ")))

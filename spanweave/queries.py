@@ -45,8 +45,8 @@ def trade(spark: SparkSession, sf_dir: str, k: int = 20) -> DataFrame:
 
 def places(edges: DataFrame, *wanted: int) -> list[int]:
     """Vertices at the given places by degree: as many rows as places."""
-    found = {r["place"]: r["vertex"] for r in graphs.by_degree(edges).where(F.col("place").isin(*wanted)).collect()}
-    return [found[p] for p in wanted]
+    first = graph_tests.degrees(edges).orderBy(F.desc("degree"), "vertex").limit(max(wanted)).collect()
+    return [first[p - 1]["vertex"] for p in wanted]
 
 
 def terminal_rows(spark: SparkSession, *sets: list[int], instance_id: int = 0) -> DataFrame:
@@ -136,7 +136,7 @@ def steiner_trees_relational(spark, sf_dir):
 def steiner_trees_forced(spark, sf_dir):
     """A with the two vertices of lowest degree."""
     g = trade(spark, sf_dir)
-    n = graphs.by_degree(g).count()
+    n = graph_tests.degrees(g).count()
     return keys(enum.steiner_trees(graphs.one_instance(spark), terminal_rows(spark, places(g, A, n - 1, n)), g, pacing="buffered"))
 
 
@@ -361,19 +361,29 @@ def induced_line_graph(spark, sf_dir):
     return keys(hard.from_line_graph(found))
 
 
-@query
-def solution_graph_ok(spark, sf_dir):
-    """The walk over solutions: at most two steps a pair of vertices from each, and from the last solution all are reached."""
+def _solution_arcs(spark, sf_dir) -> tuple[DataFrame, DataFrame, DataFrame]:
     g = settle(graphs.intervals(spark, sf_dir, 24))
     one, w = graphs.one_instance(spark), _ends(g)
     found = settle(hard.induced_steiner_subgraphs(one, w, g))
-    arcs = settle(hard.solution_arcs(found, one, w, g))
-    n = graphs.by_degree(g).count()
-    last = found.agg(F.max("solution_key").alias("vertex"))
+    return g, found, settle(hard.solution_arcs(found, one, w, g))
+
+
+@query
+def solution_graph_reach(spark, sf_dir):
+    """The walk over solutions: how many there are, and how many steps lead to from the last one."""
+    _, found, arcs = _solution_arcs(spark, sf_dir)
+    last = found.agg(F.max("solution_key").alias("vertex")).where("vertex is not null")
     back = graph_tests.reachable(arcs.select(F.col("source").alias("src"), F.col("target").alias("dst")), last)
-    most = arcs.groupBy("source").agg(F.count("*").alias("n")).agg(F.coalesce(F.max("n"), F.lit(0)).alias("most"))
-    both = found.agg(F.count("*").alias("all")).crossJoin(back.agg(F.count("*").alias("reached"))).crossJoin(most)  # single rows
-    return both.select(((F.col("all") == F.col("reached")) & (F.col("most") <= 2 * n * n)).alias("ok"))
+    return found.agg(F.count("*").alias("solutions")).crossJoin(back.agg(F.count("*").alias("reached")))  # single rows
+
+
+@query
+def solution_graph_degrees(spark, sf_dir):
+    """Steps that lead from a solution, most and on average, and the square of the number of vertices that bounds them."""
+    g, _, arcs = _solution_arcs(spark, sf_dir)
+    n = graph_tests.degrees(g).agg((F.count("*") * F.count("*")).alias("n_squared"))
+    each = arcs.groupBy("source").agg(F.count("*").alias("n")).agg(F.max("n").alias("most"), F.round(F.avg("n"), 3).alias("mean"))
+    return each.crossJoin(n)  # single rows
 
 
 @query
@@ -560,7 +570,7 @@ def edge_frequency(spark, sf_dir):
 @query
 def published_bound(spark, sf_dir):
     """The greatest delay that earlier work promises for these solutions."""
-    return measures.published_bound(_trees(spark, sf_dir), 20).agg(F.max("bound").alias("bound"))
+    return measures.published_bound(_trees(spark, sf_dir), trade(spark, sf_dir).count()).agg(F.max("bound").alias("bound"))
 
 
 @query
@@ -630,50 +640,202 @@ def solution_distances(spark, sf_dir):
 # Measures.
 
 
-def _trace(spark: SparkSession, sf_dir: str, **options) -> DataFrame:
+VARIANTS = (("simple", {"branching": "simple"}), ("improved", {}), ("buffered", {"pacing": "buffered"}))
+
+
+def _traces(spark: SparkSession, sf_dir: str, report: Callable[[DataFrame, int, int], DataFrame]) -> DataFrame:
+    """``report(trace, n, m)`` of each variant's search for trees on A, B, C, D, with the graph's vertices and edges and the variant's name."""
     g = trade(spark, sf_dir)
-    return settle(enum.trace(graphs.one_instance(spark), terminal_rows(spark, places(g, A, B, C, D)), g, Options(flavour="tree", **options)))
+    w = terminal_rows(spark, places(g, A, B, C, D))
+    n, m = graph_tests.degrees(g).count(), g.count()
+    out = None
+    for name, options in VARIANTS:
+        rows = report(settle(enum.trace(graphs.one_instance(spark), w, g, Options(flavour="tree", **options))), n, m)
+        rows = rows.drop("instance_id").select(F.lit(name).alias("variant"), F.lit(n).cast("bigint").alias("n"), F.lit(m).cast("bigint").alias("m"), "*")
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+@query
+def search_counts(spark, sf_dir):
+    """Leaves of each variant's search and solutions handed out: both are the number of trees."""
+    kinds = lambda k: F.count(F.when(F.col("kind") == k, 1))
+    return _traces(spark, sf_dir, lambda t, n, m: t.groupBy("instance_id").agg(kinds("leaf").alias("leaves"), kinds("emit").alias("emitted")))
+
+
+@query
+def search_delays(spark, sf_dir):
+    """Greatest and median work between two solutions, and work before the first, for a graph of n vertices and m edges."""
+    return _traces(spark, sf_dir, lambda t, n, m: measures.delay_report(t).withColumn("delay_per_size", F.round(F.col("max_delay") / (n + m), 3)))
+
+
+@query
+def search_amortized(spark, sf_dir):
+    """All work, and work for each solution over the graph's size."""
+    return _traces(spark, sf_dir, lambda t, n, m: measures.amortized_report(t).withColumn("per_solution_and_size", F.round(F.col("work_per_solution") / (n + m), 3)).drop("work_per_solution"))
 
 
-def _ok(condition: Column, df: DataFrame) -> DataFrame:
-    return df.agg(F.bool_and(condition).alias("ok"))
+@query
+def search_incremental(spark, sf_dir):
+    """The greatest delay of the i-th solution over n + i."""
+    return _traces(spark, sf_dir, lambda t, n, m: measures.incremental_cost(t, n).groupBy("instance_id").agg(F.round(F.max("ratio"), 3).alias("most_per_n_plus_i")))
 
 
 @query
-def delay_bound_ok(spark, sf_dir):
-    """Paced: no more than twenty nodes' work, each linear in the graph, passes between two emissions after the warm-up."""
-    d = measures.delays(_trace(spark, sf_dir, pacing="buffered"))
-    after = d.where("kind = 'emit'").withColumn("i", F.row_number().over(measures.by_seq())).where("i > 1")
-    return _ok(F.col("delay") <= 20 * 8 * (12 + 2 * 20), after)
+def search_space(spark, sf_dir):
+    """Ids that the search held at a time, and ids in its buffer."""
+    return _traces(spark, sf_dir, lambda t, n, m: measures.space(t))
 
 
 @query
-def amortized_ok(spark, sf_dir):
-    """Improved branching: work for each solution is within a small multiple of the graph's size."""
-    return _ok(F.col("work_per_solution") <= 12 * (12 + 2 * 20), measures.amortized_report(_trace(spark, sf_dir)))
+def search_shapes(spark, sf_dir):
+    """Inner nodes, leaves, height and inner nodes with one child."""
+    return _traces(spark, sf_dir, lambda t, n, m: measures.tree_shape(t))
 
 
 @query
-def tree_shape_ok(spark, sf_dir):
-    """Improved branching: fewer inner nodes than leaves, none with a single child."""
-    return _ok((F.col("inner") < F.col("leaves")) & (F.col("one_child") == 0), measures.tree_shape(_trace(spark, sf_dir)))
+def search_buffers(spark, sf_dir):
+    """Solutions held back, most and least while any is still to be found, and search steps between two emissions."""
+    return _traces(spark, sf_dir, lambda t, n, m: measures.buffer_report(t))
+
+
+# More terminal sets, workloads and baselines.
+
+
+def _forest(*sets: tuple[int, ...]) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark, sf_dir):
+        g = trade(spark, sf_dir)
+        return keys(enum.steiner_forests(graphs.one_instance(spark), terminal_rows(spark, *[places(g, *s) for s in sets]), g))
+
+    return run
+
+
+QUERIES["forests_low_degree"] = _forest((6, C), (7, 5))
+QUERIES["forests_mixed"] = _forest((8, C), (D, 5))
+QUERIES["forests_overlapping"] = _forest((A, B), (B, C))
+QUERIES["forests_singleton"] = _forest((A,), (B, C))
+
+
+def _terminal(*at: int) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark, sf_dir):
+        g = trade(spark, sf_dir)
+        return keys(enum.terminal_steiner_trees(graphs.one_instance(spark), terminal_rows(spark, places(g, *at)), g))
+
+    return run
+
+
+QUERIES["terminal_trees_c_e_b"] = _terminal(C, 5, B)
+QUERIES["terminal_trees_d_c_b"] = _terminal(D, C, B)
+QUERIES["terminal_trees_f_d_b"] = _terminal(6, D, B)
+QUERIES["terminal_trees_f_h_g"] = _terminal(6, 8, 7)
+QUERIES["terminal_trees_two_inner"] = _terminal(D, 5)
 
 
 @query
-def buffer_ok(spark, sf_dir):
-    """At most 3n/2 solutions are held back, n being the even number of vertices."""
-    n = graphs.by_degree(trade(spark, sf_dir)).agg(F.count("*").alias("n")).select(((F.col("n") + F.col("n") % 2) * 3 / 2 + 1).alias("most"))
-    return _ok(F.col("most_held") <= F.col("most"), measures.buffer_report(_trace(spark, sf_dir, pacing="buffered")).crossJoin(F.broadcast(n)))
+def terminal_trees_no_component(spark, sf_dir):
+    """The last vertex by degree, all its neighbours and one more: no component of the rest is next to the last one."""
+    g = trade(spark, sf_dir)
+    n = graph_tests.degrees(g).count()
+    last = places(g, n)[0]
+    near = [r["v"] for r in graph_tests.oriented(g).where(F.col("src") == last).select(F.col("dst").alias("v")).distinct().collect()]  # the neighbours of the vertex with fewest
+    third = [v for v in places(g, A, B, C, D) if v not in near and v != last][:1]
+    return keys(enum.terminal_steiner_trees(graphs.one_instance(spark), terminal_rows(spark, [last, *near, *third]), g))
 
 
 @query
-def euler_gap_ok(spark, sf_dir):
-    """At most twenty steps of the search lie between two paced emissions."""
-    return _ok(F.coalesce(F.col("longest_gap"), F.lit(0)) <= 20, measures.buffer_report(_trace(spark, sf_dir, pacing="buffered")))
+def shortest_paths_trade(spark, sf_dir):
+    """Edges of a shortest path from A to every vertex, by breadth-first rounds."""
+    g = trade(spark, sf_dir)
+    return graph_tests.distances(g, spark.createDataFrame([(v,) for v in places(g, A)], "vertex bigint"))
 
 
 @query
-def incremental_cost_ok(spark, sf_dir):
-    """Work up to the i-th solution never falls with i."""
-    i = measures.incremental_cost(_trace(spark, sf_dir))
-    return _ok(F.col("work") >= F.coalesce(F.col("before"), F.lit(0)), i.withColumn("before", F.lag("work").over(Window.partitionBy("instance_id").orderBy("i"))))
+def complete_tree_of_one_edge(spark, sf_dir):
+    """Whether one tree for A, B, C that holds the most frequent edge at A is among all trees."""
+    g = trade(spark, sf_dir)
+    w = places(g, A, B, C)
+    first = g.where((F.col("src") == w[0]) | (F.col("dst") == w[0])).agg(F.min("edge_id").alias("edge_id")).select(F.lit(0).cast("bigint").alias("instance_id"), "edge_id")
+    one = enum.complete_tree(graphs.one_instance(spark), terminal_rows(spark, w), g, first)
+    every = enum.steiner_trees(graphs.one_instance(spark), terminal_rows(spark, w), g).select("solution_key")
+    held = one.crossJoin(F.broadcast(first.select("edge_id"))).where(F.array_contains("edges", F.col("edge_id")))  # one row on each side
+    return held.join(every, "solution_key", "left_semi").agg(F.count("*").alias("found"))
+
+
+@query
+def trees_by_masks(spark, sf_dir):
+    """The trees for A, B, C among all sets of edges."""
+    g = trade(spark, sf_dir)
+    return relational.exhaustive_trees(g, places(g, A, B, C))
+
+
+@query
+def induced_by_masks(spark, sf_dir):
+    """Minimal vertex sets of the trade graph that connect A and D, among all sets."""
+    g = trade(spark, sf_dir)
+    return relational.exhaustive_induced(g, places(g, A, D))
+
+
+@query
+def induced_three_by_masks(spark, sf_dir):
+    g = trade(spark, sf_dir)
+    return relational.exhaustive_induced(g, places(g, B, D, 5))
+
+
+@query
+def group_trees_all_regions(spark, sf_dir):
+    """Groups: the nations of each region in the graph."""
+    g = trade(spark, sf_dir)
+    v = graph_tests.degrees(g).select("vertex")
+    regions = graphs.read(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("bigint").alias("vertex"), F.col("n_regionkey").cast("int").alias("set_id"))
+    found = enum.group_steiner_trees(graphs.one_instance(spark), v.join(regions, "vertex").select(F.lit(0).cast("bigint").alias("instance_id"), "set_id", F.col("vertex").alias("vertex_id")), g)
+    return found.groupBy(F.col("n_edges").cast("bigint").alias("n_edges")).agg(F.count("*").alias("n"))
+
+
+@query
+def benchmark_transversals(spark, sf_dir):
+    """Minimal sets of words that hold one of the three rarest words of each text, for four texts at a time."""
+    found = hard.minimal_transversals(graphs.benchmark_tokens(spark, sf_dir))
+    return found.groupBy(F.col("instance_id").alias("texts"), F.col("n").cast("bigint").alias("n")).agg(F.count("*").alias("sets"))
+
+
+@query
+def similarity_graph(spark, sf_dir):
+    """Each vector's three nearest by cosine, all vectors."""
+    return graphs.similarity(spark, sf_dir).select("src", "dst")
+
+
+@query
+def order_part_components(spark, sf_dir):
+    """Components of the graph of all orders, suppliers and parts by their number of vertices."""
+    g = graphs.order_parts(spark, sf_dir)
+    return connected_components(g).groupBy("component").agg(F.count("*").alias("vertices")).groupBy("vertices").agg(F.count("*").alias("components"))
+
+
+@query
+def event_keys(spark, sf_dir):
+    """Events by the number in their properties and by week."""
+    rows = graphs.read(spark, sf_dir, "events").select(F.get_json_object("props", "$.k").cast("bigint").alias("k"), F.date_trunc("week", "ts").alias("w"))
+    return rows.groupBy("k", F.unix_timestamp("w").alias("week")).agg(F.count("*").alias("n"))
+
+
+@query
+def parts_by_word(spark, sf_dir):
+    """How many parts have each word in their name, and of how many brands."""
+    words = graphs.read(spark, sf_dir, "part").select("p_brand", F.explode(F.array_distinct(F.split(F.lower("p_name"), "[^a-z0-9]+"))).alias("word")).where("word <> ''")
+    return words.groupBy("word").agg(F.count("*").alias("parts"), F.count_distinct("p_brand").alias("brands"))
+
+
+@query
+def minimality_of_sets(spark, sf_dir):
+    """Forests and induced connections that fail their minimality test, and how many were tested."""
+    g = trade(spark, sf_dir)
+    one = graphs.one_instance(spark)
+    a, b, c, d = places(g, A, B, C, D)
+    w = terminal_rows(spark, [a, b], [c, d])
+    forests = hard.check_minimal(enum.steiner_forests(one, w, g), one, w, g, "forest")
+    h = settle(graphs.intervals(spark, sf_dir, 24))
+    ends = _ends(h)
+    sets = hard.induced_steiner_subgraphs(one, ends, h).withColumn("vertices", F.transform(F.split("solution_key", "-"), lambda v: v.cast("bigint")))
+    induced = hard.check_minimal(sets, one, ends, h, "induced")
+    count = lambda df, name: df.agg(F.count("*").alias("n"), F.count(F.when(~F.col("minimal"), 1)).alias("failed")).select(F.lit(name).alias("flavour"), "n", "failed")
+    return count(forests, "forest").unionByName(count(induced, "induced"))

@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..plans.spread import ranked
+
 #: Vertex ids of tuples: a code for the kind times this, plus the key.
 KIND = 10**12
 
@@ -49,7 +53,7 @@ def topk_pairs(spark: SparkSession, sf_dir: str, k: int = 20) -> DataFrame:
 def by_degree(edges: DataFrame) -> DataFrame:
     """(vertex, degree, place): vertices by falling degree, then id; place counts from 1."""
     ends = edges.select(F.explode(F.array("src", "dst")).alias("vertex")).groupBy("vertex").agg(F.count("*").alias("degree"))
-    return ends.withColumn("place", F.row_number().over(Window.orderBy(F.desc("degree"), "vertex")))
+    return ranked(ends, "place", F.desc("degree"), F.col("vertex")).withColumn("place", F.col("place") + 1)
 
 
 def terminals_at(edges: DataFrame, places: dict[int, int], instance_id: int = 0) -> DataFrame:
@@ -144,9 +148,8 @@ def tuple_graphs(spark: SparkSession, sf_dir: str, segment: str, region: str) ->
 
 
 def numbered(pairs: DataFrame) -> DataFrame:
-    """Edges with ids by rank of their ends.  For slices: the ranking is one partition."""
-    rank = F.row_number().over(Window.orderBy("src", "dst")) - 1
-    return pairs.distinct().select(*_edges(F.col("src"), F.col("dst"), rank))
+    """Edges with ids by rank of their ends."""
+    return ranked(pairs.select("src", "dst").distinct(), "edge_id", "src", "dst").select(*_edges(F.col("src"), F.col("dst"), F.col("edge_id")))
 
 
 def region_graph(spark: SparkSession, sf_dir: str, trade: DataFrame) -> DataFrame:
@@ -168,7 +171,7 @@ def host_links(spark: SparkSession, sf_dir: str, top: int | None = None) -> Data
 def bipartite(pairs: DataFrame, left: str, right: str) -> tuple[DataFrame, DataFrame]:
     """(edges, names) of two kinds of labels: ids by rank of kind and label."""
     labels = pairs.select(F.lit(0).alias("side"), F.col(left).alias("label")).union(pairs.select(F.lit(1), F.col(right))).distinct()
-    names = labels.withColumn("vertex_id", (F.row_number().over(Window.orderBy("side", "label")) - 1).cast("bigint"))
+    names = ranked(labels, "vertex_id", "side", "label")
     a, b = (names.where(F.col("side") == k).select(F.col("label").alias(c), F.col("vertex_id").alias(v)) for k, c, v in ((0, left, "src"), (1, right, "dst")))
     return numbered(pairs.join(a, left).join(b, right).select("src", "dst")), names
 
@@ -185,13 +188,31 @@ def intervals(spark: SparkSession, sf_dir: str, reach: int = 9) -> DataFrame:
     return numbered(near)
 
 
-def similarity(spark: SparkSession, sf_dir: str, rows: int = 100, k: int = 3) -> DataFrame:
-    """Undirected edges to each vector's k nearest by cosine among the first ``rows`` (a stated slice), ties to smaller ids."""
-    v = read(spark, sf_dir, "embeddings").where(F.col("vec_id") < rows).select("vec_id", F.col("embedding").cast("array<double>").alias("e"))
-    a, b = v.select(F.col("vec_id").alias("a"), F.col("e").alias("x")), v.select(F.col("vec_id").alias("b"), F.col("e").alias("y"))
-    dot = lambda p, q: F.aggregate(F.zip_with(p, q, lambda s, t: s * t), F.lit(0.0), lambda s, t: s + t)
-    pairs = a.join(b, F.col("a") != F.col("b")).withColumn("c", dot(F.col("x"), F.col("y")) / F.sqrt(dot(F.col("x"), F.col("x")) * dot(F.col("y"), F.col("y"))))
-    near = pairs.withColumn("r", F.row_number().over(Window.partitionBy("a").orderBy(F.desc("c"), "b"))).where(F.col("r") <= k)
+def similarity(spark: SparkSession, sf_dir: str, k: int = 3, block: int = 2000) -> DataFrame:
+    """Undirected edges to each vector's k nearest by cosine among all vectors, ties to smaller ids; vectors without a direction have none.
+
+    Every block of vectors meets every other one: a task compares two blocks by one matrix product and keeps k for each row.
+    """
+    v = read(spark, sf_dir, "embeddings").where("vec_id is not null and embedding is not null").select(F.col("vec_id").cast("bigint").alias("vec_id"), F.col("embedding").cast("array<double>").alias("e"))
+    blocks = max(1, -(-v.count() // block))
+    dealt = v.withColumn("own", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"))
+    every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    left, right = dealt.withColumn("other", every), dealt.withColumnRenamed("own", "other").withColumn("own", every)
+
+    def compare(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        if len(a) and len(b):
+            x, y = (np.array(f["e"].tolist(), dtype=float) for f in (a, b))
+            x, y = (m / np.where(n := np.linalg.norm(m, axis=1, keepdims=True), n, np.nan) for m in (x, y))
+            names = b["vec_id"].to_numpy()
+            for who, row in zip(a["vec_id"], x @ y.T, strict=True):
+                row = np.where((names == who) | np.isnan(row), -np.inf, row)
+                near = [j for j in np.lexsort((names, -row))[:k] if row[j] > -np.inf]
+                out += [(who, names[j], row[j]) for j in near]
+        return pd.DataFrame(out, columns=["a", "b", "c"])
+
+    found = left.groupBy("own", "other").cogroup(right.groupBy("own", "other")).applyInPandas(compare, "a bigint, b bigint, c double")
+    near = found.withColumn("r", F.row_number().over(Window.partitionBy("a").orderBy(F.desc("c"), "b"))).where(F.col("r") <= k)
     return numbered(near.select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")))
 
 
@@ -229,13 +250,21 @@ def neighbourhood_hypergraph(edges: DataFrame) -> DataFrame:
     return every.select(F.lit(0).cast("bigint").alias("instance_id"), F.col("src").alias("hyperedge_id"), F.col("dst").alias("element"))
 
 
-def benchmark_tokens(spark: SparkSession, sf_dir: str, k: int = 3) -> DataFrame:
-    """Hyperedges: the k rarest words of each benchmark text; elements are word ranks."""
-    words = read(spark, sf_dir, "benchmark").select("item_id", F.explode(F.array_distinct(F.split(F.lower("text"), r"\W+"))).alias("word")).where("word <> ''")
-    counted = words.withColumn("n", F.count("*").over(Window.partitionBy("word")))
-    rare = counted.withColumn("r", F.row_number().over(Window.partitionBy("item_id").orderBy("n", "word"))).where(F.col("r") <= k)
-    ids = rare.select("word").distinct().withColumn("element", (F.row_number().over(Window.orderBy("word")) - 1).cast("bigint"))
-    return rare.join(ids, "word").select(F.lit(0).cast("bigint").alias("instance_id"), F.col("item_id").cast("bigint").alias("hyperedge_id"), "element")
+def benchmark_tokens(spark: SparkSession, sf_dir: str, k: int = 3, texts: int = 4) -> DataFrame:
+    """Hyperedges: the k rarest words of each benchmark text; ``texts`` items are an instance, and elements are ranks of words."""
+    words = read(spark, sf_dir, "benchmark").select("item_id", F.explode(F.array_distinct(F.split(F.lower("text"), "[^a-z0-9]+"))).alias("word")).where("word <> ''")
+    often = words.groupBy("word").agg(F.count("*").alias("n"))
+    rare = words.join(often, "word").withColumn("r", F.row_number().over(Window.partitionBy("item_id").orderBy("n", "word"))).where(F.col("r") <= k)
+    ids = ranked(rare.select("word").distinct(), "element", "word")
+    return rare.join(ids, "word").select(F.floor(F.col("item_id") / texts).cast("bigint").alias("instance_id"), F.col("item_id").cast("bigint").alias("hyperedge_id"), "element")
+
+
+def order_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The graph of all orders with the parts and suppliers of their lines: each line joins its order with its part and with its supplier."""
+    lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey")
+    order = tuple_id(ORDERS, "l_orderkey")
+    ends = lines.select(order.alias("src"), tuple_id(PART, "l_partkey").alias("dst")).unionByName(lines.select(order.alias("src"), tuple_id(SUPPLIER, "l_suppkey").alias("dst")))
+    return numbered(ends)
 
 
 def co_occurrence(spark: SparkSession, sf_dir: str, k: int = 150) -> DataFrame:
