@@ -1,16 +1,14 @@
 """SimHash near-duplicates found through a vantage-point tree.
 
-Tree.  The 64 bits form eight blocks of eight; Hamming distance on a block is a metric, and its sum over blocks is the
-Hamming distance.  Level i of the tree places a fingerprint by its distance, 0 to 8, to a vantage point on block i.  By the
-triangle inequality two fingerprints that are d apart on a block have distances to the vantage point that are at most d
-apart; along a path the blocks' differences add up, so a search of radius r visits only the leaves whose distances differ
-by at most r in total.  The vantage points are fixed, so that the tree needs no fitting and its leaves are the same on
-every executor.
-
-Shards.  A leaf is a shard.  Every distinct fingerprint lives in its own leaf and is also sent to the leaves that its ball
-overlaps; of two leaves only the lower one's fingerprints go to the higher one, so each pair meets exactly once.  Inside a
-leaf the search goes on with the whole distance to one more vantage point, whose shells within r are compared bit by bit.
-The depth is the smallest at which leaves are of moderate size, by a count of the distinct fingerprints.
+Tree.  Every node has a vantage point, one of a bounded sample (``SAMPLE``) of the fingerprints that reach it, and the median
+Hamming distance to it as its radius; those within the radius are inside, the others outside.  By the triangle inequality a
+search of radius r needs the inside only for distances up to the node's radius + r, and the outside only for those above the
+radius - r.  The tree is fitted on the driver and as deep as leaves of ``LEAF_MEAN`` fingerprints on average need.
+
+Shards.  A leaf is a shard.  Every distinct fingerprint lives in its own leaf.  One that lives outside a node and whose ball
+overlaps the inside is also sent there as a guest, and on to all leaves that its ball overlaps, so each pair meets exactly
+once.  Within a leaf the tree goes on in memory, with vantage points and radii of the leaf's own members, down to a few
+hundred members, which are compared bit by bit.  However many fingerprints a leaf has, it is split to that size.
 
 A leaf reports a spanning forest of its links, never the pairs themselves, and components are found on those forests.
 
@@ -22,6 +20,7 @@ its members are null.  Extra columns are not read.
 from __future__ import annotations
 
 import itertools
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -32,12 +31,8 @@ from pyspark.sql import functions as F
 from ..operators.components import connected_components
 from .shared import settle
 
-BLOCKS, BLOCK_BITS = 8, 8
-#: Members that a leaf may have on average, and ten times that at most while the tree can still be deepened.
-LEAF_MEAN = 400
-_SEED = np.random.default_rng(20)
-VANTAGE = _SEED.integers(0, 1 << BLOCK_BITS, BLOCKS)
-INNER_VANTAGE = np.uint64(_SEED.integers(0, 1 << 63))
+#: Fingerprints that the tree is fitted on, members of a leaf on average, and those of a leaf's own leaves.
+SAMPLE, LEAF_MEAN, INNER_LEAF = 1 << 16, 4096, 256
 
 
 def simhash(text: str, shingle: int) -> int:
@@ -71,60 +66,66 @@ def simhashes(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", sh
     return source.mapInArrow(run, f"doc_id {docs.schema[doc_id].dataType.simpleString()}, fp bigint")
 
 
-def block_distances(fps: np.ndarray, levels: int) -> np.ndarray:
-    """Row k: the distances of fingerprint k to the vantage points of the first levels."""
-    return np.stack([np.bitwise_count((fps >> np.uint64(BLOCK_BITS * i) & np.uint64(255)) ^ np.uint64(VANTAGE[i])) for i in range(levels)], axis=1).astype(np.int64)
-
-
-def visited(levels: int, radius: int) -> np.ndarray:
-    """Differences of distances to go through: none (the own leaf, first), and those within the radius whose first nonzero part is positive."""
-    near = [d for d in itertools.product(range(-radius, radius + 1), repeat=levels) if sum(map(abs, d)) <= radius and next((x for x in d if x), 0) > 0] if levels <= 4 else _sparse(levels, radius)
-    return np.array([(0,) * levels, *near], dtype=np.int64)
-
-
-def _sparse(levels: int, radius: int) -> list[tuple[int, ...]]:
-    out = []
-    for parts in range(1, radius + 1):
-        for where in itertools.combinations(range(levels), parts):
-            for values in itertools.product([v for v in range(-radius, radius + 1) if v], repeat=parts):
-                if sum(map(abs, values)) <= radius and values[0] > 0:
-                    d = [0] * levels
-                    for w, v in zip(where, values, strict=True):
-                        d[w] = v
-                    out.append(tuple(d))
-    return out
-
-
-def tree_depth(distinct: DataFrame) -> int:
-    """Levels until leaves have at most LEAF_MEAN members on average and none ten times as many, or all levels.  Reads counts only."""
-    total, depth = distinct.count(), 1
-    blocks = [F.bit_count(F.shiftrightunsigned("fp", BLOCK_BITS * i).bitwiseAND(F.lit(255)).bitwiseXOR(F.lit(int(VANTAGE[i])))) for i in range(BLOCKS)]
-    while depth < BLOCKS and total / 5.8**depth > LEAF_MEAN:  # a level splits as evenly as 5.8 equal parts do
-        depth += 1
-    while depth < BLOCKS:
-        largest = distinct.groupBy(*[b.alias(f"b{i}") for i, b in enumerate(blocks[:depth])]).count().agg(F.max("count")).first()[0] or 0
-        if largest <= 10 * LEAF_MEAN:
-            break
-        depth += 1
-    return depth
-
-
-def sent_to_leaves(distinct: DataFrame, levels: int, radius: int) -> DataFrame:
-    """(leaf, guest, fp): each fingerprint once at home and once for each higher leaf that its ball overlaps."""
+def vantage(members: np.ndarray) -> tuple[np.uint64, int]:
+    """A vantage point among the members and its median distance: of a few, the one whose distances differ most."""
+    some, best = members[:: max(1, len(members) // 512)][:512], None
+    for point in some[:: max(1, len(some) // 5)][:5]:
+        d = np.bitwise_count(some ^ point)
+        if best is None or d.var() > best[0]:
+            best = (d.var(), point, int(np.median(d)))
+    return best[1], best[2]
+
+
+class Tree:
+    """A complete binary tree of vantage points and radii, in arrays as a heap: children of node n are 2n+1 (inside) and 2n+2 (outside)."""
+
+    def __init__(self, sample: np.ndarray, depth: int) -> None:
+        self.depth, nodes = depth, (1 << depth) - 1
+        self.points, self.radii = np.zeros(nodes, dtype=np.uint64), np.full(nodes, 64, dtype=np.int16)
+        reached = {0: sample}
+        for n in range(nodes):
+            members = reached.pop(n)
+            if len(members):
+                self.points[n], self.radii[n] = vantage(members)
+            inside = np.bitwise_count(members ^ self.points[n]) <= self.radii[n]
+            reached[2 * n + 1], reached[2 * n + 2] = members[inside], members[~inside]
+
+    def placed(self, fps: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(leaf, guest, fingerprint): each fingerprint at home, and as a guest where links to other leaves' members are looked for."""
+        node, guest, held = np.zeros(len(fps), dtype=np.int64), np.zeros(len(fps), dtype=bool), fps
+        for _ in range(self.depth):
+            inside, outside, visits = sides(np.bitwise_count(held ^ self.points[node]), self.radii[node], guest, radius)
+            both = np.concatenate
+            node = both([2 * node[inside] + 1, 2 * node[visits] + 1, 2 * node[outside] + 2])
+            held, guest = both([held[inside], held[visits], held[outside]]), both([guest[inside], np.ones(int(visits.sum()), dtype=bool), guest[outside]])
+        return node - len(self.radii), guest, held
+
+
+def sides(distance: np.ndarray, node_radius: np.ndarray, guest: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Which fingerprints go on inside and outside as what they are, and which at home outside visit the inside."""
+    d, r = distance.astype(np.int16), node_radius
+    inside = (d <= r) | guest & (d <= r + radius)
+    outside = np.where(guest, d > r - radius, d > r)
+    return inside, outside, ~guest & (d > r) & (d <= r + radius)
+
+
+def fitted(distinct: DataFrame) -> Tree:
+    """The tree of the distinct fingerprints; a count and a bounded sample by hash reach the driver."""
+    total = distinct.count()
+    depth = min(max(0, math.ceil(math.log2(max(total, 1) / LEAF_MEAN))), SAMPLE.bit_length() - 6)
+    sample = distinct.select("fp").orderBy(F.xxhash64("fp")).limit(SAMPLE if depth else 0).toPandas()["fp"].to_numpy(dtype=np.int64)
+    return Tree(sample.view(np.uint64), depth)
+
+
+def sent_to_leaves(distinct: DataFrame, tree: Tree, radius: int) -> DataFrame:
+    """(leaf, guest, fp): each fingerprint once at home and once as a guest of each leaf that it has to be compared in."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        moves, weights = visited(levels, radius), (BLOCK_BITS + 1) ** np.arange(levels, dtype=np.int64)
         for batch in batches:
             fps = batch.column(0).to_numpy(zero_copy_only=False).view(np.uint64)
-            for at in range(0, len(fps), 4096):
-                part = fps[at : at + 4096]
-                own = block_distances(part, levels)
-                for k, move in enumerate(moves):
-                    there = own + move
-                    ok = ((there >= 0) & (there <= BLOCK_BITS)).all(axis=1)
-                    if ok.any():
-                        n = int(ok.sum())
-                        yield pa.RecordBatch.from_arrays([pa.array(there[ok] @ weights), pa.array(np.full(n, k > 0)), pa.array(part[ok].view(np.int64))], names=["leaf", "guest", "fp"])
+            for at in range(0, len(fps), 2048):
+                leaf, guest, held = tree.placed(fps[at : at + 2048], radius)
+                yield pa.RecordBatch.from_arrays([pa.array(leaf), pa.array(guest), pa.array(held.view(np.int64))], names=["leaf", "guest", "fp"])
 
     return distinct.select("fp").mapInArrow(run, "leaf bigint, guest boolean, fp bigint")
 
@@ -145,34 +146,33 @@ class _Forest:
 
 def leaf_forest(homes: np.ndarray, guests: np.ndarray, radius: int) -> list[tuple[int, int]]:
     """Pairs of fingerprints that connect all those of a leaf which links of home members connect; guests are compared with home members only."""
-    d = lambda x: np.bitwise_count(x ^ INNER_VANTAGE).astype(np.int64)
-    homes = homes[np.argsort(d(homes), kind="stable")]
-    shells, everyone = d(homes), np.concatenate([homes, guests])
-    forest, mine = _Forest(len(everyone)), d(everyone)
-    order = np.argsort(mine, kind="stable")
-    bounds = np.searchsorted(mine[order], np.arange(66))
-    for shell in range(65):
-        queries = order[bounds[shell] : bounds[shell + 1]]
-        low, high = np.searchsorted(shells, [shell - radius, shell + radius + 1])
-        if not len(queries) or low == high:
+    everyone = np.concatenate([homes, guests])
+    forest = _Forest(len(everyone))
+    parts = [(np.arange(len(homes)), np.arange(len(homes), len(everyone)))]
+    while parts:
+        home, guest = parts.pop()
+        mine = everyone[home]
+        point, middle = vantage(mine) if len(home) > INNER_LEAF else (np.uint64(0), 0)
+        d = np.bitwise_count(mine ^ point)
+        if len(home) > INNER_LEAF and (d > middle).any():
+            inside, outside, visits = sides(d, np.int16(middle), np.zeros(len(home), dtype=bool), radius)
+            g_in, g_out, _ = sides(np.bitwise_count(everyone[guest] ^ point), np.int16(middle), np.ones(len(guest), dtype=bool), radius)
+            parts += [(home[inside], np.concatenate([guest[g_in], home[visits]])), (home[outside], guest[g_out])]
             continue
-        near, step = homes[low:high], max(1, (1 << 18) // (high - low))
-        for at in range(0, len(queries), step):
+        queries, step = np.concatenate([home, guest]), max(1, (1 << 18) // max(1, len(home)))
+        for at in range(0, len(queries) if len(home) else 0, step):
             some = queries[at : at + step]
-            rows, columns = np.nonzero(np.bitwise_count(everyone[some][:, None] ^ near[None, :]) <= radius)
-            cut = np.flatnonzero(np.diff(rows)) + 1
-            for q, found in zip(some[rows[np.concatenate([[0], cut])]] if len(rows) else [], np.split(columns, cut), strict=False):
-                for h in found:
-                    if h + low != q:
-                        forest.join(int(q), int(h + low))
+            rows, columns = np.nonzero(np.bitwise_count(everyone[some][:, None] ^ mine[None, :]) <= radius)
+            for q, h in zip(some[rows].tolist(), home[columns].tolist(), strict=True):
+                if q != h:
+                    forest.join(q, h)
     links = ((k, forest.root(k)) for k in range(len(everyone)))
     return [(everyone[k], everyone[r]) for k, r in links if k != r]
 
 
 def linked_fingerprints(distinct: DataFrame, radius: int = 2) -> DataFrame:
     """(src, dst): links that connect exactly the fingerprints which are connected by steps of at most ``radius`` bits."""
-    levels = tree_depth(distinct)
-    return linked_in_leaves(sent_to_leaves(distinct, levels, radius), radius)
+    return linked_in_leaves(sent_to_leaves(distinct, fitted(distinct), radius), radius)
 
 
 def linked_in_leaves(sent: DataFrame, radius: int) -> DataFrame:
@@ -213,12 +213,16 @@ def _pairs(found: list[tuple[int, int]]) -> pa.RecordBatch:
 def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", shingle: int = 3, radius: int = 2) -> DataFrame:
     """(doc_id, fp, component_id) for each row; component_id is the smallest id among the documents that links reach."""
     prints = settle(simhashes(docs, doc_id=doc_id, text=text, shingle=shingle))
-    distinct = settle(prints.groupBy("fp").agg(F.min("doc_id").alias("least")))
+    distinct = settle(prints.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count("*").alias("rows")))
     parts = connected_components(settle(linked_fingerprints(distinct, radius)))
-    placed = distinct.join(parts.withColumnRenamed("vertex", "fp"), "fp", "left").select("fp", "least", F.coalesce("component", "fp").alias("component"))
+    placed = distinct.join(parts.withColumnRenamed("vertex", "fp"), "fp", "left").select("fp", "least", "rows", F.coalesce("component", "fp").alias("component"))
     names = placed.groupBy("component").agg(F.min("least").alias("component_id"))
-    by_print = placed.join(names, "component").select("fp", "component_id")
-    return prints.join(by_print, "fp").select("doc_id", "fp", "component_id")
+    by_print = settle(placed.join(names, "component").select("fp", "rows", "component_id"))
+    # A fingerprint of over a thousandth of all rows would fill a task; there are fewer than a thousand of them, so they are sent to the rows.
+    total = distinct.agg(F.sum("rows")).first()[0] or 0
+    frequent = F.broadcast(by_print.where(F.col("rows") * 1000 > total).select("fp", "component_id"))
+    seldom = prints.join(frequent.select("fp"), "fp", "left_anti").join(by_print.select("fp", "component_id"), "fp")
+    return prints.join(frequent, "fp").unionByName(seldom).select("doc_id", "fp", "component_id")
 
 
 def fingerprint_text(fp: F.Column) -> F.Column:
