@@ -31,7 +31,7 @@ def op3_one_permutation_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_cotraining_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents", "doc_id", "text", "lang", "source")
+    docs = table(spark, sf_dir, "documents", "doc_id", "text", "lang", "source", "n_chars")
     model = cotraining.fit(docs, table(spark, sf_dir, "labels", "doc_id", "quality"))
     return cotraining.scored(docs, model).select("doc_id", F.round("quality_score", 6).alias("quality_score"), (F.col("quality_score") >= cotraining.GOOD_FROM).alias("kept"))
 
@@ -55,8 +55,8 @@ def op7_simhash_vantage(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_cross_entropy_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents", "doc_id", "text")
-    return lm_score.score(docs, *lm_score.fit(docs, table(spark, sf_dir, "labels", "doc_id", "quality")))
+    docs, labels = table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "labels", "doc_id", "quality")
+    return lm_score.score(docs, labels, public_tokenizers.path("word_bpe_49k.json"))
 
 
 def op9_projected_kd_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
