@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..kernels.graph import Graph
-from ..kernels.hard import has_claw
+from ..kernels.hard import has_claw, is_dual
 from ..kernels.hard import minimal_transversals as kernel_transversals
 from ..kernels.hard import streamed_transversals
 from ..kernels.induced import is_minimal as is_minimal_induced
@@ -41,6 +41,23 @@ def minimal_transversals(hyperedges: DataFrame, *, limit: int | None = None) ->
     return nested.mapInPandas(run, "instance_id bigint, solution_key string, n int")
 
 
+def check_dual(hyperedges: DataFrame, transversals: DataFrame) -> DataFrame:
+    """(instance_id, dual): whether transversals(instance_id, solution_key) are exactly the minimal ones, by the recursive duality test."""
+    sets = hyperedges.groupBy("instance_id", "hyperedge_id").agg(F.collect_set("element").alias("members")).groupBy("instance_id").agg(F.collect_set(F.array_sort("members")).alias("sets"))
+    keys = transversals.groupBy("instance_id").agg(F.collect_list("solution_key").alias("keys"))
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            out = []
+            for who, sets, keys in zip(frame["instance_id"], frame["sets"], frame["keys"], strict=True):
+                at = {v: k for k, v in enumerate(sorted({int(v) for s in sets for v in s}))}
+                mask = lambda vs: sum(1 << at[int(v)] for v in vs)  # noqa: B023, E731
+                out.append((who, is_dual([mask(s) for s in sets], [mask(k.split("-")) for k in ([] if keys is None else keys)])))
+            yield pd.DataFrame(out, columns=["instance_id", "dual"])
+
+    return sets.join(keys, "instance_id", "left").mapInPandas(run, "instance_id bigint, dual boolean")
+
+
 def hypergraph_to_star(hyperedges: DataFrame, centre: int = -1) -> tuple[DataFrame, DataFrame]:
     """(edges, groups): one leaf for each element around a centre, and a group for each hyperedge.
 

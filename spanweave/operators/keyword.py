@@ -13,6 +13,17 @@ from . import enumerate as enum
 FIRST_KEYWORD = -1_000_000_000
 
 
+def explain_fragments(solutions: DataFrame, vertices: DataFrame, edges: DataFrame) -> DataFrame:
+    """(instance_id, solution_key, edge_id, src_label, dst_label): the edges of solutions(instance_id, solution_key, edges) in words, by vertices(vertex_id, label).
+
+    An end without a label shows its id.
+    """
+    long = solutions.select("instance_id", "solution_key", F.explode("edges").alias("edge_id")).join(edges.select("edge_id", "src", "dst"), "edge_id")
+    named = lambda c: vertices.select(F.col("vertex_id").alias(c), F.col("label").alias(f"{c}_label"))
+    both = long.join(named("src"), "src", "left").join(named("dst"), "dst", "left")
+    return both.select("instance_id", "solution_key", "edge_id", *[F.coalesce(f"{c}_label", F.col(c).cast("string")).alias(f"{c}_label") for c in ("src", "dst")])
+
+
 def k_fragments(edges: DataFrame, holders: DataFrame, keywords: list[str], *, kind: str = "undirected", roots: DataFrame | None = None, limit: int | None = None) -> DataFrame:
     """Solutions that connect ``keywords`` over edges(edge_id, src, dst) and holders(keyword, vertex), which say what holds a keyword.
 

@@ -15,6 +15,7 @@ from .kernels.solve import Options, solutions
 from .operators import enumerate as enum
 from .operators import graph_tests, hard
 from .operators.components import connected_components
+from .operators.keyword import explain_fragments
 from .operators.temporal import asof_join
 from .plans import relational
 from .plans.workspace import settle
@@ -543,10 +544,8 @@ def readable_trees(spark, sf_dir):
     """Minimum trees by nation names."""
     g = trade(spark, sf_dir)
     best = enum.minimum_steiner_trees(graphs.one_instance(spark), terminal_rows(spark, places(g, A, B, C)), g)
-    nation = graphs.read(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("bigint").alias("k"), "n_name")
-    long = best.select("solution_key", F.explode("edges").alias("edge_id")).join(g, "edge_id")
-    named = long.join(F.broadcast(nation.withColumnRenamed("n_name", "x")), F.col("src") == F.col("k")).drop("k").join(F.broadcast(nation.withColumnRenamed("n_name", "y")), F.col("dst") == F.col("k"))
-    return named.select("solution_key", F.concat_ws(" - ", "x", "y").alias("edge"))
+    nation = graphs.read(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("bigint").alias("vertex_id"), F.col("n_name").alias("label"))
+    return explain_fragments(best, nation, g).select("solution_key", F.concat_ws(" - ", "src_label", "dst_label").alias("edge"))
 
 
 # Solutions as data.
@@ -699,6 +698,20 @@ def search_buffers(spark, sf_dir):
     return _traces(spark, sf_dir, lambda t, n, m: measures.buffer_report(t))
 
 
+@query
+def output_sizes(spark, sf_dir):
+    """Number, total and mean size of the solutions: what any enumeration has to write."""
+    return measures.output_size(_trees(spark, sf_dir)).select("n", F.col("total").alias("total"), F.col("least").cast("bigint").alias("least"), F.col("most").cast("bigint").alias("most"), F.round("mean", 6).alias("mean"))
+
+
+@query
+def duality(spark, sf_dir):
+    """Whether the minimal transversals found for each customer are all there are, by the duality test."""
+    h = settle(graphs.customer_regions(spark, sf_dir))
+    found = hard.minimal_transversals(h)
+    return hard.check_dual(h, found).groupBy("dual").agg(F.count("*").alias("customers"))
+
+
 # More terminal sets, workloads and baselines.
 
 
@@ -770,15 +783,15 @@ def trees_by_masks(spark, sf_dir):
 
 @query
 def induced_by_masks(spark, sf_dir):
-    """Minimal vertex sets of the trade graph that connect A and D, among all sets."""
+    """Minimal vertex sets of the trade graph that connect two vertices of low degree, among all sets."""
     g = trade(spark, sf_dir)
-    return relational.exhaustive_induced(g, places(g, A, D))
+    return relational.exhaustive_induced(g, places(g, 8, 5))
 
 
 @query
 def induced_three_by_masks(spark, sf_dir):
     g = trade(spark, sf_dir)
-    return relational.exhaustive_induced(g, places(g, B, D, 5))
+    return relational.exhaustive_induced(g, places(g, 6, 7, 8))
 
 
 @query

@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.streaming import DataStreamWriter
+from pyspark.sql.streaming import DataStreamWriter, StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from ..kernels.solve import Options, solutions
 from ..operators.enumerate import directed_steiner_trees
 from ..sources.graphs import EVENT_TYPES
 
@@ -66,6 +68,45 @@ def trees_per_window(events: DataFrame, path: str, root: str = "signup", wanted:
     return closed_windows(events, width, late).writeStream.outputMode("append").foreachBatch(one_batch)
 
 
+def late_rows(query: StreamingQuery) -> int:
+    """How many rows a stream's operators have dropped as later than the watermark, over the progress that the query still holds."""
+    return sum(int(s.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for s in p["stateOperators"])
+
+
+def trees_at_window_end(events: DataFrame, root: str = "signup", wanted: str = "purchase", width: str = "7 days", late: str = "1 hour") -> DataFrame:
+    """(window_start, solution_key, n_edges): the directed trees of a window's transitions, found by a timer when the watermark passes its end.
+
+    A window's state holds its events, each once, as they may come out of order until then; it is given up with the answer.
+    """
+
+    def step(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        start, end = key
+        held = json.loads(state.get[0]) if state.exists else []
+        if not state.hasTimedOut:
+            seen = {e[1] for e in held}
+            for frame in frames:
+                for user, ts, event_id, kind in zip(frame["user_id"], frame["ts"], frame["event_id"], frame["event_type"], strict=True):
+                    if int(event_id) not in seen:
+                        seen.add(int(event_id))
+                        held.append((ts.isoformat(), int(event_id), int(user), kind))
+            state.update((json.dumps(held),))
+            state.setTimeoutTimestamp(int(end) * 1000)
+            return
+        steps, last = set(), {}
+        for _, _, user, kind in sorted(map(tuple, held)):
+            if user in last and last[user] != kind:
+                steps.add((EVENT_TYPES.index(last[user]), EVENT_TYPES.index(kind)))
+            last[user] = kind
+        state.remove()
+        edges = [(5 * a + b, a, b) for a, b in sorted(steps)]
+        found = list(solutions(edges, [[EVENT_TYPES.index(wanted)]], EVENT_TYPES.index(root), Options(flavour="directed"))) if edges else []
+        yield pd.DataFrame([(int(start), s.key, len(s.edges)) for s in found], columns=["window_start", "solution_key", "n_edges"])
+
+    keyed = events.withWatermark("ts", late).withColumn("w", F.window("ts", width)).withColumn("window_start", F.unix_timestamp(F.col("w.start"))).withColumn("window_end", F.unix_timestamp(F.col("w.end")))
+    rows = keyed.select("window_start", "window_end", "user_id", "ts", "event_id", "event_type")
+    return rows.groupBy("window_start", "window_end").applyInPandasWithState(step, "window_start bigint, solution_key string, n_edges int", "held string", "append", GroupStateTimeout.EventTimeTimeout)
+
+
 def running_transitions(events: DataFrame) -> DataFrame:
     """(user_id, src_type, dst_type, n): transitions counted by a user's state, which is the last event's time, id and type; updates as they happen.
 
