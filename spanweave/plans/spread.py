@@ -39,7 +39,10 @@ def beside(rows: DataFrame, large: DataFrame, key: str, *, how: str = "inner", s
         rows = rows.withColumn("place", place).drop("copies")
     else:
         rows, large = rows.withColumn("place", place), large.withColumn("place", place)
-    return rows.repartition(slots, key, "place").join(large.repartition(slots, key, "place"), [key, "place"], how).drop("place")
+    # One column for both, so that a key which is a constant is not optimised away from the partitioning; a null key meets nothing.
+    at = F.concat(F.coalesce(F.col(key).cast("string"), F.lit("none")), F.lit(" "), F.col("place").cast("string"))
+    left, right = rows.withColumn("at", at).drop("place"), large.where(F.col(key).isNotNull()).withColumn("at", at).drop("place", key)
+    return left.repartition(slots, "at").join(right.repartition(slots, "at"), "at", how).drop("at")
 
 
 def ranked(df: DataFrame, name: str, *order) -> DataFrame:
