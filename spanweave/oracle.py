@@ -242,6 +242,10 @@ SQL["kfragments_directed"] = """WITH j AS (SELECT (l_orderkey * 8 + l_linenumber
   t AS (SELECT line, [0, 2, 7, 3, 5, 8] e FROM j WHERE cr = r
     UNION ALL SELECT line, CASE WHEN c = s THEN [0, 2, 7, 1, 4, 5, 8] WHEN cr = sr THEN [0, 2, 7, 1, 4, 6, 8] ELSE [0, 2, 7, 1, 4, 6, 9] END FROM j WHERE sr = r)
   SELECT line, array_to_string(list_sort(e), '-') solution_key, len(e)::BIGINT n_edges FROM t"""
+SQL["kfragments_orders"] = SQL["kfragments_orders_strong"] = """WITH l AS (SELECT l_orderkey o, l_linenumber n, p_brand = (SELECT min(p_brand) FROM part) has, min(l_linenumber) OVER (PARTITION BY l_orderkey, l_partkey) f
+    FROM lineitem JOIN part ON l_partkey = p_partkey JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey
+    WHERE c_mktsegment = (SELECT min(c_mktsegment) FROM customer) AND o_orderpriority = (SELECT min(o_orderpriority) FROM orders))
+  SELECT o::BIGINT "order", array_to_string(list_sort([1, 2, 3, 10 * n, 10 * n + 1, 10 * f + 2]), '-') solution_key, 6::BIGINT n_edges FROM l WHERE has"""
 SQL["conversation_trees"] = """WITH s AS (SELECT conv_id, turn, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) f FROM conversations)
   SELECT conv_id::BIGINT conv_id, string_agg(turn::VARCHAR, '-' ORDER BY turn) solution_key, count(*) n_edges FROM s WHERE f IS NOT NULL GROUP BY conv_id"""
 SQL["document_facet_degrees"] = "SELECT lang \"label\", count(DISTINCT source) sources FROM documents WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1) GROUP BY lang"

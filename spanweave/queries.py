@@ -512,6 +512,23 @@ def kfragments_directed(spark, sf_dir):
     return keys(enum.over_instances(packed, work, "line bigint, solution_key string, n_edges int"), "line")
 
 
+def _order_fragments(operator) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark, sf_dir):
+        first = lambda table, column: graphs.read(spark, sf_dir, table).agg(F.min(column)).first()[0]
+        g = settle(graphs.order_keyword_graphs(spark, sf_dir, first("part", "p_brand"), first("customer", "c_mktsegment"), first("orders", "o_orderpriority")))
+        orders = g.select("graph_id").distinct()
+        jobs = orders.select(F.col("graph_id").alias("instance_id"), "graph_id")
+        words = orders.select(F.col("graph_id").alias("instance_id"), F.explode(F.array(*[F.lit(graphs.KEYWORD * graphs.KIND + k).cast("bigint") for k in range(3)])).alias("vertex_id"))
+        return keys(operator(jobs, words, g).withColumnRenamed("instance_id", "order"), "order")
+
+    return run
+
+
+#: Trees, and trees with keywords at leaves only, of the tuples of each order that hold the least brand, segment and priority.
+QUERIES["kfragments_orders"] = _order_fragments(enum.steiner_trees)
+QUERIES["kfragments_orders_strong"] = _order_fragments(enum.terminal_steiner_trees)
+
+
 @query
 def page_link_fragments(spark, sf_dir):
     """Trees that connect the three most linked targets through hosts, by number of edges."""

@@ -147,6 +147,28 @@ def tuple_graphs(spark: SparkSession, sf_dir: str, segment: str, region: str) ->
     return nested, spark.createDataFrame([(segment, KEYWORD * KIND), (region, KEYWORD * KIND + 1)], "keyword string, vertex_id bigint")
 
 
+def order_keyword_graphs(spark: SparkSession, sf_dir: str, brand: str, segment: str, priority: str) -> DataFrame:
+    """Edges of one graph for each order whose tuples hold all three keywords: the order with its customer, its lines and their parts.
+
+    graph_id is the order; keyword nodes are KEYWORD 0 to 2: the brand on parts, the segment on the customer, the priority on the
+    order.  Edge 1 leads to the customer, 2 and 3 to segment and priority; a line n has 10 n to itself and 10 n + 1 to its part, and
+    a part with the brand 10 n + 2, n being its first line.
+    """
+    customers = read(spark, sf_dir, "customer").where(F.col("c_mktsegment") == segment).select("c_custkey")
+    orders = read(spark, sf_dir, "orders").where(F.col("o_orderpriority") == priority).select("o_orderkey", "o_custkey").join(customers, F.col("o_custkey") == F.col("c_custkey"), "left_semi")
+    parts = read(spark, sf_dir, "part").select("p_partkey", (F.col("p_brand") == brand).alias("has_brand"))
+    lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey").join(parts, F.col("l_partkey") == F.col("p_partkey")).join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
+    whole = lines.withColumn("holds", F.max("has_brand").over(Window.partitionBy("l_orderkey"))).where("holds").withColumn("first", F.min("l_linenumber").over(Window.partitionBy("l_orderkey", "l_partkey")))
+    whole = whole.withColumn("line", F.col("l_orderkey") * 8 + F.col("l_linenumber"))
+    word = lambda k: F.lit(KEYWORD * KIND + k).cast("bigint")
+    order, customer, line, part = tuple_id(ORDERS, "l_orderkey"), tuple_id(CUSTOMER, "o_custkey"), tuple_id(LINEITEM, "line"), tuple_id(PART, "l_partkey")
+    arc = lambda n, a, b: F.struct(n.cast("bigint").alias("edge_id"), a.alias("src"), b.alias("dst"))
+    n = F.col("l_linenumber")
+    arcs = F.array(arc(F.lit(1), order, customer), arc(F.lit(2), customer, word(1)), arc(F.lit(3), order, word(2)), arc(10 * n, order, line), arc(10 * n + 1, line, part), F.when(F.col("has_brand"), arc(10 * F.col("first") + 2, part, word(0))))
+    out = whole.select(F.col("l_orderkey").cast("bigint").alias("graph_id"), F.explode(arcs).alias("e")).where("e is not null")
+    return out.select("graph_id", "e.*").distinct()
+
+
 def numbered(pairs: DataFrame) -> DataFrame:
     """Edges with ids by rank of their ends."""
     return ranked(pairs.select("src", "dst").distinct(), "edge_id", "src", "dst").select(*_edges(F.col("src"), F.col("dst"), F.col("edge_id")))
