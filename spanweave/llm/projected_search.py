@@ -164,7 +164,8 @@ def usable(vector: Column) -> Column:
     return F.coalesce(fine & F.exists(vector, lambda x: x != 0), F.lit(False))
 
 
-FOUND = "query_id bigint, raw binary, vec_id bigint, score double, verified bigint"
+#: ``which`` is a hash of the query's vector, which tells the lists of one id apart.
+FOUND = "query_id bigint, which bigint, vec_id bigint, score double, verified bigint"
 
 
 def nearest(rows: DataFrame, is_query: Column, *, vec_id: str = "vec_id", vector: str = "embedding", k: int = 20, confidence: float = CONFIDENCE) -> DataFrame:
@@ -234,22 +235,22 @@ def nearest(rows: DataFrame, is_query: Column, *, vec_id: str = "vec_id", vector
 
     placed = settle(points.mapInPandas(place, "band int, raw binary, ids array<bigint>, cell bigint"))
     asked = fine.where("q").select("vec_id", "v").mapInPandas(at_home, "cell bigint, query_id bigint, raw binary, known double")
-    queries = settle(asked.dropDuplicates(["query_id", "raw"]))
+    queries = settle(asked.withColumn("which", F.xxhash64("raw")).dropDuplicates(["query_id", "which"]))
 
     def search(pts: pd.DataFrame, qs: pd.DataFrame) -> pd.DataFrame:
         out = []
         if len(pts) and len(qs):
             cell = Cell(unpack(pts["raw"]), list(pts["ids"]), tops[int(pts["band"].iloc[0])], axes)
             q, p = project(list(qs["raw"]))
-            who, raw = qs["query_id"].tolist(), qs["raw"].tolist()
-            out = [(who[n], raw[n], i, s, v) for n, i, s, v in cell.search(q, p, who, qs["known"].to_numpy(), k, limit)]
-        frame = pd.DataFrame(out, columns=["query_id", "raw", "vec_id", "score", "verified"])
+            who, which = qs["query_id"].tolist(), qs["which"].tolist()
+            out = [(who[n], which[n], i, s, v) for n, i, s, v in cell.search(q, p, who, qs["known"].to_numpy(), k, limit)]
+        frame = pd.DataFrame(out, columns=["query_id", "which", "vec_id", "score", "verified"])
         return frame.assign(vec_id=frame["vec_id"].astype("Int64"), score=frame["score"].astype(float))
 
     by_cell = placed.groupBy("cell")
     home = settle(by_cell.cogroup(queries.groupBy("cell")).applyInPandas(search, FOUND))
-    best = Window.partitionBy("query_id", "raw").orderBy(F.desc("score"), "vec_id")
-    limits = home.where("vec_id is not null").withColumn("rank", F.row_number().over(best)).where(F.col("rank") == k).select("query_id", "raw", F.col("score").alias("limit"))
+    best = Window.partitionBy("query_id", "which").orderBy(F.desc("score"), "vec_id")
+    limits = home.where("vec_id is not null").withColumn("rank", F.row_number().over(best)).where(F.col("rank") == k).select("query_id", "which", F.col("score").alias("limit"))
 
     def elsewhere(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
@@ -267,11 +268,11 @@ def nearest(rows: DataFrame, is_query: Column, *, vec_id: str = "vec_id", vector
                         go[np.arange(len(g)), g["cell"] - first[b]] = False
                     n, cell = np.nonzero(go)
                     if len(n):
-                        yield pd.DataFrame({"cell": first[b] + cell, "query_id": g["query_id"].to_numpy()[n], "raw": g["raw"].to_numpy()[n], "known": worst[n]})
+                        yield pd.DataFrame({"cell": first[b] + cell, "query_id": g["query_id"].to_numpy()[n], "which": g["which"].to_numpy()[n], "raw": g["raw"].to_numpy()[n], "known": worst[n]})
 
-    travelling = queries.join(limits, ["query_id", "raw"], "left").select("cell", "query_id", "raw", "limit").mapInPandas(elsewhere, "cell bigint, query_id bigint, raw binary, known double")
+    travelling = queries.join(limits, ["query_id", "which"], "left").select("cell", "query_id", "which", "raw", "limit").mapInPandas(elsewhere, "cell bigint, query_id bigint, which bigint, raw binary, known double")
     both = home.unionByName(by_cell.cogroup(travelling.groupBy("cell")).applyInPandas(search, FOUND))
-    one = both.groupBy("query_id", "raw", "vec_id").agg(F.max("score").alias("score"), F.sum("verified").alias("verified"))
-    effort = F.sum("verified").over(Window.partitionBy("query_id", "raw"))
+    one = both.groupBy("query_id", "which", "vec_id").agg(F.max("score").alias("score"), F.sum("verified").alias("verified"))
+    effort = F.sum("verified").over(Window.partitionBy("query_id", "which"))
     ranked = one.withColumn("verified", effort).where("vec_id is not null").withColumn("rank", F.row_number().over(best))
     return ranked.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score", "verified")
