@@ -398,8 +398,38 @@ def test_simhash_components(docs, none):
     assert kept.columns == docs.columns and kept.count() == len({w[2] for w in want})
 
 
+def test_leaves_are_split_without_limit():
+    """One leaf with more members than fit a comparison: ten levels and more, guests of it compared with its members only."""
+    r = random.Random(12)
+    base_print = r.getrandbits(64)
+    prints = list({base_print ^ sum(1 << b for b in r.sample(range(64), r.randrange(5))) for _ in range(3000)})
+    homes, guests = np.array(prints[:2500], np.uint64), np.array(prints[2500:], np.uint64)
+    up = {p: p for p in prints}
+
+    def root(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    for a, b in simhash.leaf_forest(homes, guests, 2):
+        up[root(int(a))] = root(int(b))
+    close = np.bitwise_count(np.array(prints, np.uint64)[:, None] ^ homes[None, :]) <= 2
+    want = {p: p for p in prints}
+
+    def wanted(x):
+        while want[x] != x:
+            x = want[x]
+        return x
+
+    for i, j in zip(*np.nonzero(close), strict=True):
+        want[wanted(prints[i])] = wanted(int(homes[j]))
+    groups = lambda f: sorted(sorted(p for p in prints if f(p) == q) for q in {f(p) for p in prints})
+    assert groups(root) == groups(wanted)
+
+
 @pytest.mark.parametrize("spread", [1, 4, 20, 64])
 def test_vantage_tree_finds_every_link(spark, spread, monkeypatch):
+    """Clustered fingerprints and even ones, in a tree of some eight levels and more within its leaves."""
     r = random.Random(spread)
     base_print = r.getrandbits(64)
     prints = {0, (1 << 64) - 1}
@@ -409,6 +439,7 @@ def test_vantage_tree_finds_every_link(spark, spread, monkeypatch):
             p ^= 1 << r.randrange(64)
         prints.add(p)
     monkeypatch.setattr(simhash, "LEAF_MEAN", 3)
+    monkeypatch.setattr(simhash, "INNER_LEAF", 2)
     df = spark.createDataFrame([(p - (1 << 64) if p >> 63 else p,) for p in prints], "fp bigint")
     found = simhash.linked_fingerprints(df).collect()
     group = components(prints)
@@ -517,7 +548,7 @@ def test_projected_search_of_odd_rows(spark):
     """Equal ids with other vectors, repeated rows, norms far apart and ties."""
     rows = [(0, [1.0, 0.0]), (0, [0.0, 1.0]), (0, [1.0, 0.0]), (1, [50.0, 1.0]), (2, [1e-3, 1e-3]), (3, [1.0, 1.0]), (4, [1.0, 1.0]), (4, [1.0, 1.0]), (5, [1e-200, 0.0]), (6, [-3.0, 2.0])]
     df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
-    out = projected_search.nearest(df, F.col("vec_id") == 0, k=3).orderBy("rank", "score").collect()
+    out = projected_search.nearest(df, F.col("vec_id") == 0, k=3).orderBy("rank", "score", "vec_id").collect()
     assert [(r["rank"], r["vec_id"], r["score"]) for r in out] == [(1, 6, 2.0), (1, 1, 50.0), (2, 1, 1.0), (2, 3, 1.0), (3, 3, 1.0), (3, 4, 1.0)]
 
 
@@ -585,8 +616,45 @@ def test_query_digests(spark):
         digest = ",".join(f"{('assign', 'access', 'hex')[k]}:{s}:{e}" for s, k, e in b)
         assert r["base_sha256"] == hashlib.sha256(digest.encode()).hexdigest()
         assert (r["n_assign"], r["n_access"], r["n_hex"]) == tuple(sum(k == n for _, k, _ in b) for n in range(3))
+    ids = sorted(texts, reverse=True)
+    after = dict(zip(ids, ids[1:] + ids[:1], strict=True))
+    sha = lambda data: hashlib.sha256(data).hexdigest()
+    prints = {}
     for r in queries.op3_one_permutation_minhash(spark, sf).collect():
-        assert r["n_chars"] == len(texts[r["doc_id"]]) and len(r["edited_sha256"]) == 64
+        t, n = texts[r["doc_id"]], texts[after[r["doc_id"]]]
+        half = len(t) // 2
+        assert r["n_chars"] == len(t) and r["edited_sha256"] == sha((t[: len(t) - half] + n[:half]).encode())
+        assert prints.setdefault(t, r["fingerprint"]) == r["fingerprint"] and 0 <= min(r["near_edited"], r["near_next"])
+    import tiktoken
+
+    encoding = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=byte_bpe.read_ranks(BYTE_BPE), special_tokens={})
+    for r in queries.op1_byte_bpe(spark, sf).collect():
+        own = encoding.encode_ordinary(texts[r["doc_id"]])
+        assert (r["n_tokens"], r["ids_sha256"], r["decoded_sha256"]) == (len(own), sha(",".join(map(str, own)).encode()), sha(texts[r["doc_id"]].encode()))
+    crc = lambda own: zlib.crc32(np.array(own, "<u4").tobytes())
+    at = 0
+    for r in sorted(queries.op6_token_orc(spark, sf).collect(), key=lambda r: r["doc_id"]):
+        own = own_ids(texts[r["doc_id"]], 2)
+        assert (r["start"], r["n_tokens"], r["ids_crc32"]) == (at, len(own), crc(own))
+        at += len(own)
+    pieces = defaultdict(int)
+    for r in queries.op2_curve_packing(spark, sf).collect():
+        own = own_ids(texts[r["doc_id"]], 1)
+        assert r["doc_tokens"] == len(own) and r["ids_crc32"] == crc(own[r["start"] : r["start"] + r["length"]])
+        pieces[r["doc_id"]] += r["length"]
+    assert pieces == {i: len(own_ids(t, 1)) for i, t in texts.items()}
+    group = components([plain_simhash(t) for t in texts.values()])
+    least = {}
+    for i, t in texts.items():
+        g = group[plain_simhash(t)]
+        least[g] = min(i, least.get(g, i))
+    for r in queries.op7_simhash_vantage(spark, sf).collect():
+        own = plain_simhash(texts[r["doc_id"]])
+        assert (r["fingerprint"], r["component_id"]) == (f"{own:016x}", least[group[own]])
+    scored = queries.op8_cross_entropy_difference(spark, sf).collect()
+    assert {r["doc_id"]: r["n_tokens"] for r in scored} == {i: len(own_ids(t, 0)) - 1 for i, t in texts.items()}
+    kept = {r["doc_id"] for r in queries.op4_cotraining_quality(spark, sf).collect()}
+    assert kept == set(texts)
 
 
 def five_word_shingles(t):
