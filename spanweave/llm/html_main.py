@@ -1,13 +1,15 @@
 """Main text of web pages by the maximum-scoring subsequence of weighted tokens.
 
 A page is read as a stream of tokens, words and block tags.  A word's score is the probability that it is content, from
-weights learned on labelled pages, less one half; a tag's score is zero or negative, the more the rarer it is within
-content.  One linear scan finds the contiguous run of tokens with the greatest sum, and the blocks of that run are the
-text, without those whose surroundings are known not to be article text (menus, headers and footers of the page, sidebars,
-notices, adverts, forms, comments): such blocks break a run only by a small, bounded amount.
+weights learned on labelled pages of the word itself and of the elements and classes around it, less one half; a tag's score
+is zero or negative, the more the rarer it is within content.  One linear scan finds the contiguous run of tokens with the
+greatest sum; as blocks are kept or left as a whole, a run begins and ends with a block.  The run is the text, but for the
+elements in it that are not the article's by what they are (menus, headers and footers of the page, sidebars, notices, adverts, forms,
+comments): those are taken out of the page before it is read as article text, and break a run only by a small, bounded amount.
 
 Labelled pages are those whose own markup names the content (an article or main element): a bounded sample of pages
-(``SAMPLE``, by hash) is counted, words inside against words outside, by the names of the elements and classes around them.
+(``SAMPLE``, by hash) is counted, words inside against words outside, by the word and by the names of the elements and classes
+around it.
 
 Defined results: a null, empty or word-free page has an empty text; broken markup is read as browsers do for the common
 cases (unclosed paragraphs and list items end at the next block, stray end tags are ignored, an open end closes at the end);
@@ -25,13 +27,16 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-SAMPLE, LEAST_SEEN = 1000, 20
+#: Labelled pages that weights come from, occurrences that a name or word needs, and letters of a word that is counted.
+SAMPLE, LEAST_SEEN, LONGEST_TERM = 1000, 20, 40
 
 # Element names by their role.
-RAW = frozenset("script style noscript template textarea title iframe object svg math canvas select option button head".split())
+#: Left out with all they hold; those of the second line to the end of the page where they are never closed.
+HIDDEN = frozenset("noscript template svg select option button head".split())
+RAW = frozenset("script style textarea title iframe".split())
 BLOCK = frozenset("address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre search section summary table tbody td tfoot th thead tr ul".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 CONTENT = frozenset(("article", "main"))
@@ -40,7 +45,8 @@ NEVER = frozenset("nav aside footer form menu dialog search fieldset".split())
 #: Words of class, id and role values that name what an article is not.
 ASIDE = frozenset("ad ads advert adverts advertisement advertising banner breadcrumb breadcrumbs comment comments commentlist consent cookie cookies disclaimer discussion disqus footer gdpr login menu modal nav navbar navigation navigasi newsletter notice notices overlay pager pagination popup promo promoted promotion related replies reply respond share sharing sidebar signup skip social sponsor sponsored subscribe subscription teaser toolbar widget widgets contentinfo complementary".split())
 
-_TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^<>"']|"[^"]*"|'[^']*')*)>""", re.S)
+# A tag ends at the first > outside a quoted attribute value; quotes elsewhere are characters like others.
+_TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<[!?][^>]*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*+)((?>(?:[^>=]++|=\s*+(?:"[^"]*+"|'[^']*+'|))*+))>""", re.S)
 _NAMES = re.compile(r"""(?:^|\s)(?:class|id|role)\s*=\s*("[^"]*"|'[^']*'|[^\s>]+)""", re.I)
 _HIDDEN = re.compile(r"""(?:^|\s)(?:hidden(?=\s|$|=)|aria-hidden\s*=\s*["']?true|style\s*=\s*["'][^"']*display\s*:\s*none)""", re.I)
 _WORD = re.compile(r"[a-z]+")
@@ -55,10 +61,10 @@ class Block:
     tags: tuple[str, ...]
     inside: bool
     never: bool
-    words: int = field(init=False)
+    words: list[str] = field(init=False)
 
     def __post_init__(self) -> None:
-        self.words = len(self.text.split())
+        self.words = self.text.lower().split()
 
 
 @dataclass(eq=False)
@@ -89,7 +95,8 @@ def blocks(page: str) -> Iterator[Block]:
     parts: list[str] = []
     tags: list[tuple[str, tuple[Element, ...]]] = []
     found: list[tuple[str, tuple[Element, ...], list[tuple[str, tuple[Element, ...]]]]] = []
-    at, end = 0, len(page)
+    at, end, unclosed = 0, len(page), set()
+    last = page.rfind(">") + 1  # no tag ends behind it
 
     def flush() -> None:
         text = " ".join(markup.unescape("".join(parts)).split())
@@ -99,7 +106,7 @@ def blocks(page: str) -> Iterator[Block]:
             tags.clear()
 
     while at < end:
-        m = _TAG.search(page, at)
+        m = _TAG.search(page, at, last) if at < last else None
         parts.append(page[at : m.start() if m else end])
         if not m:
             break
@@ -107,9 +114,13 @@ def blocks(page: str) -> Iterator[Block]:
         if m[2] is None:
             continue
         closing, name = bool(m[1]), m[2].lower()
-        if name in RAW and not closing and not m[3].rstrip().endswith("/"):
-            close = re.compile(rf"</{re.escape(name)}\b[^>]*>", re.I).search(page, at)
-            at = close.end() if close else (end if name != "head" else at)
+        if (name in RAW or name in HIDDEN) and not closing and not m[3].rstrip().endswith("/"):
+            close = None if name in unclosed else re.compile(rf"</{re.escape(name)}\b[^>]*>", re.I).search(page, at)
+            if close:
+                at = close.end()
+            else:
+                unclosed.add(name)
+                at = end if name in RAW else at
         elif name == "br":
             parts.append(" ")
         elif name in BLOCK:
@@ -151,20 +162,26 @@ def blocks(page: str) -> Iterator[Block]:
 
 @dataclass(frozen=True)
 class Weights:
-    """Log odds of content for each name around a word, with those of none, and the score of each tag."""
+    """Log odds of content for each name around a word and for each word, with those of none, and the score of each tag."""
 
     prior: float
     names: dict[str, float]
     tags: dict[str, float]
+    terms: dict[str, float] = field(default_factory=dict)
 
-    def word(self, b: Block) -> float:
+    def word(self, b: Block, term: float = 0.0) -> float:
         """Score of one word of a block, -0.5 to 0.5."""
-        odds = self.prior + sum(self.names.get(n, 0.0) for n in b.names)
+        odds = self.prior + term + sum(self.names.get(n, 0.0) for n in b.names)
         return 1 / (1 + math.exp(-max(-30.0, min(30.0, odds)))) - 0.5
 
+    def words(self, b: Block) -> float:
+        """Sum of the scores of a block's words."""
+        known = Counter(round(self.terms[w], 1) for w in b.words if w in self.terms)
+        return (len(b.words) - known.total()) * self.word(b) + sum(n * self.word(b, t) for t, n in known.items())
+
 
 def counted(pages: Iterator[str]) -> Counter:
-    """(kind, name, inside) -> words for kind "word" and "name", occurrences for kind "tag"; pages without a content element count nothing."""
+    """(kind, name, inside) -> words for kinds "word", "term" and "name", occurrences for kind "tag"; pages without a content element count nothing."""
     out: Counter = Counter()
     for page in pages:
         found = list(blocks(page))
@@ -172,29 +189,35 @@ def counted(pages: Iterator[str]) -> Counter:
             continue
         for b in found:
             yes = b.inside and not b.never
-            out["word", "", yes] += b.words
+            out["word", "", yes] += len(b.words)
+            for w in b.words:
+                if len(w) <= LONGEST_TERM:
+                    out["term", w, yes] += 1
             for n in b.names:
                 known = n[3:] in NEVER or is_aside(n[3:])
                 # The label itself is no evidence for pages that lack it, and a plain element is not to blame for the advert in it.
                 if n[3:] not in CONTENT and (known or not b.never):
-                    out["name", n, yes] += b.words
+                    out["name", n, yes] += len(b.words)
             for t in b.tags:
                 out["tag", t, yes] += 1
     return out
 
 
 def weights_of(counts: dict[tuple[str, str, bool], int]) -> Weights:
-    """Smoothed weights; names seen too seldom have none.  With nothing counted, every word outside known boilerplate is content."""
+    """Smoothed weights; names and words seen too seldom have none.  With nothing counted, every word is content."""
     every = {yes: counts.get(("word", "", yes), 0) + 1.0 for yes in (True, False)}
-    names, tags = {}, {}
+    names, tags, terms = {}, {}, {}
     for kind, name, _ in counts:
         a, b = counts.get((kind, name, True), 0), counts.get((kind, name, False), 0)
+        odds = lambda: math.log((a + 1) / every[True]) - math.log((b + 1) / every[False])  # noqa: B023, E731
         if kind == "name" and a + b >= LEAST_SEEN:
-            names[name] = max(-4.0, min(4.0, math.log((a + 1) / every[True]) - math.log((b + 1) / every[False])))
+            names[name] = max(-4.0, min(4.0, odds()))
+        elif kind == "term" and a + b >= LEAST_SEEN:
+            terms[name] = max(-1.0, min(1.0, odds()))
         elif kind == "tag":
             tags[name] = -(b + 0.1) / (a + b + 0.2) if b > a else 0.0
     names |= {f"in:{c}": 4.0 for c in CONTENT}
-    return Weights(0.5, names, tags)
+    return Weights(0.5, names, tags, terms)
 
 
 def main_text(page: str | None, weights: Weights) -> str:
@@ -202,8 +225,8 @@ def main_text(page: str | None, weights: Weights) -> str:
     found = list(blocks(page)) if page else []
     scores = []
     for b in found:
-        one = weights.word(b)
-        worth = max(-5.0, 0.1 * -b.words) if b.never else one * b.words if one > 0 else max(-25.0, one * b.words)
+        total = weights.words(b)
+        worth = max(-5.0, 0.1 * -len(b.words)) if b.never else max(-25.0, total)
         scores.append((max(-1.0, sum(weights.tags.get(t, 0.0) for t in b.tags)), worth))
     best, best_run, total, start = 0.0, (0, 0), 0.0, 0
     for k, (tags, worth) in enumerate(scores):
@@ -234,7 +257,8 @@ def fit(pages: DataFrame, *, html: str = "html", sample: int = SAMPLE) -> Weight
             yield pa.RecordBatch.from_arrays([pa.array(kinds), pa.array(names), pa.array(inside), pa.array(list(total.values()), pa.int64())], names=["kind", "name", "inside", "n"])
 
     sums = few.mapInArrow(run, "kind string, name string, inside boolean, n bigint").groupBy("kind", "name", "inside").agg(F.sum("n").alias("n"))
-    seen = sums.where((F.col("kind") != "name") | (F.col("n") >= LEAST_SEEN)).collect()
+    heard = F.sum("n").over(Window.partitionBy("kind", "name"))
+    seen = sums.withColumn("heard", heard).where(~F.col("kind").isin("name", "term") | (F.col("heard") >= LEAST_SEEN)).collect()
     return weights_of({(r["kind"], r["name"], r["inside"]): r["n"] for r in seen})
 
 
