@@ -1,19 +1,20 @@
 """Quality classifier by co-training on two views.
 
-The content view sees a text's characters: hashed character trigrams.  The metadata view sees what a page's record and
-layout tell: language, source, size, and shares and rates of capitals, signs, digits, lines, repeated words and repeated
-trigrams, each cut into quantile bins.  Both are logistic regressions.  In each round every view labels the unlabelled
-documents of which it is most sure, as many of each class as the labels' ratio asks, and they join the *other* view's
-training set.  On labelled documents held out from training each view's log odds are calibrated and the two are combined by
-one more logistic regression, which then scores every document.
+The content view sees the text alone: hashed character trigrams, and shares and rates of capitals, signs, digits, lines,
+repeated words and repeated trigrams, each cut into quantile bins.  The metadata view sees what the record says without its
+text: language, source, both together, and size.  Both are logistic regressions.  In each round every view labels the
+unlabelled documents of which it is most sure, as many of each class as the labels' ratio asks, and they join the *other*
+view's training set.  On labelled documents held out from training the two views' log odds are combined by one more logistic
+regression, in which each class weighs as it does among all labels, so that a score is a probability; it scores every document.
 
 Training uses a bounded sample by hash of the id (``LABELLED``) of the labelled documents only.  Every document is turned into
 packed features once; from them come the quantiles, over all documents, and in each round both views' odds for the whole
 unlabelled table, whose most certain documents alone reach the driver.  Every document is scored, on its whole text.
 
-Defined results: null texts count as empty and get a score like any other; null language or source is a value of its own;
-several labels of a document count once, good if any says so.  With labels of one class only, or none, every document
-scores 1.  Repeated rows score alike; input columns pass through and a column named quality_score is replaced.
+Defined results: null texts count as empty and get a score like any other; null language, source or size is a value of its own,
+and so is a size where there is no such column; several labels of a document count once, good if any says so, and of rows that
+repeat a labelled id one teaches.  With labels of one class only, or none, every document scores 1.  Repeated rows score alike;
+input columns pass through and a column named quality_score is replaced.
 """
 
 from __future__ import annotations
@@ -24,17 +25,25 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .shared import settle
+from .shared import settle, small_batches
 
-#: A document is good from this score on: junk scores far below, and short clean texts may score in between.
-GOOD_FROM = 0.1
+#: A document is good from this probability on.
+GOOD_FROM = 0.5
 LABELLED, ROUNDS, EACH_ROUND = 6000, 3, 300
-WIDTH, BINS, HASHED = 4096, 8, 32
+WIDTH, BINS, HASHED, SIZES = 4096, 8, 256, 48
 MEASURES = 10
+#: Log odds from which on a view is sure.
+SURE = 3.0
+#: Weight of a measure's bin beside trigrams of unit length.
+BIN_WEIGHT = np.float32(0.35)
+CONTENT_WIDTH, METADATA_WIDTH = WIDTH + MEASURES * (BINS + 1), 3 * HASHED + SIZES
+
+
+Row = tuple[np.ndarray, np.ndarray]
 
 
 def trigram_counts(text: str) -> tuple[np.ndarray, np.ndarray]:
@@ -54,13 +63,8 @@ def unit(counts: np.ndarray) -> np.ndarray:
     return values / np.sqrt((values * values).sum()) if len(values) else values
 
 
-def content_features(text: str) -> tuple[np.ndarray, np.ndarray]:
-    where, counts = trigram_counts(text)
-    return where, unit(counts)
-
-
-def layout(text: str, lang: str | None, source: str | None) -> np.ndarray:
-    """The metadata view's measures, then the hashed places of language and source."""
+def layout(text: str) -> np.ndarray:
+    """The content view's measures."""
     raw = np.frombuffer(text.encode("utf-8", "surrogatepass"), dtype=np.uint8)
     n = max(len(raw), 1)
     kinds = np.bincount(raw, minlength=256)
@@ -69,10 +73,22 @@ def layout(text: str, lang: str | None, source: str | None) -> np.ndarray:
     spaces = kinds[32] + lines
     words = text.split()
     distinct = len(set(words))
-    repeated = len(zlib.compress(raw.tobytes()[:1 << 20], 1)) if len(raw) <= 1 << 20 else sum(len(zlib.compress(raw[k : k + (1 << 20)].tobytes(), 1)) for k in range(0, len(raw), 1 << 20))
-    measures = [np.log1p(len(text)), capitals / n, digits / n, signs / n, lines / n, spaces / n, distinct / max(len(words), 1), np.log1p(n / max(lines + 1, 1)), repeated / n, (kinds[46] + kinds[44]) / n]
-    place = lambda kind, value: zlib.crc32(f"{kind}={value}".encode()) % HASHED
-    return np.array([*measures, place("lang", lang), place("source", source)])
+    repeated = sum(len(zlib.compress(raw[k : k + (1 << 20)].tobytes(), 1)) for k in range(0, len(raw), 1 << 20))
+    return np.array([np.log1p(len(text)), capitals / n, digits / n, signs / n, lines / n, spaces / n, distinct / max(len(words), 1), np.log1p(n / max(lines + 1, 1)), repeated / n, (kinds[46] + kinds[44]) / n])
+
+
+def metadata_row(lang: str | None, source: str | None, size: int | None) -> Row:
+    """The metadata view of a record: hashed language, source and both, and the size's power of two."""
+    place = lambda value: zlib.crc32(repr(value).encode()) % HASHED
+    of_size = 0 if size is None else min(SIZES - 1, 1 + max(0, int(size)).bit_length())
+    where = np.array([place(("lang", lang)), HASHED + place(("source", source)), 2 * HASHED + place((lang, source)), 3 * HASHED + of_size])
+    return where, np.ones(4, dtype=np.float32)
+
+
+def content_row(where: np.ndarray, counts: np.ndarray, measures: np.ndarray, edges: np.ndarray) -> Row:
+    """The content view of a text from its trigram counts and measures; ``edges`` holds the bins' borders, a row for each measure."""
+    bins = (measures[:, None] >= edges).sum(axis=1)
+    return np.concatenate([where, WIDTH + np.arange(MEASURES) * (BINS + 1) + bins]), np.concatenate([unit(counts), np.full(MEASURES, BIN_WEIGHT)])
 
 
 @dataclass(frozen=True)
@@ -84,13 +100,13 @@ class Logistic:
         return np.array([self.weights[w] @ v for w, v in rows]) + self.bias if rows else np.zeros(0)
 
 
-def fit_logistic(rows: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, width: int, *, steps: int = 150, rate: float = 0.5, decay: float = 1e-5) -> Logistic:
-    """Adam on all rows at once; both classes weigh the same."""
+def fit_logistic(rows: list[Row], y: np.ndarray, width: int, *, steps: int = 150, rate: float = 0.5, decay: float = 1e-5, weights: tuple[float, float] = (0.5, 0.5), start: Logistic | None = None) -> Logistic:
+    """Adam on all rows at once; ``weights`` are what class 0 and class 1 weigh in all."""
     at = np.repeat(np.arange(len(rows), dtype=np.int32), [len(w) for w, _ in rows])
     where, values = np.concatenate([w for w, _ in rows]).astype(np.int32), np.concatenate([v for _, v in rows]).astype(np.float32)
-    share = max(y.mean(), 1e-9)
-    cost = np.where(y == 1, 0.5 / share, 0.5 / max(1 - share, 1e-9)) / len(rows)
-    w, b = np.zeros(width), 0.0
+    share = np.clip(y.mean(), 1e-9, 1 - 1e-9)
+    cost = np.where(y == 1, weights[1] / share, weights[0] / (1 - share)) / len(rows)
+    w, b = (start.weights.copy(), start.bias) if start else (np.zeros(width), 0.0)
     m, s = np.zeros(width + 1), np.zeros(width + 1)
     for step in range(1, steps + 1):
         z = np.bincount(at, values * w[where], minlength=len(rows)) + b
@@ -104,64 +120,68 @@ def fit_logistic(rows: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, width
 
 @dataclass(frozen=True)
 class Model:
-    """Both views, their bins, and the calibrated combination of their log odds."""
+    """Both views, the content view's bins, and the calibrated combination of their log odds."""
 
     content: Logistic
     metadata: Logistic
     edges: np.ndarray
     mix: tuple[float, float, float]
 
-    def metadata_row(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        return metadata_row(x, self.edges)
-
-    def probability(self, content: list[tuple[np.ndarray, np.ndarray]], metadata: list[np.ndarray]) -> np.ndarray:
-        a, b = self.content.odds(content), self.metadata.odds([self.metadata_row(x) for x in metadata])
-        z = self.mix[0] * np.clip(a, -20, 20) + self.mix[1] * np.clip(b, -20, 20) + self.mix[2]
-        return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
-
-
-def metadata_row(x: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    bins = (x[:MEASURES, None] >= edges).sum(axis=1)
-    where = np.concatenate([np.arange(MEASURES) * (BINS + 1) + bins, MEASURES * (BINS + 1) + x[MEASURES:].astype(np.int64) + np.array([0, HASHED])])
-    return where, np.ones(len(where))
-
-
-METADATA_WIDTH = MEASURES * (BINS + 1) + 2 * HASHED
-
-
-Row = tuple[np.ndarray, np.ndarray]
+    def probability(self, content: list[Row], metadata: list[Row]) -> np.ndarray:
+        a, b = np.clip(self.content.odds(content), -20, 20), np.clip(self.metadata.odds(metadata), -20, 20)
+        return 1 / (1 + np.exp(-np.clip(self.mix[0] * a + self.mix[1] * b + self.mix[2], -30, 30)))
 
 
 class Training:
     """Both views' training sets, growing by what the other view is sure of.  ``y`` holds 1 or 0; a fifth of the rows is held out for calibration."""
 
-    def __init__(self, content: list[Row], layouts: list[np.ndarray], y: np.ndarray, edges: np.ndarray) -> None:
-        self.edges, self.held = edges, list(zip(content[::5], layouts[::5], y[::5].tolist(), strict=True))
-        rows = [(c, m, int(v)) for k, (c, m, v) in enumerate(zip(content, layouts, y, strict=True)) if k % 5]
-        self.good = float(np.mean([v for *_, v in rows])) if rows else 0.5
-        self.sets: dict[str, list[tuple[Row, float]]] = {"content": [(c, v) for c, _, v in rows], "metadata": [(metadata_row(m, edges), v) for _, m, v in rows]}
+    def __init__(self, content: list[Row], metadata: list[Row], y: np.ndarray, good: float) -> None:
+        self.held, self.good = list(zip(content[::5], metadata[::5], y[::5].tolist(), strict=True)), good
+        rows = [(c, m, int(v)) for k, (c, m, v) in enumerate(zip(content, metadata, y, strict=True)) if k % 5]
+        self.sets: dict[str, list[tuple[Row, float]]] = {"content": [(c, v) for c, _, v in rows], "metadata": [(m, v) for _, m, v in rows]}
         self.taken: dict[str, set[int]] = {"content": set(), "metadata": set()}
-        self.refit()
-
-    def refit(self) -> None:
-        widths = {"content": WIDTH, "metadata": METADATA_WIDTH}
-        self.models = {v: fit_logistic([r for r, _ in rows], np.array([y for _, y in rows], dtype=float), widths[v]) for v, rows in self.sets.items()}
-
-    def add(self, view: str, key: int, content: Row, measures: np.ndarray, label: int) -> None:
-        if key not in self.taken[view]:
-            self.taken[view].add(key)
-            self.sets[view].append((content if view == "content" else metadata_row(measures, self.edges), label))
-
-    def model(self) -> Model:
-        a = np.clip(self.models["content"].odds([c for c, *_ in self.held]), -20, 20)
-        b = np.clip(self.models["metadata"].odds([metadata_row(m, self.edges) for _, m, _ in self.held]), -20, 20)
-        mix = fit_logistic([(np.arange(2), np.array(p)) for p in zip(a, b, strict=True)], np.array([y for *_, y in self.held], dtype=float), 2, rate=0.1, decay=1e-3)
-        return Model(self.models["content"], self.models["metadata"], self.edges, (*mix.weights.tolist(), mix.bias))
+        self.models: dict[str, Logistic] = {}
+        self.refit({"content", "metadata"})
+
+    def refit(self, views: set[str]) -> None:
+        """Fits the named views; later fits begin at the former one and are short."""
+        widths = {"content": CONTENT_WIDTH, "metadata": METADATA_WIDTH}
+        for v in sorted(views):
+            rows, old = self.sets[v], self.models.get(v)
+            self.models[v] = fit_logistic([r for r, _ in rows], np.array([y for _, y in rows], dtype=float), widths[v], start=old, steps=40 if old else 150, rate=0.1 if old else 0.5)
+
+    def add(self, view: str, key: int, row: Row, label: int) -> bool:
+        if key in self.taken[view]:
+            return False
+        self.taken[view].add(key)
+        self.sets[view].append((row, label))
+        return True
+
+    def calibration(self) -> dict[str, tuple[float, float]]:
+        """For each view the line from its log odds to those among held-out documents: what a view merely learned by heart gives it no confidence."""
+        out, y = {}, np.array([y for *_, y in self.held], dtype=float)
+        for k, v in enumerate(("content", "metadata")):
+            odds = np.clip(self.models[v].odds([r[k] for r in self.held]), -20, 20)
+            line = fit_logistic([(np.zeros(1, dtype=int), np.array([o])) for o in odds], y, 1, rate=0.1, decay=1e-3, weights=(1 - self.good, self.good))
+            out[v] = (max(0.0, float(line.weights[0])), line.bias)
+        return out
+
+    def model(self, edges: np.ndarray) -> Model:
+        a, b = (np.clip(self.models[v].odds([r[k] for r in self.held]), -20, 20) for k, v in enumerate(("content", "metadata")))
+        y = np.array([y for *_, y in self.held], dtype=float)
+        mix = fit_logistic([(np.arange(2), np.array(p)) for p in zip(a, b, strict=True)], y, 2, rate=0.1, decay=1e-3, weights=(1 - self.good, self.good))
+        return Model(self.models["content"], self.models["metadata"], edges, (*mix.weights.tolist(), mix.bias))
+
+
+def record(docs: DataFrame) -> list[Column]:
+    """The metadata columns; a size is asked of no text."""
+    size = F.col("n_chars").cast("bigint") if "n_chars" in docs.columns else F.lit(None).cast("bigint")
+    return [F.col("lang").cast("string").alias("lang"), F.col("source").cast("string").alias("source"), size.alias("size")]
 
 
 def featured(docs: DataFrame) -> DataFrame:
-    """(doc_id, key, where, counts, layout) of every document, packed; documents with equal features have equal keys."""
-    source = docs.select("doc_id", F.coalesce(F.col("text"), F.lit("")).alias("text"), "lang", "source")
+    """(doc_id, key, where, counts, layout, lang, source, size) of every document, trigrams packed; documents with equal features have equal keys."""
+    source = docs.select("doc_id", F.coalesce(F.col("text"), F.lit("")).alias("text"), *record(docs))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from xxhash import xxh64_intdigest
@@ -170,22 +190,26 @@ def featured(docs: DataFrame) -> DataFrame:
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)
                 keys, where, counts, layouts = [], [], [], []
-                for t, lang, origin in zip(*(part.column(k).to_pylist() for k in (1, 2, 3)), strict=True):
+                for t, *about in zip(*(part.column(k).to_pylist() for k in (1, 2, 3, 4)), strict=True):
                     w, c = trigram_counts(t)
-                    m = layout(t, lang, origin)
+                    m = layout(t)
                     where.append(w.astype("<u2").tobytes())
                     counts.append(c.astype("<u4").tobytes() if len(c) and c.max() > 255 else c.astype("u1").tobytes())
                     layouts.append(m.tolist())
-                    keys.append(xxh64_intdigest(where[-1] + counts[-1] + m.tobytes()))
+                    keys.append(xxh64_intdigest(where[-1] + counts[-1] + m.tobytes() + repr(about).encode()))
                 signed = pa.array(np.array(keys, dtype=np.uint64).view(np.int64))
-                yield pa.RecordBatch.from_arrays([part.column(0), signed, pa.array(where, pa.binary()), pa.array(counts, pa.binary()), pa.array(layouts, pa.list_(pa.float64()))], names=["doc_id", "key", "where", "counts", "layout"])
+                yield pa.RecordBatch.from_arrays([part.column(0), signed, pa.array(where, pa.binary()), pa.array(counts, pa.binary()), pa.array(layouts, pa.list_(pa.float64())), *part.columns[2:]], names=["doc_id", "key", "where", "counts", "layout", "lang", "source", "size"])
+
+    return small_batches(source).mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, key bigint, where binary, counts binary, layout array<double>, lang string, source string, size bigint")
 
-    return source.mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, key bigint, where binary, counts binary, layout array<double>")
 
+PACKED = ("where", "counts", "layout", "lang", "source", "size")
 
-def unpacked(where: bytes, counts: bytes) -> Row:
+
+def unpacked(where: bytes, counts: bytes, measures: list[float], lang: str | None, source: str | None, size: int | None, edges: np.ndarray) -> tuple[Row, Row]:
+    """Both views' rows."""
     w = np.frombuffer(where, "<u2")
-    return w, unit(np.frombuffer(counts, "u1" if len(counts) == len(w) else "<u4"))
+    return content_row(w, np.frombuffer(counts, "u1" if len(counts) == len(w) else "<u4"), np.array(measures), edges), metadata_row(lang, source, size)
 
 
 def bin_edges(features: DataFrame) -> np.ndarray:
@@ -203,66 +227,75 @@ def sample_ids(labels: DataFrame, labelled: int) -> DataFrame:
 
 def odds_of(features: DataFrame, models: dict[str, Logistic], edges: np.ndarray) -> DataFrame:
     """(doc_id, key, content, metadata): each view's log odds for every document.  No shuffle."""
-    source = features.select("doc_id", "key", "where", "counts", "layout")
+    source = features.select("doc_id", "key", *PACKED)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            a = models["content"].odds([unpacked(w.as_py(), c.as_py()) for w, c in zip(batch.column(2), batch.column(3), strict=True)])
-            b = models["metadata"].odds([metadata_row(np.array(m), edges) for m in batch.column(4).to_pylist()])
+            rows = [unpacked(*r, edges) for r in zip(*(c.to_pylist() for c in batch.columns[2:]), strict=True)]
+            a, b = models["content"].odds([r for r, _ in rows]), models["metadata"].odds([r for _, r in rows])
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(a, pa.float64()), pa.array(b, pa.float64())], names=["doc_id", "key", "content", "metadata"])
 
-    return source.mapInArrow(run, f"doc_id {features.schema['doc_id'].dataType.simpleString()}, key bigint, content double, metadata double")
+    return small_batches(source).mapInArrow(run, f"doc_id {features.schema['doc_id'].dataType.simpleString()}, key bigint, content double, metadata double")
 
 
-def most_sure(odds: DataFrame, labels: DataFrame, good: float, each: int = EACH_ROUND) -> list[tuple[str, int, int]]:
-    """(view to teach, key, label): the documents of the whole unlabelled table of which each view is most sure, at most ``each`` a view."""
+def most_sure(odds: DataFrame, labels: DataFrame, good: float, each: int = EACH_ROUND, calibration: dict[str, tuple[float, float]] | None = None) -> list[tuple[str, int, int]]:
+    """(view to teach, key, label): the documents of the whole unlabelled table of which each view is most sure, at most ``each`` a view; sure are calibrated log odds beyond ``SURE``."""
+    line = calibration or {"content": (1.0, 0.0), "metadata": (1.0, 0.0)}
     known = labels.select("doc_id").hint("merge")
     free = settle(odds.join(known, "doc_id", "left_anti").groupBy("key").agg(F.first("content").alias("content"), F.first("metadata").alias("metadata")))
     n_good = int(each * good)
     out = []
     for view, other in (("content", "metadata"), ("metadata", "content")):
-        best = free.where(F.col(view) > 2).orderBy(F.desc(view), "key").limit(n_good).select("key").collect()
-        worst = free.where(F.col(view) < -2).orderBy(view, "key").limit(each - n_good).select("key").collect()
+        sure = F.col(view) * line[view][0] + line[view][1]
+        best = free.where(sure > SURE).orderBy(F.desc(view), "key").limit(n_good).select("key").collect()
+        worst = free.where(sure < -SURE).orderBy(view, "key").limit(each - n_good).select("key").collect()
         out += [(other, r["key"], 1) for r in best] + [(other, r["key"], 0) for r in worst]
     return out
 
 
 def fit(docs: DataFrame, labels: DataFrame, *, labelled: int = LABELLED, rounds: int = ROUNDS, each: int = EACH_ROUND) -> Model | None:
     """The model, or None where the labels don't have both classes.  Features are settled once; what the driver gathers are the labelled sample and each round's choice."""
-    known = labels.where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.max("quality").alias("y"))
+    known = labels.where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.max(F.when(F.col("quality") >= 1, 1).otherwise(0)).alias("y"))
+    share = known.agg(F.avg("y")).first()[0]
+    if share in (None, 0.0, 1.0):
+        return None
     features = settle(featured(docs))
-    rows = features.join(F.broadcast(sample_ids(known, labelled)), "doc_id").orderBy("key", "y").toPandas()
-    if not {0, 1} <= set(rows["y"]):
+    taught = features.join(F.broadcast(sample_ids(known, labelled)), "doc_id").select("doc_id", F.struct("key", "y", *PACKED).alias("row"))
+    rows = [r["row"] for r in taught.groupBy("doc_id").agg(F.min("row").alias("row")).orderBy("row.key", "row.y").collect()]
+    y = np.array([r["y"] for r in rows])
+    if not {0, 1} <= set(y.tolist()):
         return None
-    content = [unpacked(w, c) for w, c in zip(rows["where"], rows["counts"], strict=True)]
-    training = Training(content, [np.array(m) for m in rows["layout"]], rows["y"].to_numpy(), bin_edges(features))
-    del rows, content
+    edges = bin_edges(features)
+    content, metadata = zip(*[unpacked(*(r[c] for c in PACKED), edges) for r in rows], strict=True)
+    training = Training(list(content), list(metadata), y, share)
+    del rows, content, metadata
     for _ in range(rounds):
-        chosen = most_sure(odds_of(features, training.models, training.edges), known, training.good, each)
+        chosen = most_sure(odds_of(features, training.models, edges), known, training.good, each, training.calibration())
         if not chosen:
             break
         keys = docs.sparkSession.createDataFrame([(k,) for k in sorted({k for _, k, _ in chosen})], "key bigint")
-        found = {r["key"]: (unpacked(r["where"], r["counts"]), np.array(r["layout"])) for r in features.join(F.broadcast(keys), "key").dropDuplicates(["key"]).select("key", "where", "counts", "layout").collect()}
-        for view, key, label in chosen:
-            training.add(view, key, *found[key], label)
-        training.refit()
-    return training.model()
+        found = {r["key"]: dict(zip(("content", "metadata"), unpacked(*(r[c] for c in PACKED), edges), strict=True)) for r in features.join(F.broadcast(keys), "key").dropDuplicates(["key"]).select("key", *PACKED).collect()}
+        training.refit({view for view, key, label in chosen if training.add(view, key, found[key][view], label)})
+    return training.model(edges)
 
 
 def scored(docs: DataFrame, model: Model | None) -> DataFrame:
     """``docs`` with quality_score, the probability that a document is good.  No shuffle."""
     kept = [c for c in docs.columns if c != "quality_score"]
-    source = docs.select(*kept)
     if model is None:
-        return source.withColumn("quality_score", F.lit(1.0))
-    text, lang, origin = (kept.index(c) for c in ("text", "lang", "source"))
+        return docs.select(*kept).withColumn("quality_score", F.lit(1.0))
+    about = [c.alias(f"{c_name}") for c, c_name in zip(record(docs), ("about lang", "about source", "about size"), strict=True)]
+    source = docs.select(*kept, *about)
+    text = kept.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)
                 texts = [t or "" for t in part.column(text).to_pylist()]
-                found = model.probability([content_features(t) for t in texts], [layout(t, a, b) for t, a, b in zip(texts, part.column(lang).to_pylist(), part.column(origin).to_pylist(), strict=True)])
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(found, pa.float64())], names=[*kept, "quality_score"])
+                content = [content_row(*trigram_counts(t), layout(t), model.edges) for t in texts]
+                metadata = [metadata_row(*r) for r in zip(*(c.to_pylist() for c in part.columns[len(kept) :]), strict=True)]
+                found = model.probability(content, metadata)
+                yield pa.RecordBatch.from_arrays([*part.columns[: len(kept)], pa.array(found, pa.float64())], names=[*kept, "quality_score"])
 
-    return source.mapInArrow(run, T.StructType([*(source.schema[c] for c in kept), T.StructField("quality_score", T.DoubleType())]))
+    return small_batches(source).mapInArrow(run, T.StructType([*(source.schema[c] for c in kept), T.StructField("quality_score", T.DoubleType())]))
