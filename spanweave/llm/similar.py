@@ -1,12 +1,17 @@
 """One document of each group of similar ones: word shingles, Jaccard similarity of the shingle sets.
 
-Candidates come from two kinds of leaves.  The vantage-point tree of ``simhash`` gives fingerprints that differ by a few
-bits.  Its radius cannot grow to where the similarity bound lies (at 0.8 fingerprints differ by some 10 bits of 64, and a
-search that wide visits most leaves), so fingerprints also meet in leaves named by bands of min-hashes: two sets of
-similarity s share a band of ``ROWS`` with probability s^ROWS, and one of ``BANDS`` almost surely (0.9993 at s = 0.8).
-Inside those leaves the search goes on by the distance to the inner vantage point, with a radius beyond the distances
-of similar sets.  Candidates that are linked form a component; within one the sets themselves are compared, and only
-pairs at or above the bound are links.  Of documents that links connect the one with the smallest id stays.
+Documents that may be alike share a leaf.  The vantage-point tree of ``simhash`` gives a leaf for each component of
+fingerprints that differ by a few bits.  Its radius cannot grow to where the similarity bound lies (at 0.8 fingerprints
+differ by some 10 bits of 64, and a search that wide visits most leaves), so there is also a leaf for each band of
+min-hashes: two sets of similarity s share a band of ``ROWS`` with probability s^ROWS, and one of ``BANDS`` almost surely
+(0.998 at s = 0.8).
+
+Links are pairs whose sets themselves reach the bound.  Leaves may hold any share of the rows, so their members are never
+brought together: in each round a few members of a leaf, its leaders, are compared with all others that are not connected
+with them yet, pair by pair, and components grow by the links found.  Only texts of sets that share a leaf are read again
+for their shingles, kept as 32 bits each.  Leaders are new ones in each round, eight times as
+many as before.  A leaf is done when it is connected or when all but one of its members have been leaders; so every pair of
+a leaf has been compared or is connected.  Of documents that links connect the one with the smallest id stays.
 
 Defined results: a null text counts as empty, and texts without words are alike; fewer words than a shingle make one
 shingle; of rows with equal sets one stays; a null id stays only where all its group's are null.
@@ -19,17 +24,18 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.components import connected_components
-from .shared import settle
-from .simhash import linked_fingerprints, linked_in_leaves, majority_bits
+from .shared import settle, small_batches
+from .simhash import linked_fingerprints, majority_bits
 
 SHINGLE, LEAST = 5, 0.8
-BANDS, ROWS = 24, 6
-#: Bits: of the tree's links, and of links between members of a band.
-RADIUS, BAND_RADIUS = 2, 22
+BANDS, ROWS = 16, 5
+#: Bits: of the tree's links; and beyond which sets of at least so many shingles are never alike (at 0.8 the mean is 10, the deviation 3).
+RADIUS, FAR, ENOUGH = 2, 24, 100
+FIRST_LEADERS, TIMES_LEADERS = 1, 8
 _SEED = np.random.default_rng(21)
 _TIMES, _PLUS = _SEED.integers(0, 1 << 63, (2, BANDS * ROWS, 1), dtype=np.uint64)
 _TIMES |= np.uint64(1)
@@ -59,91 +65,110 @@ def band_keys(members: np.ndarray) -> np.ndarray:
 
 
 def _sketches(docs: DataFrame) -> DataFrame:
-    """(doc_id, text_hash, shingles, fp, bands): the set's hash, its fingerprint and its bands."""
+    """(doc_id, text_hash, set_id, n, fp, bands): the hash and size of the set, its fingerprint and its bands."""
     source = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_hash"), F.coalesce("text", F.lit("")).alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from xxhash import xxh64_intdigest
 
         for batch in batches:
-            sets, prints, bands = [], [], []
-            for t in batch.column(2):
-                every = shingle_hashes(t.as_py())
-                own = np.unique(every)
-                sets.append(xxh64_intdigest(own.tobytes(), 7))
-                prints.append(majority_bits(every))
-                bands.append(band_keys(own))
-            signed = lambda x: pa.array(np.array(x, dtype=np.uint64).view(np.int64))
-            flat = np.concatenate(bands) if bands else np.zeros(0, np.int64)
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(bands) + 1, dtype=np.int32) * BANDS), pa.array(flat))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), signed(sets), signed(prints), lists], names=["doc_id", "text_hash", "shingles", "fp", "bands"])
-
-    return source.mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, text_hash bigint, shingles bigint, fp bigint, bands array<bigint>")
-
-
-def groups_of(sets: list[np.ndarray], least: float = LEAST) -> list[int]:
-    """For each set the first one that links of similarity ``least`` or more connect it with.  Pairs already connected are not compared."""
-    group, members = list(range(len(sets))), {}
-    sizes = [len(s) for s in sets]
-
-    def alike(a: int, b: int) -> bool:
-        small, large = sorted((sizes[a], sizes[b]))
-        if small < least * large:
-            return False
-        both = len(np.intersect1d(sets[a], sets[b], assume_unique=True))
-        return both >= least * (small + large - both) if large else True
-
-    for k in range(len(sets)):
-        mine = [k]
-        for other in [g for g, inside in members.items() if any(alike(k, j) for j in inside)]:
-            mine += members.pop(other)
-        first = min(mine)
-        members[first] = sorted(mine)
-        for j in mine:
-            group[j] = first
-    return group
-
-
-def _repeated(candidates: DataFrame) -> DataFrame:
-    """Hashes of the sets that are connected to one with a smaller id; ``candidates`` holds (component, nameless, doc_id, shingles, text)."""
-    rows = candidates.repartition("component").sortWithinPartitions("component", "nameless", "doc_id", "shingles").select("component", "shingles", "text")
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                ids, sizes, prints, bands = [], [], [], []
+                for t in part.column(2):
+                    every = shingle_hashes(t.as_py())
+                    own = np.unique(every)
+                    ids.append(xxh64_intdigest(own.tobytes(), 7))
+                    sizes.append(len(own))
+                    prints.append(majority_bits(every))
+                    bands.append(band_keys(own))
+                signed = lambda x: pa.array(np.array(x, dtype=np.uint64).view(np.int64))
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(len(bands) + 1, dtype=np.int32) * BANDS), pa.array(np.concatenate(bands)))
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), signed(ids), pa.array(sizes, pa.int32()), signed(prints), lists], names=["doc_id", "text_hash", "set_id", "n", "fp", "bands"])
+
+    return small_batches(source).mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, text_hash bigint, set_id bigint, n int, fp bigint, bands array<bigint>")
+
+
+def alike(pairs: DataFrame, least: float = LEAST) -> DataFrame:
+    """(src, dst) of the pairs (src, dst, a, b) whose sorted hash sets a and b have a Jaccard similarity of ``least`` or more; empty sets are alike."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def dropped() -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array([names[k] for k, g in enumerate(groups_of(sets)) if g != k], pa.int64())], names=["shingles"])
-
-        now, names, sets = None, [], []
         for batch in batches:
-            for component, name, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
-                if names and component != now:
-                    yield dropped()
-                    names, sets = [], []
-                now = component
-                names.append(name)
-                sets.append(np.unique(shingle_hashes(text.as_py())))
-        if names:
-            yield dropped()
+            keep = []
+            for a, b in zip(batch.column(2), batch.column(3), strict=True):
+                x, y = np.frombuffer(a.as_py(), np.uint32), np.frombuffer(b.as_py(), np.uint32)
+                at = np.searchsorted(y, x)
+                both = int((y[np.minimum(at, len(y) - 1)] == x).sum()) if len(x) and len(y) else 0
+                keep.append(both >= least * (len(x) + len(y) - both))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["src", "dst"]).filter(pa.array(keep, pa.bool_()))
+
+    return small_batches(pairs.select("src", "dst", "a", "b")).mapInArrow(run, "src bigint, dst bigint")
+
+
+def leaves_of(distinct: DataFrame) -> DataFrame:
+    """(leaf, id, n, fp): the leaves that more than one set shares."""
+    prints = settle(distinct.groupBy("fp").agg(F.count("*").alias("sets")))
+    parts = connected_components(settle(linked_fingerprints(prints, RADIUS)))
+    near = prints.join(parts.withColumnRenamed("vertex", "fp").hint("merge"), "fp", "left").where("component is not null or sets > 1")
+    by_tree = distinct.join(near.select("fp", F.xxhash64(F.lit("tree"), F.coalesce("component", "fp")).alias("leaf")).hint("merge"), "fp")
+    member = ("leaf", F.col("set_id").alias("id"), "n", "fp")
+    every = by_tree.select(*member).unionByName(distinct.select(F.explode("bands").alias("leaf"), "set_id", "n", "fp").select(*member))
+    shared = every.groupBy("leaf").agg(F.min("id").alias("low"), F.max("id").alias("high")).where("low < high").select("leaf")
+    return every.join(shared.hint("merge"), "leaf", "left_semi")
 
-    return rows.mapInArrow(run, "shingles bigint")
+
+def members_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(id, members): the sorted 32-bit hashes of the sets of wanted(id, doc_id, text_hash), one text for each."""
+    texts = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_hash"), F.coalesce("text", F.lit("")).alias("text"))
+    w = wanted.select("id", F.col("doc_id").alias("wanted_id"), F.col("text_hash").alias("wanted_hash")).hint("merge")
+    found = texts.join(w, texts["doc_id"].eqNullSafe(F.col("wanted_id")) & (texts["text_hash"] == F.col("wanted_hash"))).select("id", "text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            own = [np.unique((shingle_hashes(t.as_py()) & np.uint64(0xFFFFFFFF)).astype(np.uint32)).tobytes() for t in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(own, pa.binary())], names=["id", "members"])
+
+    return small_batches(found).mapInArrow(run, "id bigint, members binary").dropDuplicates(["id"])
+
+
+def similar_sets(distinct: DataFrame, docs: DataFrame) -> DataFrame:
+    """(id, component) of the sets that links connect with others; ``distinct`` holds (set_id, n, fp, bands, doc_id, text_hash), the last two of a text that has the set."""
+    spark = distinct.sparkSession
+    # ``place`` orders members by a hash that is the same in all leaves, so that leaves of the same texts have the same leaders.
+    members = settle(leaves_of(distinct).withColumn("place", F.xxhash64("id")).withColumn("component", F.col("id")))
+    wanted = distinct.select(F.col("set_id").alias("id"), "doc_id", "text_hash").join(members.select("id").distinct().hint("merge"), "id", "left_semi")
+    held = settle(members_of(docs, wanted))
+    links = spark.createDataFrame([], "src bigint, dst bigint")
+    parts = spark.createDataFrame([], "id bigint, component bigint")
+    before, upto = 0, FIRST_LEADERS
+    while not members.isEmpty():
+        order = F.row_number().over(Window.partitionBy("leaf").orderBy("place", "id"))
+        leaders = members.withColumn("rank", order).where(F.col("rank") <= upto).where(F.col("rank") > before)
+        a, b = members.alias("a"), leaders.alias("b").hint("merge")
+        small, large = F.least("a.n", "b.n"), F.greatest("a.n", "b.n")
+        apart = (F.bit_count(F.col("a.fp").bitwiseXOR(F.col("b.fp"))) > FAR) & (small >= ENOUGH)
+        pairs = a.join(b, F.col("a.leaf") == F.col("b.leaf")).where((F.col("a.component") != F.col("b.component")) & (small >= LEAST * large) & ~apart)
+        pairs = pairs.select(F.least("a.id", "b.id").alias("src"), F.greatest("a.id", "b.id").alias("dst")).distinct()
+        whole = pairs.join(held.select(F.col("id").alias("src"), F.col("members").alias("a")).hint("merge"), "src").join(held.select(F.col("id").alias("dst"), F.col("members").alias("b")).hint("merge"), "dst")
+        found = settle(alike(whole))
+        if not found.isEmpty():
+            links = settle(links.unionByName(found))
+            parts = connected_components(links).withColumnRenamed("vertex", "id")
+        labelled = members.drop("component").join(parts.hint("merge"), "id", "left").withColumn("component", F.coalesce("component", "id"))
+        before, upto = upto, upto * TIMES_LEADERS
+        open_ = labelled.groupBy("leaf").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("members")).where(f"low < high and members > {before} + 1").select("leaf")
+        members = settle(labelled.join(open_.hint("merge"), "leaf", "left_semi"))
+    return parts
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
     """``docs`` with one row of each group of similar documents, that with the smallest id."""
-    sketches = _sketches(docs)
+    sketches = settle(_sketches(docs))
     row = F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "text_hash")
-    distinct = settle(sketches.groupBy("shingles").agg(F.min(row).alias("row"), F.min("fp").alias("fp"), F.min("bands").alias("bands")).select("shingles", "row.*", "fp", "bands"))
-    prints = settle(distinct.groupBy("fp").agg(F.count("*").alias("sets")))
-    leaves = distinct.select(F.explode("bands").alias("leaf"), "fp")
-    shared = leaves.groupBy("leaf").agg(F.min("fp").alias("low"), F.max("fp").alias("high")).where("low < high").select("leaf")
-    met = leaves.join(shared.hint("merge"), "leaf", "left_semi").distinct().select("leaf", F.lit(False).alias("guest"), "fp")
-    links = linked_fingerprints(prints, RADIUS).unionByName(linked_in_leaves(met, BAND_RADIUS))
-    parts = connected_components(settle(links.distinct())).withColumnRenamed("vertex", "fp")
-    placed = prints.join(parts.hint("merge"), "fp", "left").where("component is not null or sets > 1").select("fp", F.coalesce("component", "fp").alias("component"))
-    members = distinct.join(placed.hint("merge"), "fp").select("component", "nameless", "doc_id", "text_hash", "shingles")
-    texts = docs.select(F.col("doc_id").alias("id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("hash"), F.coalesce("text", F.lit("")).alias("text"))
-    same = F.col("doc_id").eqNullSafe(F.col("id")) & (F.col("text_hash") == F.col("hash"))
-    repeated = settle(_repeated(members.hint("merge").join(texts, same).select("component", "nameless", "doc_id", "shingles", "text").dropDuplicates(["shingles"])))
-    kept = distinct.join(repeated.hint("merge"), "shingles", "left_anti").select(F.col("doc_id").alias("kept_id"), F.col("text_hash").alias("kept_hash"))
+    distinct = settle(sketches.groupBy("set_id").agg(F.min(row).alias("row"), F.min("n").alias("n"), F.min("fp").alias("fp"), F.min("bands").alias("bands")))
+    parts = similar_sets(distinct.select("set_id", "n", "fp", "bands", "row.doc_id", "row.text_hash"), docs)
+    grouped = distinct.join(parts.withColumnRenamed("id", "set_id").hint("merge"), "set_id", "left")
+    first = grouped.groupBy(F.coalesce("component", "set_id").alias("component")).agg(F.min("row").alias("row")).select(F.col("row.doc_id").alias("kept_id"), F.col("row.text_hash").alias("kept_hash"))
     hashed = docs.withColumn("_hash", F.xxhash64(F.coalesce("text", F.lit(""))))
-    out = hashed.join(kept.hint("merge"), hashed["doc_id"].eqNullSafe(F.col("kept_id")) & (F.col("_hash") == F.col("kept_hash")), "left_semi")
+    out = hashed.join(settle(first).hint("merge"), hashed["doc_id"].eqNullSafe(F.col("kept_id")) & (F.col("_hash") == F.col("kept_hash")), "left_semi")
     return out.dropDuplicates(["doc_id", "_hash"]).select(docs.columns)
