@@ -132,14 +132,12 @@ def members_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
 
 
 def similar_sets(distinct: DataFrame, docs: DataFrame) -> DataFrame:
-    """(id, component) of the sets that links connect with others; ``distinct`` holds (set_id, n, fp, bands, doc_id, text_hash), the last two of a text that has the set."""
-    spark = distinct.sparkSession
+    """(id, component) of the sets that share a leaf with others, components by links; ``distinct`` holds (set_id, n, fp, bands, doc_id, text_hash), the last two of a text that has the set."""
     # ``place`` orders members by a hash that is the same in all leaves, so that leaves of the same texts have the same leaders.
     members = settle(leaves_of(distinct).withColumn("place", F.xxhash64("id")).withColumn("component", F.col("id")))
     wanted = distinct.select(F.col("set_id").alias("id"), "doc_id", "text_hash").join(members.select("id").distinct().hint("merge"), "id", "left_semi")
     held = settle(members_of(docs, wanted))
-    links = spark.createDataFrame([], "src bigint, dst bigint")
-    parts = spark.createDataFrame([], "id bigint, component bigint")
+    parts = settle(members.select("id").distinct().withColumn("component", F.col("id")))
     before, upto = 0, FIRST_LEADERS
     while not members.isEmpty():
         order = F.row_number().over(Window.partitionBy("leaf").orderBy("place", "id"))
@@ -150,11 +148,14 @@ def similar_sets(distinct: DataFrame, docs: DataFrame) -> DataFrame:
         pairs = a.join(b, F.col("a.leaf") == F.col("b.leaf")).where((F.col("a.component") != F.col("b.component")) & (small >= LEAST * large) & ~apart)
         pairs = pairs.select(F.least("a.id", "b.id").alias("src"), F.greatest("a.id", "b.id").alias("dst")).distinct()
         whole = pairs.join(held.select(F.col("id").alias("src"), F.col("members").alias("a")).hint("merge"), "src").join(held.select(F.col("id").alias("dst"), F.col("members").alias("b")).hint("merge"), "dst")
-        found = settle(alike(whole))
+        # New links join components of the rounds before, so each round works on what is left to be connected.
+        ends = [parts.select(F.col("id").alias(c), F.col("component").alias(f"of_{c}")) for c in ("src", "dst")]
+        found = alike(whole).join(ends[0], "src").join(ends[1], "dst").where("of_src <> of_dst")
+        found = settle(found.select(F.least("of_src", "of_dst").alias("src"), F.greatest("of_src", "of_dst").alias("dst")).distinct())
         if not found.isEmpty():
-            links = settle(links.unionByName(found))
-            parts = connected_components(links).withColumnRenamed("vertex", "id")
-        labelled = members.drop("component").join(parts.hint("merge"), "id", "left").withColumn("component", F.coalesce("component", "id"))
+            names = connected_components(found).select(F.col("vertex").alias("component"), F.col("component").alias("joined"))
+            parts = settle(parts.join(names, "component", "left").select("id", F.coalesce("joined", "component").alias("component")))
+        labelled = members.drop("component").join(parts.hint("merge"), "id")
         before, upto = upto, upto * TIMES_LEADERS
         open_ = labelled.groupBy("leaf").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("members")).where(f"low < high and members > {before} + 1").select("leaf")
         members = settle(labelled.join(open_.hint("merge"), "leaf", "left_semi"))
